@@ -40,7 +40,9 @@ MIN_WORDS = 50
 MIN_WORDS_COMPARED = 80
 MIN_CHARS_COMPARED = 200
 MAX_CLASS_DISTANCE = 0.26
-MAX_WORD_DISTANCE = 0.34
+#: The word distance of a sound text falls with its length as its sampling noise does: the bound is MAX + NOISE / sqrt(words).
+MAX_WORD_DISTANCE = 0.225
+WORD_NOISE = 1.3
 
 
 def _class_table() -> np.ndarray:
@@ -197,7 +199,7 @@ def judge(profiled: DataFrame, refs: dict[str, tuple[list[int], list[int]]], max
             long_enough = (c.sum() >= MIN_CHARS_COMPARED, n >= MIN_WORDS_COMPARED)
             both = [(distance(c, arrays[x][0]) if long_enough[0] else 0.0, distance(np.array(words[x], float), arrays[x][1]) if long_enough[1] else 0.0) for x in pick]
             dc, dw = min(both, key=sum) if both else (0.0, 0.0)
-            yield key, n, chars, symbols, dup, repeat, failed, dc, dw, not failed and dc <= max_class and dw <= max_word
+            yield key, n, chars, symbols, dup, repeat, failed, dc, dw, not failed and dc <= max_class and (n < MIN_WORDS_COMPARED or dw <= max_word + WORD_NOISE / n**0.5)
 
     schema = "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean, class_distance double, word_distance double, kept boolean"
     return map_rows(profiled, [F.col(c) for c in profiled.columns], schema, rows)

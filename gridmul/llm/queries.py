@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gridmul.llm import op3_media, op4_urls, op5_quality, op8_html, op9_licences
+from gridmul.llm import op3_media, op4_urls, op5_quality, op6_pii, op8_html, op9_licences
 from gridmul.llm.common import table
 
 
@@ -23,6 +23,11 @@ def op5_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op5_quality.quality(table(spark, sf_dir, "documents"))
 
 
+def op6_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = op6_pii.personal_data(table(spark, sf_dir, "documents"))
+    return found.select("doc_id", "n_email", "n_ip", "n_card", "n_phone", F.sha2(op6_pii.span_text(F.col("base")), 256).alias("base_sha256"), op6_pii.span_text(F.concat("base", "context")).alias("spans"))
+
+
 def op8_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op8_html.main_texts(table(spark, sf_dir, "pages"))
 
@@ -34,7 +39,7 @@ def op9_licence_scans(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    own = (op3_media_columns, op4_url_filters, op5_quality_rules, op8_html_extraction, op9_licence_scans)
+    own = (op3_media_columns, op4_url_filters, op5_quality_rules, op6_personal_data, op8_html_extraction, op9_licence_scans)
     return {f.__name__: f for f in own}
 
 
