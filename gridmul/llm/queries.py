@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gridmul.llm import op3_media, op4_urls, op5_quality, op6_pii, op8_html, op9_licences
+from gridmul.llm import op10_lines, op3_media, op4_urls, op5_quality, op6_pii, op8_html, op9_licences
 from gridmul.llm.common import table
 
 
@@ -38,8 +38,13 @@ def op9_licence_scans(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_spans", "licence", "score", spans.alias("spans"))
 
 
+def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = op10_lines.dedup_lines(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return found.select("doc_id", F.col("_gm_lines").alias("n_lines"), F.col("_gm_removed").alias("n_removed"), "text")
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    own = (op3_media_columns, op4_url_filters, op5_quality_rules, op6_personal_data, op8_html_extraction, op9_licence_scans)
+    own = (op3_media_columns, op4_url_filters, op5_quality_rules, op6_personal_data, op8_html_extraction, op9_licence_scans, op10_line_dedup)
     return {f.__name__: f for f in own}
 
 
