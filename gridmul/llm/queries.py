@@ -7,10 +7,14 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gridmul.llm import op10_lines, op3_media, op4_urls, op5_quality, op6_pii, op8_html, op9_licences
+from gridmul.llm import op2_neardup, op10_lines, op3_media, op4_urls, op5_quality, op6_pii, op8_html, op9_licences
 from gridmul.llm.common import table
 
 
+def op2_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return op2_neardup.near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def op3_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op3_media.digest_texts(table(spark, sf_dir, "documents"))
 
@@ -44,7 +48,7 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    own = (op3_media_columns, op4_url_filters, op5_quality_rules, op6_personal_data, op8_html_extraction, op9_licence_scans, op10_line_dedup)
+    own = (op2_ngram_jaccard_join, op3_media_columns, op4_url_filters, op5_quality_rules, op6_personal_data, op8_html_extraction, op9_licence_scans, op10_line_dedup)
     return {f.__name__: f for f in own}
 
 
