@@ -7,10 +7,15 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gridmul.llm import op2_neardup, op10_lines, op3_media, op4_urls, op5_quality, op6_pii, op8_html, op9_licences
+from gridmul.llm import op1_mixing, op2_neardup, op10_lines, op3_media, op4_urls, op5_quality, op6_pii, op8_html, op9_licences
 from gridmul.llm.common import table
 
 
+def op1_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    mixed = op1_mixing.mix(table(spark, sf_dir, "documents"), op1_mixing.label_domains(table(spark, sf_dir, "labels")))
+    return mixed.select("doc_id", "n_tokens", *[F.col("p")[i].alias(f"p_{n}") for i, n in enumerate(op1_mixing.TARGETS)], "rate")
+
+
 def op2_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op2_neardup.near_duplicates(table(spark, sf_dir, "documents"))
 
@@ -48,7 +53,7 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    own = (op2_ngram_jaccard_join, op3_media_columns, op4_url_filters, op5_quality_rules, op6_personal_data, op8_html_extraction, op9_licence_scans, op10_line_dedup)
+    own = (op1_source_mixing, op2_ngram_jaccard_join, op3_media_columns, op4_url_filters, op5_quality_rules, op6_personal_data, op8_html_extraction, op9_licence_scans, op10_line_dedup)
     return {f.__name__: f for f in own}
 
 
