@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gridmul.llm import op1_mixing, op2_neardup, op10_lines, op3_media, op4_urls, op5_quality, op6_pii, op8_html, op9_licences
+from gridmul.llm import op1_mixing, op2_neardup, op10_lines, op3_media, op4_urls, op5_quality, op6_pii, op7_pieces, op8_html, op9_licences
 from gridmul.llm.common import table
 
 
@@ -37,6 +37,10 @@ def op6_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_email", "n_ip", "n_card", "n_phone", F.sha2(op6_pii.span_text(F.col("base")), 256).alias("base_sha256"), op6_pii.span_text(F.concat("base", "context")).alias("spans"))
 
 
+def op7_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return op7_pieces.encode(table(spark, sf_dir, "documents"))
+
+
 def op8_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
     return op8_html.main_texts(table(spark, sf_dir, "pages"))
 
@@ -53,7 +57,7 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    own = (op1_source_mixing, op2_ngram_jaccard_join, op3_media_columns, op4_url_filters, op5_quality_rules, op6_personal_data, op8_html_extraction, op9_licence_scans, op10_line_dedup)
+    own = (op1_source_mixing, op2_ngram_jaccard_join, op3_media_columns, op4_url_filters, op5_quality_rules, op6_personal_data, op7_sentencepiece, op8_html_extraction, op9_licence_scans, op10_line_dedup)
     return {f.__name__: f for f in own}
 
 
