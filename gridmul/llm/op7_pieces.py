@@ -49,6 +49,15 @@ class Model:
     by_id: tuple[str, ...]
     longest: int
 
+    @property
+    def score_of(self) -> dict[int, float]:
+        return {i: s for _, s, i in self.pieces}
+
+    @property
+    def by_rank(self) -> list[int]:
+        """Ids of ordinary pieces, the best score first."""
+        return [i for _, _, i in sorted(self.pieces, key=lambda p: (-p[1], p[2]))]
+
 
 def _fields(data: bytes):
     """(number, value) of the fields of one protocol-buffer message; groups do not occur."""
@@ -165,45 +174,46 @@ class Encoder:
 
 
 def piece_table(spark: SparkSession, model: Model) -> DataFrame:
-    """(sub, score, id): as many rows as the model has pieces, whatever the input."""
+    """(sub, rank): as many rows as the model has pieces, whatever the input. Rank 0 is the best score, ties by id."""
     import pandas as pd
 
-    return spark.createDataFrame(pd.DataFrame(model.pieces, columns=["sub", "score", "id"]), "sub string, score double, id int")
+    return spark.createDataFrame(pd.DataFrame({"sub": [model.by_id[i] for i in model.by_rank], "rank": range(len(model.by_rank))}), "sub string, rank long")
 
 
-#: Border masks: bit i stands for the border before code point i.
-_EDGE = "struct<rank:double,s:int,e:int,id:int,score:double,ends:bigint,inner:bigint>"
+#: An edge is one number, rank * 4096 + start * 64 + end, so that edges sort by rank and then place. As a struct it has bit masks
+#: of its two borders and of those inside it; bit i stands for the border before code point i.
+_OPEN = """transform(edges, x -> named_struct('code', x,
+    'ends', shiftleft(1L, CAST((x >> 6) & 63 AS INT)) | shiftleft(1L, CAST(x & 63 AS INT)),
+    'inner', (shiftleft(1L, CAST(x & 63 AS INT)) - 1) & ~(shiftleft(1L, CAST((x >> 6) & 63 AS INT) + 1) - 1)))"""
 
 
 def lexicon(words: DataFrame, model: Model) -> DataFrame:
-    """(bucket, word, ids) for distinct (bucket, word), dealt by bucket; ids is null where the word needs the heap."""
-    n, most = F.length("word"), model.longest
-    cut = words.withColumn("n", n).select(
-        "bucket",
-        "word",
-        "n",
-        F.explode(F.expr(f"flatten(transform(sequence(0, n - 1), s -> transform(sequence(1, least({most}, n - s)), l -> named_struct('s', s, 'e', s + l, 'sub', substring(word, s + 1, l)))))")).alias("x"),
-    )
+    """(bucket, word, ranks) for distinct (bucket, word), dealt by bucket: the ranks of the word's pieces in order; null where
+    a character is no piece, so that the word needs the byte fallback."""
+    starts = words.withColumn("n", F.length("word")).select("*", F.explode(F.expr("sequence(0, n - 1)")).alias("s"))
+    cut = starts.select("*", F.explode(F.expr(f"sequence(1, least({model.longest}, n - s))")).alias("l")).select("bucket", "word", "n", "s", "l", F.expr("substring(word, s + 1, l)").alias("sub"))
     # the piece table is broadcast: its size is the model's, about 1 MB
-    edges = cut.select("bucket", "word", "n", "x.s", "x.e", "x.sub").join(F.broadcast(piece_table(words.sparkSession, model)), "sub")
-    edge = F.expr("""named_struct('rank', -score, 's', s, 'e', e, 'id', id, 'score', score,
-        'ends', shiftleft(1L, s) | shiftleft(1L, e),
-        'inner', (shiftleft(1L, e) - 1) & ~(shiftleft(1L, s + 1) - 1))""")
-    grouped = edges.groupBy("bucket", "word", "n").agg(F.sort_array(F.collect_list(edge)).alias("edges"))
+    edges = cut.join(F.broadcast(piece_table(words.sparkSession, model)), "sub").select("bucket", "word", "n", F.expr("rank * 4096 + s * 64 + s + l").alias("edge"))
+    grouped = edges.groupBy("bucket", "word", "n").agg(F.sort_array(F.collect_list("edge")).alias("edges")).withColumn("edges", F.expr(_OPEN))
     if model.kind == "bpe":
-        folded = grouped.withColumn("borders", F.expr("""
-            aggregate(sequence(1, n - 1), shiftleft(1L, n + 1) - 1, (b, i) -> coalesce(
-              b & ~get(filter(edges, x -> x.inner <> 0 AND (b & x.ends) = x.ends AND bit_count(b & x.inner) = 1), 0).inner, b))""")).withColumn(
-            "path", F.expr("array_sort(transform(filter(edges, x -> (borders & x.ends) = x.ends AND (borders & x.inner) = 0), x -> named_struct('s', x.s, 'e', x.e, 'id', x.id)))"))
+        # the best-ranked edge that joins exactly two tokens is merged, again and again; each merge takes one inner border away
+        joins = grouped.withColumn("joins", F.expr("filter(edges, x -> x.inner <> 0)"))
+        merged = joins.withColumn("borders", F.expr("""
+            IF(size(joins) = 0, shiftleft(1L, n + 1) - 1, aggregate(sequence(1, least(n - 1, size(joins))), shiftleft(1L, n + 1) - 1,
+              (b, i) -> coalesce(b & ~get(filter(joins, x -> (b & x.ends) = x.ends AND bit_count(b & x.inner) = 1), 0).inner, b)))"""))
+        folded = merged.withColumn("path", F.expr("array_sort(transform(filter(edges, x -> (borders & x.ends) = x.ends AND (borders & x.inner) = 0), x -> named_struct('at', x.code & 4095, 'rank', x.code >> 12)))"))
     else:
-        folded = grouped.withColumn("path", F.expr("""
-            element_at(aggregate(sequence(1, n), array(named_struct('score', 0D, 'path', CAST(array() AS array<struct<s:int,e:int,id:int>>))),
-              (best, at) -> array_append(best, reduce(filter(edges, x -> x.e = at),
-                named_struct('score', CAST('-Infinity' AS DOUBLE), 'path', CAST(array() AS array<struct<s:int,e:int,id:int>>)),
-                (m, x) -> CASE WHEN get(best, x.s).score + x.score > m.score
-                  THEN named_struct('score', get(best, x.s).score + x.score, 'path', array_append(get(best, x.s).path, named_struct('s', x.s, 'e', x.e, 'id', x.id))) ELSE m END))), -1).path"""))
-    whole = F.expr("aggregate(path, 0, (a, x) -> a + x.e - x.s) = n")
-    return folded.select("bucket", "word", F.when(whole, F.expr("transform(path, x -> x.id)")).alias("ids"))
+        scores = F.lit([model.score_of[i] for i in model.by_rank])
+        folded = grouped.withColumn("scored", F.transform("edges", lambda x: F.struct((x["code"].bitwiseAND(4095)).alias("at"), F.shiftright(x["code"], 12).alias("rank"), F.get(scores, F.shiftright(x["code"], 12).cast("int")).alias("score"))))
+        empty = "CAST(array() AS array<struct<at:bigint,rank:bigint>>)"
+        # Viterbi: the best path to each place from the best paths to the places before it
+        folded = folded.withColumn("path", F.expr(f"""
+            element_at(aggregate(sequence(1, n), array(named_struct('score', 0D, 'path', {empty})),
+              (best, to) -> array_append(best, aggregate(filter(scored, x -> (x.at & 63) = to), named_struct('score', CAST('-Infinity' AS DOUBLE), 'path', {empty}),
+                (m, x) -> CASE WHEN get(best, CAST(x.at >> 6 AS INT)).score + x.score > m.score
+                  THEN named_struct('score', get(best, CAST(x.at >> 6 AS INT)).score + x.score, 'path', array_append(get(best, CAST(x.at >> 6 AS INT)).path, named_struct('at', x.at, 'rank', x.rank))) ELSE m END))), -1).path"""))
+    whole = F.expr("aggregate(path, 0L, (a, x) -> a + (x.at & 63) - (x.at >> 6)) = n")
+    return folded.select("bucket", "word", F.when(whole, F.expr("transform(path, x -> x.rank)")).alias("ranks"))
 
 
 def _chunk(key):
@@ -246,9 +256,9 @@ def encode(docs: DataFrame, model_path: str = MODEL, id_col: str = "doc_id", tex
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_of(text_col).alias("text")).withColumn("chunk", _chunk(F.col("doc_id")).cast("long"))
     dealt = chunk_words(texts).repartition("bucket")
     exploded = dealt.select("bucket", "chunk", F.explode(F.split("words", _ENTRY, -1)).alias("word"))
-    known = lexicon(exploded.select("bucket", "word").distinct(), model).where("ids IS NOT NULL")
+    known = lexicon(exploded.select("bucket", "word").distinct(), model)
     # both sides are dealt by bucket already; a chunk's entries of a bucket leave as one string
-    entry = F.concat_ws(_FIELD, "word", F.array_join("ids", " "))
+    entry = F.when(F.col("ranks").isNotNull(), F.concat_ws(_FIELD, "word", F.array_join("ranks", " ")))
     packed = exploded.join(known.hint("shuffle_hash"), ["bucket", "word"]).groupBy("bucket", "chunk").agg(F.array_join(F.collect_list(entry), _ENTRY).alias("entries"))
     rows_in = packed.select("chunk", F.lit(0).alias("kind"), F.lit(None).cast("long").alias("doc_id"), F.col("entries").alias("text")).unionByName(texts.select("chunk", F.lit(1).alias("kind"), "doc_id", "text"))
     together = rows_in.repartition("chunk").sortWithinPartitions("chunk", "kind")
@@ -257,14 +267,16 @@ def encode(docs: DataFrame, model_path: str = MODEL, id_col: str = "doc_id", tex
     def rows(source):
         encoder = Encoder(shared.value)
         decoder = Decoder(shared.value)
+        by_rank = shared.value.by_rank
         now, book = None, {}
         for chunk, kind, key, text in source:
             if chunk != now:
                 now, book = chunk, {}
             if not kind:
                 for e in text.split(_ENTRY):
-                    w, _, ids = e.rpartition(_FIELD)
-                    book[w] = [*map(int, ids.split(" "))]
+                    w, _, ranks = e.rpartition(_FIELD)
+                    if w:
+                        book[w] = [by_rank[int(r)] for r in ranks.split(" ")]
                 continue
             words = split_words(text)
             ids: list[int] = []
