@@ -20,6 +20,7 @@ import math
 import zlib
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -144,33 +145,26 @@ def replay(p: np.ndarray, steps: list[tuple[float, np.ndarray]]) -> tuple[np.nda
     return x, y
 
 
+def _arrays(batch: pa.RecordBatch, d: int) -> tuple[np.ndarray, np.ndarray]:
+    """Token counts and posteriors of a batch (n_tokens, p)."""
+    return batch.column(0).to_numpy(zero_copy_only=False).astype(float), batch.column(1).flatten().to_numpy(zero_copy_only=False).reshape(-1, d)
+
+
 def fit_rates(members: DataFrame, targets: list[float], budget: float | None = None, max_steps: int = STEPS, tolerance: float = TOLERANCE) -> tuple[list[tuple[float, np.ndarray]], np.ndarray]:
     """(steps to replay, final error by domain as a share of the budget). targets sum to 1; members: (n_tokens, p)."""
     d = len(targets)
 
     def totals(steps):
-        def rows(source):
+        def run(batches):
             total, second, look = np.zeros(d), np.zeros((d, d)), np.zeros(d)
-            held: list[tuple] = []
-
-            def add():
-                nonlocal total, second, look
-                if held:
-                    t, p = np.array([h[0] for h in held], float), np.array([h[1] for h in held])
-                    x, y = replay(p, steps)
-                    total, look = total + (t * x) @ p, look + (t * y) @ p
-                    second = second + (p * t[:, None]).T @ p
-                    held.clear()
-
-            for row in source:
-                held.append(row)
-                if len(held) >= 4096:
-                    add()
-            add()
-            for i in range(d):
-                yield i, total[i], look[i], second[i].tolist()
-
-        part = map_rows(members, [F.col("n_tokens"), F.col("p")], "i int, x double, y double, h array<double>", rows)
+            for batch in batches:
+                t, p = _arrays(batch, d)
+                x, y = replay(p, steps)
+                total, look = total + (t * x) @ p, look + (t * y) @ p
+                second += (p * t[:, None]).T @ p
+            yield pa.RecordBatch.from_pydict({"i": pa.array(range(d), pa.int32()), "x": total, "y": look, "h": list(second)})
+
+        part = members.select("n_tokens", "p").mapInArrow(run, "i int, x double, y double, h array<double>")
         got = {r.i: r for r in part.groupBy("i").agg(F.sum("x").alias("x"), F.sum("y").alias("y"), *[F.sum(F.col("h")[j]).alias(f"h{j}") for j in range(d)]).collect()}
         if not got:
             return np.zeros(d), np.zeros(d), np.zeros((d, d))
@@ -203,14 +197,15 @@ def fit_rates(members: DataFrame, targets: list[float], budget: float | None = N
     return best, x / total - want
 
 
-def rates(members: DataFrame, steps: list[tuple[float, np.ndarray]]) -> DataFrame:
+def rates(members: DataFrame, steps: list[tuple[float, np.ndarray]], d: int) -> DataFrame:
     """members with the rate of each row."""
 
-    def rows(source):
-        for key, n, p in source:
-            yield key, n, p, float(replay(np.array([p]), steps)[0][0])
+    def run(batches):
+        for batch in batches:
+            _, p = _arrays(batch.select(["n_tokens", "p"]), d)
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(replay(p, steps)[0])], names=["doc_id", "n_tokens", "p", "rate"])
 
-    return map_rows(members, [F.col("doc_id"), F.col("n_tokens"), F.col("p")], "doc_id long, n_tokens long, p array<double>, rate double", rows)
+    return members.select("doc_id", "n_tokens", "p").mapInArrow(run, "doc_id long, n_tokens long, p array<double>, rate double")
 
 
 def mix(docs: DataFrame, labels: DataFrame, targets: dict[str, float] = TARGETS, id_col: str = "doc_id", text_col: str = "text", budget: float | None = None) -> DataFrame:
@@ -218,7 +213,7 @@ def mix(docs: DataFrame, labels: DataFrame, targets: dict[str, float] = TARGETS,
     names = tuple(targets)
     members = materialise(memberships(docs, train(docs, labels, id_col, text_col, domains=names), id_col, text_col), "members")
     steps, _ = fit_rates(members, [targets[n] for n in names], budget)
-    return rates(members, steps)
+    return rates(members, steps, len(names))
 
 
 def label_domains(labels: DataFrame) -> DataFrame:
