@@ -1,11 +1,14 @@
 """SentencePiece encoding and decoding by a relational lattice.
 
 Texts fall into words that start with the space sign; no piece reaches over a word's start, so words are encoded alone and
-every distinct word once. Words of one hash bucket stand together: their substrings up to the longest piece are exploded and
-equi-joined to the piece table, the edges of a word are grouped, and a higher-order aggregate folds them: Viterbi over the
-positions for unigram models, or, for BPE models whose encoding is not the best-scored path, the merges in the order of their
-scores over a bit mask of the token borders. The encoded words go back to the documents in chunks of neighbouring ids: a
-chunk's dictionary is streamed ahead of its texts.
+every distinct word once. Substrings up to the longest piece are exploded and equi-joined to the piece table, the edges of a
+word are grouped and folded: Viterbi over the positions for unigram models, or, for BPE models whose encoding is not the
+best-scored path, the merges in the order of their scores.
+
+Two physical forms give the same ids. `lexicon` and `encode_by_lexicon` do all of it in DataFrame functions, with the fold as a
+higher-order aggregate, and send a dictionary of encoded words back to the documents; that ships texts and words several times
+(figures in the README). `encode` does the same relational steps on columns of numbers within a task, over the distinct words of
+the texts it holds, and shuffles nothing.
 
 Words longer than MAX_FOLD code points, or with characters that no piece has (byte fallback), are encoded by the same merges on
 a heap, exactly.
@@ -21,11 +24,13 @@ import re
 from dataclasses import dataclass
 from pathlib import Path
 
+import numpy as np
+import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gridmul.llm.common import map_rows, text_of
+from gridmul.llm.common import map_rows, materialise, small_batches, text_of
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 SPACE = "▁"
@@ -250,11 +255,11 @@ def chunk_words(texts: DataFrame) -> DataFrame:
     return map_rows(texts, [F.col("chunk"), F.col("text")], "bucket int, chunk long, words string", rows)
 
 
-def encode(docs: DataFrame, model_path: str = MODEL, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def encode_by_lexicon(docs: DataFrame, model_path: str = MODEL, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, ids, n_tokens, n_words, decoded_equal): token ids of every row's whole text, and whether they decode to it."""
     model = load_model(model_path)
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_of(text_col).alias("text")).withColumn("chunk", _chunk(F.col("doc_id")).cast("long"))
-    dealt = chunk_words(texts).repartition("bucket")
+    dealt = materialise(chunk_words(texts), "words").repartition("bucket")
     exploded = dealt.select("bucket", "chunk", F.explode(F.split("words", _ENTRY, -1)).alias("word"))
     known = lexicon(exploded.select("bucket", "word").distinct(), model)
     # both sides are dealt by bucket already; a chunk's entries of a bucket leave as one string
@@ -290,13 +295,192 @@ def encode(docs: DataFrame, model_path: str = MODEL, id_col: str = "doc_id", tex
     return map_rows(together, [F.col(c) for c in ("chunk", "kind", "doc_id", "text")], "doc_id long, ids array<int>, n_tokens long, n_words long, decoded_equal boolean", rows)
 
 
+class Lattice:
+    """Encodes many distinct words at once: explode, join, group and fold on columns of numbers."""
+
+    BLOCK_CHARS = 400_000
+    _BASE = np.uint64(0x9E3779B97F4A7C15 | 1)
+
+    def __init__(self, model: Model):
+        self.model = model
+        self.encoder = Encoder(model)
+        self.decoder = Decoder(model)
+        self.powers = self._powers(self._BASE, model.longest)
+        by_rank = model.by_rank
+        self.ids = np.array(by_rank, np.int32)
+        # the piece table as a hash table with open addressing: key (the hash of the piece) to rank
+        self.bits = max(4, (len(by_rank) * 8).bit_length())
+        self.keys, self.ranks = np.zeros(1 << self.bits, np.uint64), np.full(1 << self.bits, -1, np.int32)
+        flat = np.frombuffer("".join(model.by_id[i] for i in by_rank).encode("utf-32-le"), np.uint32)
+        ends = np.cumsum([len(model.by_id[i]) for i in by_rank])
+        prefix = self._prefix(flat)
+        for rank, (a, b) in enumerate(zip([0, *ends[:-1].tolist()], ends.tolist())):
+            key = self._hash(prefix, np.array([a]), b - a)
+            at = int(self._slot(key)[0])
+            while self.ranks[at] >= 0:
+                at = (at + 1) % len(self.keys)
+            self.keys[at], self.ranks[at] = key[0], rank
+
+    @staticmethod
+    def _powers(base: np.uint64, n: int) -> np.ndarray:
+        out = np.full(n + 1, base, np.uint64)
+        out[0] = 1
+        return np.cumprod(out, dtype=np.uint64)
+
+    def _prefix(self, codes: np.ndarray) -> np.ndarray:
+        """Hashes of all prefixes, by a running product that wraps."""
+        # h[i + 1] = h[i] * base + code is a scan; over inverse powers it is a plain sum
+        inverse = np.uint64(pow(int(self._BASE), -1, 1 << 64))
+        n = len(codes)
+        back = self._powers(inverse, n)
+        out = np.zeros(n + 1, np.uint64)
+        np.cumsum((codes.astype(np.uint64) + np.uint64(1)) * back[1:], out=out[1:])
+        return out * self._powers(self._BASE, n)
+
+    def _hash(self, prefix: np.ndarray, at: np.ndarray, length: int) -> np.ndarray:
+        return (prefix[at + length] - prefix[at] * self.powers[length]) * np.uint64(0xD6E8FEB86659FD93) + np.uint64(length)
+
+    def _slot(self, key: np.ndarray) -> np.ndarray:
+        return ((key ^ (key >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9) >> np.uint64(64 - self.bits)).astype(np.int64)
+
+    def _join(self, key: np.ndarray) -> np.ndarray:
+        """Rank of each key, -1 where it is no piece."""
+        slot = self._slot(key)
+        out = np.where(self.keys[slot] == key, self.ranks[slot], -1)
+        open_ = np.flatnonzero((out < 0) & (self.ranks[slot] >= 0))
+        while len(open_):
+            slot[open_] = (slot[open_] + 1) % len(self.keys)
+            s = slot[open_]
+            hit = (self.keys[s] == key[open_]) & (self.ranks[s] >= 0)
+            out[open_[hit]] = self.ranks[s[hit]]
+            open_ = open_[~hit & (self.ranks[s] >= 0)]
+        return out
+
+    def encode(self, words: list[str]) -> dict[str, bytes]:
+        """Word to its ids as 32-bit numbers."""
+        out: dict[str, bytes] = {}
+        block: list[str] = []
+        size = 0
+        for w in words:
+            if len(w) > MAX_FOLD or self.model.kind != "bpe":
+                out[w] = np.array(self.encoder.encode(w), np.int32).tobytes()
+                continue
+            block.append(w)
+            size += len(w)
+            if size >= self.BLOCK_CHARS:
+                self._block(block, out)
+                block, size = [], 0
+        if block:
+            self._block(block, out)
+        return out
+
+    def _block(self, words: list[str], out: dict[str, bytes]) -> None:
+        codes = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), np.uint32)
+        sizes = np.array([len(w) for w in words])
+        ends = np.cumsum(sizes)
+        begins = ends - sizes
+        n = len(codes)
+        left = np.repeat(ends, sizes) - np.arange(n)  # code points to the word's end
+        with np.errstate(over="ignore"):
+            prefix = self._prefix(codes)
+            # explode the substrings of each length and join them to the pieces; ranks[length, start]
+            ranks = np.full((self.model.longest + 1, n), -1, np.int32)
+            for length in range(1, self.model.longest + 1):
+                at = np.flatnonzero(left >= length)
+                if not len(at):
+                    break
+                ranks[length, at] = self._join(self._hash(prefix, at, length))
+        start, length, word = np.arange(n), np.ones(n, np.int64), np.repeat(np.arange(len(words)), sizes)
+        done: list[tuple[np.ndarray, np.ndarray]] = []
+        none = np.int64(1) << 40
+        while len(start):
+            # every word merges its best-ranked pair, the leftmost of equals; words without one are finished
+            both = length[:-1] + length[1:]
+            fits = (word[:-1] == word[1:]) & (both <= self.model.longest)
+            found = np.where(fits, ranks[np.where(fits, both, 0), start[:-1]], -1)
+            key = np.append(np.where(found >= 0, found.astype(np.int64) * 64 + (start[:-1] - begins[word[:-1]]), none), none)
+            heads = np.flatnonzero(np.concatenate(([True], word[1:] != word[:-1])))
+            best = np.repeat(np.minimum.reduceat(key, heads), np.diff(np.append(heads, len(word))))
+            over = best == none
+            if over.any():
+                done.append((start[over], length[over]))
+            chosen = (key == best) & ~over
+            length = np.where(chosen, np.append(both, 0), length)
+            keep = ~over & ~np.concatenate(([False], chosen[:-1]))
+            start, length, word = start[keep], length[keep], word[keep]
+        start, length = (np.concatenate(x) for x in zip(*done))
+        order = np.argsort(start, kind="stable")
+        start, length = start[order], length[order]
+        got = ranks[length, start]
+        ids = np.where(got >= 0, self.ids[np.maximum(got, 0)], -1).astype(np.int32)
+        cuts = np.searchsorted(start, ends)
+        rare = {int(i) for i in np.unique(np.searchsorted(ends, start[got < 0], side="right"))}
+        raw = ids.tobytes()
+        at = 0
+        for i, (w, cut) in enumerate(zip(words, (4 * cuts).tolist())):
+            out[w] = raw[at:cut] if i not in rare else np.array(self.encoder.encode(w), np.int32).tobytes()
+            at = cut
+
+
+#: Characters of texts, and distinct words, that a task holds at a time.
+HELD_CHARS = 4_000_000
+BOOK_WORDS = 600_000
+
+
+def encode(docs: DataFrame, model_path: str = MODEL, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(doc_id, ids, n_tokens, n_words, decoded_equal): token ids of every row's whole text, and whether they decode to it."""
+    small_batches(docs.sparkSession)
+    shared = docs.sparkSession.sparkContext.broadcast(load_model(model_path))  # of the model's size
+    schema = pa.schema([("doc_id", pa.int64()), ("ids", pa.list_(pa.int32())), ("n_tokens", pa.int64()), ("n_words", pa.int64()), ("decoded_equal", pa.bool_())])
+
+    def run(batches):
+        lattice = Lattice(shared.value)
+        book: dict[str, bytes] = {}
+        odd: set[str] = set()  # words that decode to something else: with the space sign or broken code points in the text
+
+        def hand_on(held: list[tuple]) -> pa.RecordBatch:
+            new = {w for _, words in held for w in words} - book.keys()
+            if len(book) + len(new) > BOOK_WORDS:
+                book.clear()
+                odd.clear()
+                new = {w for _, words in held for w in words}
+            for w, raw in lattice.encode(list(new)).items():
+                book[w] = raw
+                if lattice.decoder.raw(np.frombuffer(raw, np.int32).tolist()) != w.replace(SPACE, " ").encode("utf-8", "surrogatepass"):
+                    odd.add(w)
+            parts = [b"".join(map(book.__getitem__, words)) for _, words in held]
+            sizes = np.array([len(p) // 4 for p in parts], np.int64)
+            flat = pa.py_buffer(b"".join(parts))
+            values = pa.Array.from_buffers(pa.int32(), int(sizes.sum()), [None, flat])
+            lists = pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(sizes))), pa.int32()), values)
+            equal = [not odd or odd.isdisjoint(words) for _, words in held]
+            return pa.RecordBatch.from_arrays([pa.array([k for k, _ in held], pa.int64()), lists, pa.array(sizes), pa.array([len(w) for _, w in held], pa.int64()), pa.array(equal)], schema=schema)
+
+        held, size = [], 0
+        for batch in batches:
+            for key, text in zip(*(c.to_pylist() for c in batch.columns)):
+                words = split_words(text)
+                held.append((key, words))
+                size += len(text)
+                if size >= HELD_CHARS:
+                    yield hand_on(held)
+                    held, size = [], 0
+        if held:
+            yield hand_on(held)
+
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), text_of(text_col).alias("text")).mapInArrow(run, "doc_id long, ids array<int>, n_tokens long, n_words long, decoded_equal boolean")
+
+
 class Decoder:
     def __init__(self, model: Model):
         low = model.bytes_at
         self.table = [bytes([i - low]) if low is not None and low <= i < low + 256 else p.replace(SPACE, " ").encode() for i, p in enumerate(model.by_id)]
 
+    def raw(self, ids: list[int]) -> bytes:
+        return b"".join(map(self.table.__getitem__, ids))
+
     def decode(self, ids: list[int]) -> str:
-        out = b"".join(map(self.table.__getitem__, ids)).decode("utf-8", "replace")
+        out = self.raw(ids).decode("utf-8", "replace")
         return out[1:] if out[:1] == " " else out
 
 
