@@ -232,7 +232,7 @@ def blocked_lu(a: MatrixFrame, block: int, materialise=None) -> tuple[DataFrame,
         spark = a.spark
 
         def small(x: np.ndarray, at: int = at) -> MatrixFrame:
-            return MatrixFrame(spark.createDataFrame([(at + i, at + j, float(x[i, j])) for i, j in zip(*np.nonzero(x))], "row long, col long, value double"), meta)
+            return MatrixFrame(spark.createDataFrame([(at + int(i), at + int(j), float(x[i, j])) for i, j in zip(*np.nonzero(x))], "row long, col long, value double"), meta)
 
         below = MatrixFrame(rest.where((F.col("row") >= end) & (F.col("col") < end)), meta)
         right = MatrixFrame(rest.where((F.col("row") < end) & (F.col("col") >= end)), meta)

@@ -34,11 +34,13 @@ def shuffle_stats(df: DataFrame) -> dict:
     values = store.executionMetrics(run.executionId())
     out = {"shuffle_bytes": 0, "shuffle_rows": 0, "spill_bytes": 0}
     metrics = run.metrics()
+    seen = set()
     for k in range(metrics.size()):
         m = metrics.apply(k)
         got = values.get(m.accumulatorId())
-        if got.isEmpty():
+        if got.isEmpty() or m.accumulatorId() in seen:  # a plan that was changed while it ran lists a metric again
             continue
+        seen.add(m.accumulatorId())
         text = got.get()
         name = m.name()
         if name == "shuffle bytes written":

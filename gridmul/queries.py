@@ -448,28 +448,29 @@ def _cube_sql(how: str) -> str:
     return f"SELECT operand, level, CAST(sum(receivers * elements) AS BIGINT) AS deliveries FROM ({_GROUPED_SCHEDULE}) GROUP BY {how}"
 
 
-_DELIVERED = F.sum(F.col("receivers") * F.col("elements")).alias("deliveries")
+def _delivered() -> F.Column:
+    return F.sum(F.col("receivers") * F.col("elements")).alias("deliveries")
 
 
 @query(_cube_sql("ROLLUP (operand, level)"))
 def schedule_rollup(spark, d):
-    return _plan(spark, "grouped").rollup("operand", "level").agg(_DELIVERED)
+    return _plan(spark, "grouped").rollup("operand", "level").agg(_delivered())
 
 
 @query(_cube_sql("CUBE (operand, level)"))
 def schedule_cube(spark, d):
-    return _plan(spark, "grouped").cube("operand", "level").agg(_DELIVERED)
+    return _plan(spark, "grouped").cube("operand", "level").agg(_delivered())
 
 
 @query(_cube_sql("GROUPING SETS ((operand), (level))"))
 def schedule_sets(spark, d):
-    return _plan(spark, "grouped").groupingSets([["operand"], ["level"]], "operand", "level").agg(_DELIVERED).select("operand", "level", "deliveries")
+    return _plan(spark, "grouped").groupingSets([["operand"], ["level"]], "operand", "level").agg(_delivered()).select("operand", "level", "deliveries")
 
 
 @query(f"SELECT operand, arg_max(root, deliveries * 1000000 - root) AS root, CAST(max(deliveries) AS BIGINT) AS deliveries FROM (SELECT operand, CAST(((root_grp_row * 3 + root_grp_col) * 2 + root_in_row) * 2 + root_in_col AS BIGINT) AS root, CAST(sum(receivers * elements) AS BIGINT) AS deliveries FROM ({_GROUPED_SCHEDULE}) GROUP BY 1, 2) GROUP BY 1")
 def schedule_busiest(spark, d):
     root = (((F.col("root_grp_row") * 3 + F.col("root_grp_col")) * 2 + F.col("root_in_row")) * 2 + F.col("root_in_col")).cast("long")
-    per = _plan(spark, "grouped").groupBy("operand", root.alias("root")).agg(_DELIVERED)
+    per = _plan(spark, "grouped").groupBy("operand", root.alias("root")).agg(_delivered())
     return per.groupBy("operand").agg(F.max_by("root", F.col("deliveries") * 1_000_000 - F.col("root")).alias("root"), F.max("deliveries").alias("deliveries"))
 
 
