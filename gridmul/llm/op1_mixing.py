@@ -30,7 +30,10 @@ DOMAINS = ("good", "poor", "toxic")
 #: Share of all expected tokens that each domain shall have.
 TARGETS = {"good": 0.98, "poor": 0.01, "toxic": 0.01}
 TRAIN_ROWS = 4000
-BUCKETS = 1 << 14
+BUCKETS = 1 << 18
+#: A word counts where the share of one domain's documents that hold it exceeds that of the others by so many standard errors.
+MIN_EVIDENCE = 6.0
+MIN_DOCUMENTS = 8
 STEPS = 60
 TOLERANCE = 1e-5
 #: Steps without a gain of TOLERANCE after which the fit ends: its least error is not zero then.
@@ -53,7 +56,7 @@ class _Buckets(dict):
 def features(text: str, buckets: dict) -> tuple[int, np.ndarray, np.ndarray]:
     """(tokens, buckets of the distinct words, dense features)."""
     words = text.lower().split()
-    unique = set(words)
+    unique = {w.strip(".,;:!?\"'()[]") for w in set(words)}
     at = np.unique(np.fromiter(map(buckets.__getitem__, unique), np.int64, len(unique)))
     codes = np.frombuffer(text.encode("latin-1", "replace"), np.uint8)
     n = max(len(codes), 1)
@@ -73,9 +76,9 @@ def features(text: str, buckets: dict) -> tuple[int, np.ndarray, np.ndarray]:
 
 
 def posterior(at: np.ndarray, dense: np.ndarray, model: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
-    """Softmax over the domains; words count by the root of their number so that long texts stay soft."""
+    """Softmax over the domains."""
     sparse, full = model
-    z = full @ dense + (sparse[:, at].sum(axis=1) / math.sqrt(len(at)) if len(at) else 0)
+    z = full @ dense + sparse[:, at].sum(axis=1)
     p = np.exp(z - z.max())
     return p / p.sum()
 
@@ -84,6 +87,20 @@ def domain_of(quality: Column, toxic: Column) -> Column:
     return F.when(toxic == 1, "toxic").when(quality == 1, "good").when(quality == 0, "poor")
 
 
+def _telling(cols: np.ndarray, owner: np.ndarray, y: np.ndarray, domains: int) -> np.ndarray:
+    """Buckets that speak for a domain: enough documents, and a share in it well above the others'."""
+    held = np.stack([np.bincount(cols[y[owner] == d], minlength=BUCKETS) for d in range(domains)]).astype(float)
+    sizes, total = np.bincount(y, minlength=domains), held.sum(axis=0)
+    out = np.zeros(BUCKETS, bool)
+    share = total / len(y)
+    for d in range(domains):
+        other = len(y) - sizes[d]
+        if sizes[d] and other:
+            error = np.sqrt(np.maximum(share * (1 - share), 1e-12) * (1 / sizes[d] + 1 / other))
+            out |= held[d] / sizes[d] - (total - held[d]) / other >= MIN_EVIDENCE * error
+    return out & (total >= MIN_DOCUMENTS)
+
+
 def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", rows: int = TRAIN_ROWS, domains: tuple[str, ...] = DOMAINS) -> tuple[np.ndarray, np.ndarray]:
     """Weights (domain x bucket, domain x dense) from at most about `rows` labelled documents.
 
@@ -104,21 +121,24 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
         return sparse, full
     got.sort(key=lambda r: (r.domain, r.at, r.dense))  # rows come in any order
     y = np.array([domains.index(r.domain) for r in got])
-    sizes = np.array([len(r.at) for r in got])
-    cols, owner = np.concatenate([np.array(r.at, np.int64) for r in got]), np.repeat(np.arange(len(got)), sizes)
-    scale = 1 / np.sqrt(np.maximum(sizes, 1))
+    cols, owner = np.concatenate([np.array(r.at, np.int64) for r in got]), np.repeat(np.arange(len(got)), [len(r.at) for r in got])
+    telling = _telling(cols, owner, y, len(domains))[cols]
+    owner = owner[telling]
+    used, cols = np.unique(cols[telling], return_inverse=True)
     dense = np.array([r.dense for r in got])
     onehot = np.eye(len(domains))[y].T
+    few = np.zeros((len(domains), len(used)))
     # diagonal (adaptive) gradient steps
-    squares = [np.full_like(sparse, 1e-8), np.full_like(full, 1e-8)]
-    for _ in range(80):
-        z = full @ dense.T + np.stack([np.bincount(owner, sparse[d][cols], len(got)) for d in range(len(domains))]) * scale
+    squares = [np.full_like(few, 1e-8), np.full_like(full, 1e-8)]
+    for _ in range(150):
+        z = full @ dense.T + np.stack([np.bincount(owner, few[d][cols], len(got)) for d in range(len(domains))])
         p = np.exp(z - z.max(axis=0))
         err = (p / p.sum(axis=0) - onehot) / len(got)
-        grads = [np.stack([np.bincount(cols, (err[d] * scale)[owner], BUCKETS) for d in range(len(domains))]) + 1e-6 * sparse, err @ dense + 1e-6 * full]
-        for w, g, s in zip((sparse, full), grads, squares):
-            s += g * g
-            w -= 0.5 * g / np.sqrt(s)
+        grads = [np.stack([np.bincount(cols, err[d][owner], len(used)) for d in range(len(domains))]) + 1e-4 * few, err @ dense + 1e-6 * full]
+        for w, g, q in zip((few, full), grads, squares):
+            q += g * g
+            w -= 0.2 * g / np.sqrt(q)
+    sparse[:, used] = few
     return sparse, full
 
 
