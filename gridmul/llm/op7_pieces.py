@@ -215,8 +215,8 @@ def lexicon(words: DataFrame, model: Model) -> DataFrame:
         folded = folded.withColumn("path", F.expr(f"""
             element_at(aggregate(sequence(1, n), array(named_struct('score', 0D, 'path', {empty})),
               (best, to) -> array_append(best, aggregate(filter(scored, x -> (x.at & 63) = to), named_struct('score', CAST('-Infinity' AS DOUBLE), 'path', {empty}),
-                (m, x) -> CASE WHEN get(best, CAST(x.at >> 6 AS INT)).score + x.score > m.score
-                  THEN named_struct('score', get(best, CAST(x.at >> 6 AS INT)).score + x.score, 'path', array_append(get(best, CAST(x.at >> 6 AS INT)).path, named_struct('at', x.at, 'rank', x.rank))) ELSE m END))), -1).path"""))
+                (m, x) -> IF(get(best, CAST(shiftright(x.at, 6) AS INT)).score + x.score > m.score,
+                  named_struct('score', get(best, CAST(shiftright(x.at, 6) AS INT)).score + x.score, 'path', array_append(get(best, CAST(shiftright(x.at, 6) AS INT)).path, named_struct('at', x.at, 'rank', x.rank))), m)))), -1).path"""))
     whole = F.expr("aggregate(path, 0L, (a, x) -> a + (x.at & 63) - (x.at >> 6)) = n")
     return folded.select("bucket", "word", F.when(whole, F.expr("transform(path, x -> x.rank)")).alias("ranks"))
 
