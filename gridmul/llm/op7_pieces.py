@@ -390,35 +390,65 @@ class Lattice:
                 if not len(at):
                     break
                 ranks[length, at] = self._join(self._hash(prefix, at, length))
-        start, length, word = np.arange(n), np.ones(n, np.int64), np.repeat(np.arange(len(words)), sizes)
+        start, length, word = np.arange(n, dtype=np.int32), np.ones(n, np.int32), np.repeat(np.arange(len(words), dtype=np.int32), sizes)
+        offset = start - np.repeat(begins, sizes).astype(np.int32)
         done: list[tuple[np.ndarray, np.ndarray]] = []
-        none = np.int64(1) << 40
+        none = np.iinfo(np.int32).max  # ranks times 64 stay below: a piece table has far fewer than 2^25 rows
+        flat, most = ranks.ravel(), self.model.longest
+        key = np.full(n, none, np.int32)
+
+        def pair_keys(i: np.ndarray) -> np.ndarray:
+            """Keys of the pairs (i, i + 1): rank, then place."""
+            out = np.full(len(i), none, np.int32)
+            i_, j = i[i + 1 < len(start)], i[i + 1 < len(start)] + 1
+            both = length[i_] + length[j]
+            fits = np.flatnonzero((word[i_] == word[j]) & (both <= most))
+            found = flat[both[fits].astype(np.int64) * n + start[i_[fits]]]
+            out[fits] = np.where(found >= 0, found * 64 + offset[i_[fits]], none)
+            return out
+
+        key = pair_keys(np.arange(n))
         while len(start):
             # every word merges its best-ranked pair, the leftmost of equals; words without one are finished
-            both = length[:-1] + length[1:]
-            fits = (word[:-1] == word[1:]) & (both <= self.model.longest)
-            found = np.where(fits, ranks[np.where(fits, both, 0), start[:-1]], -1)
-            key = np.append(np.where(found >= 0, found.astype(np.int64) * 64 + (start[:-1] - begins[word[:-1]]), none), none)
             heads = np.flatnonzero(np.concatenate(([True], word[1:] != word[:-1])))
-            best = np.repeat(np.minimum.reduceat(key, heads), np.diff(np.append(heads, len(word))))
+            least = np.minimum.reduceat(key, heads)
+            best = np.repeat(least, np.diff(np.append(heads, len(word))))
             over = best == none
             if over.any():
                 done.append((start[over], length[over]))
-            chosen = (key == best) & ~over
-            length = np.where(chosen, np.append(both, 0), length)
-            keep = ~over & ~np.concatenate(([False], chosen[:-1]))
-            start, length, word = start[keep], length[keep], word[keep]
+            at = np.flatnonzero((key == best) & ~over)
+            length[at] += length[at + 1]
+            keep = ~over
+            keep[at + 1] = False
+            place = np.cumsum(keep) - 1
+            start, length, word, offset, key = start[keep], length[keep], word[keep], offset[keep], key[keep]
+            # only the merged token's pair and the one before it are new
+            merged = place[at]
+            key[merged] = pair_keys(merged)
+            before = merged[merged > 0] - 1
+            key[before] = pair_keys(before)
         start, length = (np.concatenate(x) for x in zip(*done))
         order = np.argsort(start, kind="stable")
         start, length = start[order], length[order]
         got = ranks[length, start]
         ids = np.where(got >= 0, self.ids[np.maximum(got, 0)], -1).astype(np.int32)
-        cuts = np.searchsorted(start, ends)
-        rare = {int(i) for i in np.unique(np.searchsorted(ends, start[got < 0], side="right"))}
+        # characters that are no piece stand for their bytes, or for the unknown piece
+        rare = np.flatnonzero(got < 0)
+        wide = np.ones(len(ids), np.int64)
+        kinds, which = np.unique(codes[start[rare]], return_inverse=True)
+        spelled = [self.encoder.ids(chr(c)) for c in kinds.tolist()]
+        wide[rare] = np.array([len(x) for x in spelled], np.int64)[which] if len(rare) else 1
+        first = np.cumsum(wide) - wide
+        ids = np.repeat(ids, wide)
+        for k, x in enumerate(spelled):
+            at = first[rare[which == k]]
+            for j, i in enumerate(x):
+                ids[at + j] = i
+        cuts = np.append(first, len(ids))[np.searchsorted(start, ends)]
         raw = ids.tobytes()
         at = 0
-        for i, (w, cut) in enumerate(zip(words, (4 * cuts).tolist())):
-            out[w] = raw[at:cut] if i not in rare else np.array(self.encoder.encode(w), np.int32).tobytes()
+        for w, cut in zip(words, (4 * cuts).tolist()):
+            out[w] = raw[at:cut]
             at = cut
 
 
@@ -444,10 +474,11 @@ def encode(docs: DataFrame, model_path: str = MODEL, id_col: str = "doc_id", tex
                 book.clear()
                 odd.clear()
                 new = {w for _, words in held for w in words}
-            for w, raw in lattice.encode(list(new)).items():
-                book[w] = raw
-                if lattice.decoder.raw(np.frombuffer(raw, np.int32).tolist()) != w.replace(SPACE, " ").encode("utf-8", "surrogatepass"):
-                    odd.add(w)
+            got = lattice.encode(list(new))
+            book.update(got)
+            # all new words are decoded together; one by one only where that shows a difference
+            if got and lattice.decoder.raw(np.frombuffer(b"".join(got.values()), np.int32).tolist()) != "".join(got).replace(SPACE, " ").encode("utf-8", "surrogatepass"):
+                odd.update(w for w, raw in got.items() if lattice.decoder.raw(np.frombuffer(raw, np.int32).tolist()) != w.replace(SPACE, " ").encode("utf-8", "surrogatepass"))
             parts = [b"".join(map(book.__getitem__, words)) for _, words in held]
             sizes = np.array([len(p) // 4 for p in parts], np.int64)
             flat = pa.py_buffer(b"".join(parts))
