@@ -675,7 +675,7 @@ def rank_suppliers(spark, d):
     return sums.select("row", "total", F.rank().over(order).alias("place"), F.dense_rank().over(order).alias("dense_place"), (F.col("total") - F.lag("total").over(Window.orderBy(F.desc("total"), "row"))).alias("step"))
 
 
-@query(_square_ctes() + "SELECT 'A' AS operand, CAST(count(*) * 2 AS BIGINT) AS routed, CAST(4 AS BIGINT) AS groups FROM a UNION ALL SELECT 'B', CAST(count(*) * 2 AS BIGINT), 4 FROM b")
+@query(_square_ctes() + "SELECT 'A' AS operand, CAST(count(*) * 2 AS BIGINT) AS routed, CAST(count(DISTINCT r // 32) * 2 AS BIGINT) AS groups FROM a UNION ALL SELECT 'B', CAST(count(*) * 2 AS BIGINT), CAST(count(DISTINCT c // 32) * 2 AS BIGINT) FROM b")
 def distinct_routes(spark, d):
     a, b = _pair(spark, d)
     parts = []
