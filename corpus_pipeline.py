@@ -34,7 +34,7 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def ngram_jaccard_join(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each class of near copies stays: the one of the least doc_id."""
-    found = materialise(op2_neardup.near_duplicates(docs), "classes")
+    found = materialise(op2_neardup.near_duplicates(docs), "classes", narrow=True)
     least = found.where(F.col("doc_id").eqNullSafe(F.col("class_id"))).groupBy("doc_id").agg(F.count("*").alias("rows"))
     once = _chosen(docs, least.where("rows = 1 OR doc_id IS NULL"))
     # an id of several rows: its copies become one

@@ -33,10 +33,18 @@ def shared_dir(spark: SparkSession) -> str:
     return f"file://{_own_dir[0]}"
 
 
-def materialise(df: DataFrame, label: str) -> DataFrame:
-    """Write df as a table in the shared folder and read it back: lineage is cut and survives lost executors."""
+#: Files a core of a narrow table (ids, hashes, counts): tasks of a few hundred MB even where texts take 100 TB.
+NARROW_FILES = 4
+
+
+def materialise(df: DataFrame, label: str, narrow: bool = False) -> DataFrame:
+    """Write df as a table in the shared folder and read it back: lineage is cut and survives lost executors.
+
+    narrow: a table much smaller than the texts; it gets a few files a core instead of one for every shuffle partition."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/tables/{label}-{uuid.uuid4().hex}"
+    if narrow:
+        df = df.coalesce(NARROW_FILES * max(1, spark.sparkContext.defaultParallelism))
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 

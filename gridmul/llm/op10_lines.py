@@ -32,12 +32,12 @@ def _ranked(pairs: DataFrame, keys: list[str]) -> DataFrame:
     classes = pairs.groupBy(*keys).agg(F.count("*").alias("n"), F.min(F.struct("doc", "uid", "pos")).alias("first")).where("n > 1")
     # the identifier grows with the range partition and within it: the place in the sorted order, up to gaps
     ordered = classes.repartitionByRange(*keys).sortWithinPartitions(*keys)
-    return materialise(ordered.select(*keys, F.monotonically_increasing_id().alias("rank"), F.col("first.uid").alias("first_uid"), F.col("first.pos").alias("first_pos")), "lines-ranks")
+    return ordered.select(*keys, F.monotonically_increasing_id().alias("rank"), F.col("first.uid").alias("first_uid"), F.col("first.pos").alias("first_pos"))
 
 
 def _windows(pairs: DataFrame, ranks: DataFrame, keys: list[str]) -> DataFrame:
     later = (F.col("uid") != F.col("first_uid")) | (F.col("pos") != F.col("first_pos"))
-    return materialise(pairs.join(ranks, keys).select("doc", "uid", "pos", "words", "last_words", "rank", later.alias("later")), "lines-windows")
+    return materialise(pairs.join(ranks, keys).select("doc", "uid", "pos", "words", "last_words", "rank", later.alias("later")), "lines-windows", narrow=True)
 
 
 def repeated_ranges(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_words: int = MIN_WORDS) -> DataFrame:
@@ -45,21 +45,21 @@ def repeated_ranges(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     lines = docs.where(F.col(text_col).isNotNull()).select(F.col(id_col).alias("doc"), F.col(UID).alias("uid"), F.posexplode(F.split(F.col(text_col).cast("string"), "\n", -1)).alias("pos", "line"))
     words = F.expr(r"CAST(regexp_count(line, r'\S+') AS long)")
     # two hashes with different starts make a line's ID
-    pairs = materialise(lines.select("doc", "uid", "pos", F.xxhash64("line").alias("k1"), F.xxhash64(F.lit(1), "line").alias("k2"), words.alias("words"), words.alias("last_words")), "lines")
+    pairs = materialise(lines.select("doc", "uid", "pos", F.xxhash64("line").alias("k1"), F.xxhash64(F.lit(1), "line").alias("k2"), words.alias("words"), words.alias("last_words")), "lines", narrow=True)
     keys = ["k1", "k2"]
     step = 1
     ranges = None
     while True:
-        ranks = _ranked(pairs, keys)
-        if ranks.isEmpty():
+        # one table a round; the pairs are cheap to join again
+        windows = _windows(pairs, _ranked(pairs, keys), keys)
+        if windows.isEmpty():
             break
-        windows = _windows(pairs, ranks, keys)
         found = _stretches(windows.where("later"), step, min_words)
         ranges = found if ranges is None else ranges.unionByName(found)
         # a window of twice the length repeats only where both of its halves do
         right = windows.select(F.col("uid").alias("u"), (F.col("pos") - step).alias("p"), F.col("rank").alias("k2"), F.col("words").alias("w"), F.col("last_words").alias("l"))
         left = windows.withColumnRenamed("rank", "k1")
-        pairs = materialise(left.join(right, (left.uid == right.u) & (left.pos == right.p)).select("doc", "uid", "pos", "k1", "k2", (F.col("words") + F.col("w")).alias("words"), F.col("l").alias("last_words")), "lines")
+        pairs = (left.join(right, (left.uid == right.u) & (left.pos == right.p)).select("doc", "uid", "pos", "k1", "k2", (F.col("words") + F.col("w")).alias("words"), F.col("l").alias("last_words")))
         step *= 2
     if ranges is None:
         return docs.select(F.col(UID).alias("uid"), F.lit(0).alias("start"), F.lit(0).alias("end")).where("false")

@@ -255,13 +255,13 @@ def block_links(members: DataFrame, threshold: float, block: int) -> DataFrame:
 def components(edges: DataFrame, label: str = "components") -> DataFrame:
     """(node, least) for every node of the edges (u, v): least labels spread along edges, with labels' own labels taken over
     (pointer jumping), until nothing changes. Each round is written to cut lineage."""
-    both = materialise(edges.select("u", "v").unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v"))).where("u <> v").distinct(), f"{label}-edges")
-    least = materialise(both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("least")).withColumnRenamed("u", "node"), label)
+    both = materialise(edges.select("u", "v").unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v"))).where("u <> v").distinct(), f"{label}-edges", narrow=True)
+    least = materialise(both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("least")).withColumnRenamed("u", "node"), label, narrow=True)
     while True:
         near = both.join(least, both.v == least.node).groupBy("u").agg(F.min("least").alias("near"))
         step = least.join(near, least.node == near.u).select("node", F.col("least").alias("before"), F.least("least", "near").alias("mid"))
         jump = least.select(F.col("node").alias("n2"), F.col("least").alias("jumped"))
-        after = materialise(step.join(jump, step.mid == jump.n2, "left").select("node", "before", F.least("mid", F.coalesce("jumped", "mid")).alias("least")), label)
+        after = materialise(step.join(jump, step.mid == jump.n2, "left").select("node", "before", F.least("mid", F.coalesce("jumped", "mid")).alias("least")), label, narrow=True)
         least = after.select("node", "least")
         if after.where("least <> before").isEmpty():
             return least
@@ -273,20 +273,20 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     sketched = materialise(sketches(docs, id_col, text_col, words, trees, depth), "sketches")
     some = sketched.where("print IS NOT NULL")
     # equal sets: one representative, the number of copies
-    reps = materialise(some.groupBy("print").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies")), "representatives")
+    reps = materialise(some.groupBy("print").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies")), "representatives", narrow=True)
     of_reps = some.select("doc_id", "print", "keys").join(reps.select("print", F.col("rep").alias("doc_id")), ["print", "doc_id"], "left_semi").dropDuplicates(["doc_id"])
-    keyed = materialise(of_reps.select("doc_id", F.explode("keys").alias("key")).distinct(), "keys")
+    keyed = materialise(of_reps.select("doc_id", F.explode("keys").alias("key")).distinct(), "keys", narrow=True)
     buckets = keyed.groupBy("key").agg(F.min("doc_id").alias("centre"), F.count("*").alias("size")).where("size > 1")
-    stars = materialise(keyed.join(buckets.select("key", "centre"), "key").select("centre", F.col("doc_id").alias("member")).distinct(), "stars")
+    stars = materialise(keyed.join(buckets.select("key", "centre"), "key").select("centre", F.col("doc_id").alias("member")).distinct(), "stars", narrow=True)
     centres = stars.groupBy("member").agg(F.sort_array(F.collect_set("centre")).alias("centres"))  # at most one for each trie
     members = centres.join(reps.select(F.col("rep").alias("member"), "copies"), "member")
     # only the texts of representatives that met another one travel, each once for every centre it has
     texts = docs.select(F.col(id_col).cast("long").alias("member"), text_of(text_col).alias("text")).join(members, "member").groupBy("member").agg(F.min("text").alias("text"), F.first("centres").alias("centres"), F.first("copies").alias("copies"))
-    texts = materialise(texts, "texts")
+    texts = materialise(texts, "texts", narrow=True)
     with_m = stars.join(texts.withColumnRenamed("text", "text_m"), "member")
     with_c = with_m.join(texts.select(F.col("member").alias("centre"), F.col("text").alias("text_c")), "centre")
-    compared = materialise(compare_with_centre(with_c, words), "compared")
-    links = materialise(block_links(compared, threshold, block), "links")
+    compared = materialise(compare_with_centre(with_c, words), "compared", narrow=True)
+    links = materialise(block_links(compared, threshold, block), "links", narrow=True)
     counts = links.groupBy("doc").agg(F.sum("copies").alias("linked"))
     classes = components(links.select(F.col("doc").alias("u"), F.col("neighbour").alias("v")))
     of_rep = reps.join(counts, reps.rep == counts.doc, "left").join(classes, F.col("rep") == F.col("node"), "left").select("print", F.coalesce("least", "rep").alias("class_id"), (F.col("copies") - 1 + F.coalesce("linked", F.lit(0))).alias("n_links"))

@@ -58,7 +58,7 @@ def propagate(edges: DataFrame, seeds: DataFrame, steps: int = STEPS, damping: f
     Mass of hosts without links goes back to the seeds (it leaves the walk and the scores are scaled at the end by
     comparing shares only). One join and one aggregation a step; every few steps the scores are written to cut lineage."""
     out = edges.groupBy("src").agg(F.sum("weight").alias("total"))
-    shares = materialise(edges.join(out, "src").select("src", "dst", (F.col("weight") / F.col("total")).alias("share")), f"{label}-edges")
+    shares = materialise(edges.join(out, "src").select("src", "dst", (F.col("weight") / F.col("total")).alias("share")), f"{label}-edges", narrow=True)
     score = seeds.select("host", F.col("seed").alias("score"))
     if shares.isEmpty():  # no edge: every step leaves the seeds' share as it is
         return score
@@ -67,14 +67,14 @@ def propagate(edges: DataFrame, seeds: DataFrame, steps: int = STEPS, damping: f
         kept = seeds.select("host", (F.col("seed") * (1 - damping)).alias("x"))
         score = moved.unionByName(kept).groupBy("host").agg(F.sum("x").alias("score"))
         if step % 3 == 2 or step == steps - 1:
-            score = materialise(score, label)
+            score = materialise(score, label, narrow=True)
     return score
 
 
 def host_scores(pages: DataFrame) -> DataFrame:
     """(host, trust, distrust) from pages with host, html and rule_verdict."""
-    edges = materialise(host_edges(pages), "links")
-    hosts = materialise(pages.groupBy("host").agg(F.count(F.when(F.col("rule_verdict") == "allow", 1)).alias("good"), F.count(F.when(F.col("rule_verdict") == "block", 1)).alias("bad")), "hosts")
+    edges = materialise(host_edges(pages), "links", narrow=True)
+    hosts = materialise(pages.groupBy("host").agg(F.count(F.when(F.col("rule_verdict") == "allow", 1)).alias("good"), F.count(F.when(F.col("rule_verdict") == "block", 1)).alias("bad")), "hosts", narrow=True)
     total = hosts.agg(F.sum("good").alias("good"), F.sum("bad").alias("bad")).first()
 
     def seeds(kind: str) -> DataFrame:
@@ -92,7 +92,7 @@ def filter_urls(pages: DataFrame, rules: list[tuple[str, str, str]] = RULES, id_
     base = pages.select(F.col(id_col).alias("page_id"), host_of(url).alias("host"), path_of(url).alias("path"), F.col(html_col).cast("string").alias("html"))
     rule, verdict = rule_of(F.col("host"), F.col("path"), rules)
     base = base.withColumn("rule", rule).withColumn("rule_verdict", verdict)
-    scores = materialise(host_scores(base), "scores")
+    scores = materialise(host_scores(base), "scores", narrow=True)
     bad = (F.col("distrust") > F.col("trust") * BLOCK_RATIO) & (F.col("distrust") >= MIN_DISTRUST)
     joined = base.drop("html").join(scores, "host", "left")
     return joined.select("page_id", "host", "path", "rule", F.coalesce("rule_verdict", F.when(bad, "block").otherwise("allow")).alias("verdict"), "trust", "distrust")

@@ -121,16 +121,16 @@ def score_patterns(found: DataFrame, rounds: int = ROUNDS) -> DataFrame:
     A pattern's score is the mean score of its distinct instances, smoothed towards 0; an instance's is 1 for a seed, else
     the best score of its patterns. Every distinct pair counts once, however often it occurs."""
     rows = found.select(F.explode("candidates").alias("c")).select(F.explode("c.patterns").alias("pattern"), F.col("c.instance").alias("instance"), F.col("c.seed").alias("seed"))
-    edges = materialise(rows.groupBy("pattern", "instance").agg(F.max("seed").alias("seed")), "pii-edges")
+    edges = materialise(rows.groupBy("pattern", "instance").agg(F.max("seed").alias("seed")), "pii-edges", narrow=True)
 
     def of_patterns(scored: DataFrame) -> DataFrame:
         return scored.groupBy("pattern").agg((F.sum("score") / (F.count("*") + SMOOTHING)).alias("score"), F.count(F.when(F.col("seed"), 1)).alias("seeds"))
 
-    patterns = materialise(of_patterns(edges.withColumn("score", F.col("seed").cast("double"))), "pii-patterns")
+    patterns = materialise(of_patterns(edges.withColumn("score", F.col("seed").cast("double"))), "pii-patterns", narrow=True)
     for _ in range(rounds - 1):
         linked = edges.join(patterns.select("pattern", "score"), "pattern")
         instances = linked.groupBy("instance").agg(F.max(F.when(F.col("seed"), 1.0).otherwise(F.col("score"))).alias("score"))
-        patterns = materialise(of_patterns(edges.join(instances, "instance").select("pattern", "seed", "score")), "pii-patterns")
+        patterns = materialise(of_patterns(edges.join(instances, "instance").select("pattern", "seed", "score")), "pii-patterns", narrow=True)
     return patterns
 
 
