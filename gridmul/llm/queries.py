@@ -61,5 +61,47 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {f.__name__: f for f in own}
 
 
+def _line_sql() -> str:
+    """Line dedup by windows of 1, 2, 4, ... lines compared as texts."""
+    levels = range(13)  # runs of up to 8191 lines
+
+    def level(k: int) -> str:
+        n = 1 << k
+        later = f"SELECT doc_id, pos FROM (SELECT doc_id, pos, row_number() OVER (PARTITION BY md5(array_to_string(ls[pos + 1:pos + {n}], chr(10))) ORDER BY doc_id, pos) AS place FROM p WHERE pos + {n} <= len(ls)) WHERE place > 1"
+        island = "pos" if k == 0 else "pos - row_number() OVER (PARTITION BY doc_id ORDER BY pos)"
+        return f"SELECT doc_id, min(pos) AS lo, max(pos) + {n} AS hi FROM (SELECT doc_id, pos, {island} AS island FROM ({later})) GROUP BY doc_id, island"
+
+    return f"""WITH l AS (SELECT doc_id, string_split(text, chr(10)) AS ls FROM documents), p AS (SELECT doc_id, ls, unnest(range(len(ls))) AS pos FROM l),
+        r AS ({" UNION ALL ".join(level(k) for k in levels)}),
+        heavy AS (SELECT r.* FROM r JOIN l USING (doc_id) WHERE len(regexp_extract_all(array_to_string(ls[lo + 1:hi], chr(10)), '\\S+')) >= {op10_lines.MIN_WORDS}),
+        gone AS (SELECT DISTINCT doc_id, unnest(range(lo, hi)) AS pos FROM heavy),
+        kept AS (SELECT p.doc_id, count(*) AS n_lines, count(g.pos) AS n_removed, coalesce(string_agg(ls[p.pos + 1], chr(10) ORDER BY p.pos) FILTER (WHERE g.pos IS NULL), '') AS text
+            FROM p LEFT JOIN gone g ON g.doc_id = p.doc_id AND g.pos = p.pos GROUP BY p.doc_id)
+        SELECT doc_id, n_lines, n_removed, text FROM kept"""
+
+
+def _url_sql() -> str:
+    """Rules, then the walks of trust and distrust, a common table expression a step."""
+    lower = "translate({}, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
+    case = {"rule": "", "verdict": ""}
+    for what, h, path in sorted(op4_urls.RULES, key=lambda r: -len(r[1] + r[2])):
+        fits = f"(host = '{h}' OR suffix(host, '.{h}')) AND prefix(path, '{path}')"
+        case["rule"] += f" WHEN {fits} THEN '{h}{path}'"
+        case["verdict"] += f" WHEN {fits} THEN '{what}'"
+    steps = ""
+    for kind, src, dst in (("good", "src", "dst"), ("bad", "dst", "src")):
+        steps += f", seed_{kind} AS (SELECT host, {kind} / (SELECT sum({kind}) FROM hosts)::DOUBLE AS x FROM hosts WHERE {kind} > 0), share_{kind} AS (SELECT {src} AS s, {dst} AS d, n / sum(n) OVER (PARTITION BY {src})::DOUBLE AS w FROM edges), {kind}_0 AS (SELECT * FROM seed_{kind})"
+        for k in range(op4_urls.STEPS):
+            steps += f", {kind}_{k + 1} AS (SELECT host, sum(x) AS x FROM (SELECT d AS host, w * x * {op4_urls.DAMPING} AS x FROM share_{kind} JOIN {kind}_{k} ON s = host UNION ALL SELECT host, x * (1 - {op4_urls.DAMPING}) FROM seed_{kind}) GROUP BY 1)"
+    last = op4_urls.STEPS
+    return f"""WITH u AS (SELECT page_id, html, {lower.format("regexp_extract(coalesce(url, ''), '(?s)^.*?://([^/?#]*)', 1)")} AS host, regexp_extract(coalesce(url, ''), '(?s)^.*?://[^/?#]*([^?#]*)', 1) AS path FROM pages),
+        j AS (SELECT *, CASE{case["rule"]} END AS rule, CASE{case["verdict"]} END AS ruled FROM u),
+        hosts AS (SELECT host, count(*) FILTER (WHERE ruled = 'allow') AS good, count(*) FILTER (WHERE ruled = 'block') AS bad FROM j GROUP BY 1),
+        edges AS (SELECT src, dst, count(*) AS n FROM (SELECT DISTINCT page_id, host AS src, {lower.format("unnest(regexp_extract_all(coalesce(html, ''), '<[aA][^>]*[hH][rR][eE][fF]=.?(?:[a-z]+:)?//([^/?#>]+)', 1))")} AS dst FROM j) WHERE src <> '' AND src <> dst GROUP BY 1, 2){steps}
+        SELECT page_id, j.host, path, rule, coalesce(ruled, CASE WHEN coalesce(b.x, 0) > coalesce(g.x, 0) AND coalesce(b.x, 0) >= {op4_urls.MIN_DISTRUST} THEN 'block' ELSE 'allow' END) AS verdict
+        FROM j LEFT JOIN good_{last} g ON g.host = j.host LEFT JOIN bad_{last} b ON b.host = j.host"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {}
+    """SQL for the operators that it can express; the others are tested against brute force, round trips or held-out labels."""
+    return {"op4_url_filters": _url_sql(), "op10_line_dedup": _line_sql()}
