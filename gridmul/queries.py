@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Callable
 
@@ -15,7 +14,7 @@ from gridmul.operators import baselines, blocks, kernels, multiply, routing
 from gridmul.operators.blocks import MatrixFrame
 from gridmul.plans import advisor, measure, schedule, topology
 from gridmul.plans.topology import GridSpec, MatrixMeta
-from gridmul.session import configure
+from gridmul.session import configure, shared_folder
 from gridmul.sources import tables, workloads
 from gridmul.streaming import products
 
@@ -394,12 +393,14 @@ def sparse_row_maps(spark, d):
     return blocks.add_row_maps(a.to_row_maps(), b.to_row_maps()).select("row", F.explode("entries").alias("col", "value"))
 
 
-@query("""WITH q AS (SELECT vec_id AS id, list_transform(embedding, lambda x: CAST(ROUND(CAST(x AS DOUBLE) * 1000) AS BIGINT)) AS x FROM embeddings)
-    SELECT p.id AS "row", q.id AS "col", CAST(list_sum(list_transform(list_zip(p.x, q.x), lambda z: z[1] * z[2])) AS BIGINT) AS "value" FROM q p JOIN q ON p.id // 8 = q.id // 8""")
+@query("""WITH q AS (SELECT vec_id AS id, list_transform(embedding, lambda x: CAST(ROUND(CAST(x AS DOUBLE) * 1000) AS BIGINT)) AS x FROM embeddings),
+    w AS (SELECT j.range AS j, list((7 * k.range + 3 * j.range) % 11 - 5 ORDER BY k.range) AS y FROM range(4) j CROSS JOIN range(64) k GROUP BY 1)
+    SELECT id AS "row", j AS "col", CAST(list_sum(list_transform(list_zip(x, y), lambda z: z[1] * z[2])) AS BIGINT) AS "value" FROM q, w""")
 def hof_dot(spark, d):
-    q = tables.load(spark, d, "embeddings").select("vec_id", tables.quantised(F.col("embedding")).alias("x")).withColumn("block", F.floor(F.col("vec_id") / 8))
-    p = q.select(F.col("vec_id").alias("row"), F.col("x").alias("p"), "block")
-    return p.join(q, "block").select("row", F.col("vec_id").alias("col"), kernels.dot(F.col("p"), F.col("x")).alias("value"))
+    """Every vector times a 64 x 4 matrix held as four column arrays, in array functions only."""
+    columns = F.lit([[(7 * k + 3 * j) % 11 - 5 for k in range(64)] for j in range(4)])
+    vectors = tables.load(spark, d, "embeddings").select(F.col("vec_id").alias("row"), tables.quantised(F.col("embedding")).alias("x"))
+    return vectors.select("row", "x", F.posexplode(columns).alias("col", "y")).select("row", F.col("col").cast("long").alias("col"), kernels.dot(F.col("x"), F.col("y")).alias("value"))
 
 
 # ---------------------------------------------------------------- schedules
@@ -762,8 +763,7 @@ def stream_product(spark, d):
     batch = tables.load(spark, d, "events")
     stream = spark.readStream.schema(batch.schema).parquet(f"{d}/events.parque[t]")  # as a pattern it may be one file
     name = f"gridmul_stream_{uuid.uuid4().hex[:12]}"
-    shared = spark.sparkContext.getConf().get("spark.checkpoint.dir") or f"file://{tempfile.mkdtemp(prefix='gridmul-')}"
-    products.run_to_table(products.stream_product(products.event_entries(stream), _weights(spark)), name, f"{shared}/{name}")
+    products.run_to_table(products.stream_product(products.event_entries(stream), _weights(spark)), name, f"{shared_folder(spark)}/{name}")
     return _by_day(spark.table(name))
 
 
