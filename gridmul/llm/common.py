@@ -2,10 +2,6 @@
 
 from __future__ import annotations
 
-import atexit
-import re
-import shutil
-import tempfile
 import uuid
 from collections.abc import Callable, Iterable, Iterator
 
@@ -14,25 +10,11 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from gridmul.session import shared_folder
+
 #: Rows of one Arrow batch; bounds what a Python worker holds at once.
 BATCH_ROWS = 512
 
-_own_dir: list[str] = []
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that spark.checkpoint.dir names; a temporary one of our own only in local mode."""
-    named = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
-    if named:
-        return named
-    if not re.match(r"local(\[|$)", spark.sparkContext.master):
-        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
-    if not _own_dir:
-        _own_dir.append(tempfile.mkdtemp(prefix="gridmul-"))
-        atexit.register(shutil.rmtree, _own_dir[0], ignore_errors=True)
-    return f"file://{_own_dir[0]}"
-
-
 #: Files a core of a narrow table (ids, hashes, counts): tasks of a few hundred MB even where texts take 100 TB.
 NARROW_FILES = 4
 
@@ -42,7 +24,7 @@ def materialise(df: DataFrame, label: str, narrow: bool = False) -> DataFrame:
 
     narrow: a table much smaller than the texts; it gets a few files a core instead of one for every shuffle partition."""
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/tables/{label}-{uuid.uuid4().hex}"
+    path = f"{shared_folder(spark)}/tables/{label}-{uuid.uuid4().hex}"
     if narrow:
         df = df.coalesce(NARROW_FILES * max(1, spark.sparkContext.defaultParallelism))
     df.write.parquet(path)
