@@ -118,3 +118,9 @@ def prune_operands(a: MatrixFrame, b: MatrixFrame) -> tuple[MatrixFrame, MatrixF
     """Leave out columns of a that no row of b meets, and the other way round, before they are shipped anywhere."""
     in_b, in_a = b.df.select(F.col("row").alias("col")).distinct(), a.df.select(F.col("col").alias("row")).distinct()
     return MatrixFrame(a.df.join(in_b, "col", "left_semi").select("row", "col", "value"), a.meta), MatrixFrame(b.df.join(in_a, "row", "left_semi").select("row", "col", "value"), b.meta)
+
+
+def sum_blocks(blocks: DataFrame, keys: list[str], data: str = "data") -> DataFrame:
+    """(keys, data): arrays of one length that share keys, summed element by element; partial sums are made before the exchange."""
+    each = blocks.select(*keys, F.posexplode(data).alias("at", "x")).groupBy(*keys, "at").agg(F.sum("x").alias("x"))
+    return each.groupBy(*keys).agg(F.array_sort(F.collect_list(F.struct("at", "x"))).alias("s")).select(*keys, F.transform("s", lambda e: e["x"]).alias(data))

@@ -12,7 +12,7 @@ from pyspark.sql import Window
 from gridmul.functions import cost, sqlsurface
 from gridmul.operators import baselines, blocks, kernels, multiply, routing
 from gridmul.operators.blocks import MatrixFrame
-from gridmul.plans import advisor, measure, schedule, topology
+from gridmul.plans import advisor, experiments, measure, schedule, topology
 from gridmul.plans.topology import GridSpec, MatrixMeta
 from gridmul.session import configure, shared_folder
 from gridmul.sources import tables, workloads
@@ -789,6 +789,90 @@ def probe_groups_run(spark, d):
     return advisor.runs_frame(spark, runs)
 
 
+# ---------------------------------------------------------------- experiments: measured runs, and what they ship as exact counts
+
+def _shipped_sql(cases: list[tuple[str, int, int, int, int]]) -> str:
+    rows = ", ".join(f"('{m}', {s}, {t}, {i}, {j})" for m, s, t, i, j in cases)
+    sent = "CASE method WHEN 'flat' THEN t ELSE j END * (SELECT count(*) FROM a) + CASE method WHEN 'flat' THEN s ELSE i END * (SELECT count(*) FROM b)"
+    return f"SELECT method, CAST(s AS INT) AS s, CAST(t AS INT) AS t, CAST(i AS INT) AS i, CAST(j AS INT) AS j, CAST({sent} AS BIGINT) AS shipped FROM (VALUES {rows}) AS c(method, s, t, i, j)"
+
+
+_SWEEP = [("flat", 4, 8, 1, 1), *[("grouped", 4, 8, i, j) for i, j in topology.valid_groupings(4, 8)]]
+_SCALE = [(m, s, t, i, j) for s, t, i, j in ((1, 1, 1, 1), (1, 2, 1, 1), (2, 2, 2, 1), (2, 4, 2, 2), (4, 4, 2, 2), (4, 8, 2, 4), (8, 8, 4, 4)) for m in ("flat", "grouped")]
+
+
+def _shipped(spark: SparkSession, d: str, cases: list[tuple[str, int, int, int, int]]) -> DataFrame:
+    """Rows that a product's exchanges carry, counted on the routed operands of every case."""
+    a, b = (MatrixFrame(m.df.persist(), m.meta) for m in _pair(spark, d))
+    out = None
+    for method, s, t, i, j in cases:
+        grid = GridSpec(s, t, i, j)
+        if method == "flat":
+            sent = [routing.fan_out(m.df, "other", n) for m, n in ((a, t), (b, s))]
+        else:
+            sent = [routing.route_between(routing.operand(m.df, side, m.meta, grid, 8, 8), side, grid) for m, side in ((a, "a"), (b, "b"))]
+        one = sent[0].select("value").unionByName(sent[1].select("value")).agg(F.count("*").alias("shipped"))
+        one = one.select(F.lit(method).alias("method"), *[F.lit(x).alias(n) for n, x in zip("stij", (s, t, i, j))], "shipped")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query(_square_ctes() + _shipped_sql(_SWEEP))
+def shipped_by_groups(spark, d):
+    """What each number of groups ships: as much as flat at one group a cell; fewer groups ship less, and are fewer tasks."""
+    return _shipped(spark, d, _SWEEP)
+
+
+@query(_square_ctes() + _shipped_sql(_SCALE))
+def shipped_by_cells(spark, d):
+    """Flat and grouped as the grid grows."""
+    return _shipped(spark, d, _SCALE)
+
+
+@query()
+def experiment_groups_small_block(spark, d):
+    a, b = (experiments.stored(m) for m in _pair(spark, d))
+    return experiments.sweep_of_groups(spark, a, b, GridSpec(4, 8), 4)
+
+
+@query()
+def experiment_groups_largest_block(spark, d):
+    a, b = (experiments.stored(m) for m in _pair(spark, d))
+    return experiments.sweep_of_groups(spark, a, b, GridSpec(4, 8), 8, [(1, 1), (2, 2), (2, 4), (4, 4), (4, 8)])
+
+
+@query()
+def experiment_groups_many_cells(spark, d):
+    a, b = (experiments.stored(m) for m in _pair(spark, d, 256))
+    return experiments.sweep_of_groups(spark, a, b, GridSpec(8, 8), 16, [(1, 1), (2, 2), (4, 4), (8, 8)])
+
+
+@query()
+def experiment_cells(spark, d):
+    a, b = (experiments.stored(m) for m in _pair(spark, d))
+    return experiments.sweep_of_cells(spark, a, b, [GridSpec(s, t, i, j) for m, s, t, i, j in _SCALE if m == "grouped"], 8)
+
+
+@query()
+def experiment_blocks(spark, d):
+    a, b = (experiments.stored(m) for m in _pair(spark, d))
+    return experiments.sweep_of_blocks(spark, a, b, GRID, (1, 2, 4, 8, 16))
+
+
+@query()
+def experiment_outer_blocks(spark, d):
+    a, b = (experiments.stored(m) for m in _pair(spark, d))
+    return experiments.sweep_of_outer_blocks(spark, a, b, GRID, 4)
+
+
+@query(_square_ctes() + 'SELECT CAST(block_row AS INT) AS block_row, CAST(block_col AS INT) AS block_col, CAST(spot AS INT) AS spot, CAST(sum(v) AS BIGINT) AS "value" FROM (SELECT r // 16 AS block_row, c // 16 AS block_col, (r % 16) * 16 + c % 16 AS spot, v FROM (SELECT * FROM a UNION ALL SELECT * FROM b)) GROUP BY 1, 2, 3')
+def block_sums(spark, d):
+    """Element-wise sums of blocks that meet: how layers are reduced when they are kept as blocks."""
+    a, b = _pair(spark, d)
+    both = a.to_blocks(16).unionByName(b.to_blocks(16))
+    return blocks.sum_blocks(both, ["block_row", "block_col"]).select("block_row", "block_col", F.posexplode("data").alias("spot", "x")).where("x <> 0").select("block_row", "block_col", "spot", F.col("x").cast("long").alias("value"))
+
+
 def queries() -> dict[str, Query]:
     return dict(QUERIES)
 

@@ -188,3 +188,21 @@ def test_sources_and_sinks(spark, tmp_path, fmt):
     write_matrix(a, str(tmp_path / fmt), fmt, block=4 if fmt == "parquet" else None)
     back = read_triplets(spark, str(tmp_path / fmt), fmt, a.meta)
     assert back.df.exceptAll(a.df).count() == 0 and a.df.exceptAll(back.df).count() == 0
+
+
+def test_sweeps_move_as_the_schedules_say(spark):
+    from gridmul.plans import experiments
+
+    a, b = synthetic(spark, 16, 16), synthetic(spark, 16, 16)
+    n = a.df.count()
+    runs = {(r.method, r.groups): r.shuffle_rows for r in experiments.sweep_of_groups(spark, a, b, GridSpec(4, 4), 2, [(1, 1), (2, 2), (4, 4)]).collect()}
+    assert runs == {("flat", 1): 8 * n, ("grouped", 1): 2 * n, ("grouped", 4): 4 * n, ("grouped", 16): 8 * n}
+    outer = experiments.sweep_of_outer_blocks(spark, a, b, GridSpec(4, 4, 2, 2), 1, (1, 2, 4)).collect()
+    assert {r.shuffle_rows for r in outer} == {4 * n} and [r.outer_b for r in outer] == [1, 2, 4]
+
+
+def test_block_sums(spark):
+    from gridmul.operators.blocks import sum_blocks
+
+    df = spark.createDataFrame([(1, [1.0, 2.0, 3.0]), (1, [10.0, 20.0, 30.0]), (2, [5.0, 5.0, 5.0])], "k int, data array<double>")
+    assert {r.k: r.data for r in sum_blocks(df, ["k"]).collect()} == {1: [11.0, 22.0, 33.0], 2: [5.0, 5.0, 5.0]}
