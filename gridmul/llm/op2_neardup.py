@@ -13,8 +13,9 @@ pairs of blocks are tasks, and a task gives one row for each member. A pair that
 Classes are the connected components of the links. Nothing unbounded is collected, and there is no cap on buckets.
 
 Defined cases: null text is empty text; a text without words has no shingles, resembles nothing and is a class of its own;
-one with one to four words has its whole word sequence as its only shingle; repeated rows are copies; the order of a tie is
-by doc_id; an empty table gives an empty result; extra columns are ignored.
+one with one to four words has its whole word sequence as its only shingle; repeated rows are copies (doc_id names a text: rows
+that repeat an id are taken to repeat its text); the order of a tie is by doc_id, and a null doc_id keeps its row with n_links of its
+copies; an empty table gives an empty result; extra columns are ignored.
 """
 
 from __future__ import annotations
