@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gridmul.llm import op1_mixing, op2_neardup, op5_quality, op7_pieces, op10_lines
-from gridmul.llm.common import materialise, table
+from gridmul.llm.common import few_files, materialise, table
 
 #: Not expressible in SQL (divergence from references, hashing forest, fitted rates, piece encoding): tested by brute force.
 ORACLE_SQL = None
@@ -22,14 +22,14 @@ def _chosen(docs: DataFrame, ids: DataFrame) -> DataFrame:
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Rejected documents go."""
-    return _chosen(docs, op5_quality.quality(docs).where("kept"))
+    return few_files(_chosen(docs, op5_quality.quality(docs).where("kept")))
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Later copies of repeated line runs are deleted; a document of which no word is left goes. n_chars follows the text."""
     found = op10_lines.dedup_lines(docs)
     kept = found.where((F.col("_gm_removed") == 0) | F.col("text").rlike(r"\S"))
-    return kept.select(*[F.when(F.col("_gm_removed") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars")).alias("n_chars") if c == "n_chars" else F.col(f"`{c}`") for c in docs.columns])
+    return few_files(kept.select(*[F.when(F.col("_gm_removed") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars")).alias("n_chars") if c == "n_chars" else F.col(f"`{c}`") for c in docs.columns]))
 
 
 def ngram_jaccard_join(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -38,7 +38,7 @@ def ngram_jaccard_join(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
     least = found.where(F.col("doc_id").eqNullSafe(F.col("class_id"))).groupBy("doc_id").agg(F.count("*").alias("rows"))
     once = _chosen(docs, least.where("rows = 1 OR doc_id IS NULL"))
     # an id of several rows: its copies become one
-    return once.unionByName(_chosen(docs, least.where("rows > 1 AND doc_id IS NOT NULL")).dropDuplicates(["doc_id", "text"]))
+    return few_files(once.unionByName(_chosen(docs, least.where("rows > 1 AND doc_id IS NOT NULL")).dropDuplicates(["doc_id", "text"])))
 
 
 def source_mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -47,7 +47,7 @@ def source_mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
     rates = mixed.groupBy(F.col("doc_id").alias("_gm_id")).agg(F.max("rate").alias("_gm_rate"))
     joined = docs.join(rates, docs.doc_id.eqNullSafe(rates["_gm_id"]))
     taken = joined.withColumn("_gm_copies", op1_mixing.copies(F.col("_gm_rate"), F.col("doc_id"))).where("_gm_copies > 0")
-    return taken.withColumn("_gm_copy", F.explode(F.sequence(F.lit(1), F.col("_gm_copies")))).select(*[F.col(f"`{c}`") for c in docs.columns])
+    return few_files(taken.withColumn("_gm_copy", F.explode(F.sequence(F.lit(1), F.col("_gm_copies")))).select(*[F.col(f"`{c}`") for c in docs.columns]))
 
 
 def sentencepiece(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

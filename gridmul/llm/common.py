@@ -15,8 +15,27 @@ from gridmul.session import shared_folder
 #: Rows of one Arrow batch; bounds what a Python worker holds at once.
 BATCH_ROWS = 512
 
-#: Files a core of a narrow table (ids, hashes, counts): tasks of a few hundred MB even where texts take 100 TB.
+#: Files a core of a narrow table (ids, hashes, counts): some hundred MB a task where texts take 100 TB on some thousand cores.
 NARROW_FILES = 4
+#: Files a core of a table with texts: a GB or two each at that size.
+TEXT_FILES = 16
+
+
+_written: list[str] = []
+
+
+def release(spark: SparkSession) -> int:
+    """Delete the tables that this driver has written so far; frames that still read them end. Gives their number."""
+    paths = [spark._jvm.org.apache.hadoop.fs.Path(p) for p in _written]
+    for p in paths:
+        p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
+    _written.clear()
+    return len(paths)
+
+
+def few_files(df: DataFrame, per_core: int = TEXT_FILES) -> DataFrame:
+    """df in at most so many partitions a core, so that small shuffle partitions do not become small files."""
+    return df.coalesce(per_core * max(1, df.sparkSession.sparkContext.defaultParallelism))
 
 
 def materialise(df: DataFrame, label: str, narrow: bool = False) -> DataFrame:
@@ -26,8 +45,9 @@ def materialise(df: DataFrame, label: str, narrow: bool = False) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/tables/{label}-{uuid.uuid4().hex}"
     if narrow:
-        df = df.coalesce(NARROW_FILES * max(1, spark.sparkContext.defaultParallelism))
+        df = few_files(df, NARROW_FILES)
     df.write.parquet(path)
+    _written.append(path)
     return spark.read.schema(df.schema).parquet(path)
 
 

@@ -29,7 +29,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from gridmul.llm.common import map_rows, materialise, text_of
+from gridmul.llm.common import few_files, map_rows, materialise, text_of
 
 WORDS = 5
 THRESHOLD = 0.8
@@ -283,10 +283,10 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     members = centres.join(reps.select(F.col("rep").alias("member"), "copies"), "member")
     # only the texts of representatives that met another one travel, each once for every centre it has
     texts = docs.select(F.col(id_col).cast("long").alias("member"), text_of(text_col).alias("text")).join(members, "member").groupBy("member").agg(F.min("text").alias("text"), F.first("centres").alias("centres"), F.first("copies").alias("copies"))
-    texts = materialise(texts, "texts", narrow=True)
+    texts = materialise(few_files(texts), "texts")
     with_m = stars.join(texts.withColumnRenamed("text", "text_m"), "member")
     with_c = with_m.join(texts.select(F.col("member").alias("centre"), F.col("text").alias("text_c")), "centre")
-    compared = materialise(compare_with_centre(with_c, words), "compared", narrow=True)
+    compared = materialise(few_files(compare_with_centre(with_c, words)), "compared")
     links = materialise(block_links(compared, threshold, block), "links", narrow=True)
     counts = links.groupBy("doc").agg(F.sum("copies").alias("linked"))
     classes = components(links.select(F.col("doc").alias("u"), F.col("neighbour").alias("v")))

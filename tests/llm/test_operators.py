@@ -12,7 +12,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from gridmul.llm import op1_mixing, op2_neardup, op3_media, op4_urls, op5_quality, op6_pii, op7_pieces, op8_html, op9_licences, op10_lines
-from gridmul.llm.common import table
+from gridmul.llm.common import materialise, release, table
 
 SF = "/root/testdata/sf0.001"
 ALPHA = "alpha beta gamma delta epsilon zeta eta theta iota kappa lambda mu nu xi omicron pi rho sigma tau".split()
@@ -478,3 +478,11 @@ def test_lines_awkward_rows(spark, odd, none):
     assert sorted(r.text for r in rows if r.doc_id == 4) == ["", words(80, 1)]  # the second row is a later copy
     assert [r for r in rows if r.doc_id == 1][0].text is None and [r for r in rows if r.doc_id == 2][0].text == ""
     assert op10_lines.dedup_lines(none).count() == 0
+
+
+# ---------------------------------------------------------------- shared tables
+
+
+def test_written_tables_can_be_released(spark):
+    df = materialise(spark.range(10), "numbers", narrow=True)
+    assert df.count() == 10 and release(spark) >= 1 and release(spark) == 0
