@@ -69,6 +69,12 @@ def _supplier(spark: SparkSession, d: str) -> MatrixFrame:
     return workloads.supplier_part(spark, d, up(_largest(lines, "l_suppkey"), 8), up(_largest(lines, "l_partkey"), 8))
 
 
+def _vectors(spark: SparkSession, d: str) -> MatrixFrame:
+    """Vectors by dimensions, quantised; as many rows as the ids need, a multiple of 1024 so that blocks divide them."""
+    configure(spark)
+    return workloads.embeddings(spark, d, -(-_largest(tables.load(spark, d, "embeddings"), "vec_id") // 1024) * 1024)
+
+
 @query(SQUARE_SQL)
 def grouped_square(spark, d):
     return multiply.grouped_multiply(*_pair(spark, d), GRID, 8).df
@@ -210,7 +216,7 @@ def symmetric_supplier(spark, d):
 
 @query(f"WITH e AS ({_VECTORS}), a AS (SELECT c AS r, r AS c, v FROM e), b AS (SELECT * FROM e) " + PRODUCT)
 def grouped_gram_dim(spark, d):
-    e = workloads.embeddings(spark, d, 2048)
+    e = _vectors(spark, d)
     return multiply.grouped_multiply(e.transpose(), e, GRID, 64, 256).df
 
 
@@ -223,7 +229,7 @@ def gram_partial_sums(spark, d):
 
 @query(f"WITH a AS ({_VECTORS}), b AS (SELECT c AS r, r AS c, v FROM a) " + PRODUCT + " HAVING sum(a.v * b.v) <> 0")
 def grouped_gram_rows(spark, d):
-    e = workloads.embeddings(spark, d, 2048)
+    e = _vectors(spark, d)
     return multiply.grouped_multiply(e, e.transpose(), GridSpec(4, 4, 2, 2), 8, kernel="panel").df
 
 
