@@ -20,9 +20,7 @@ copies; an empty table gives an empty result; extra columns are ignored.
 
 from __future__ import annotations
 
-import math
 import re
-from collections import defaultdict
 
 import numpy as np
 import xxhash
