@@ -1,28 +1,36 @@
 """Licence scans: normalised text against licence templates by the Dice coefficient over word bigrams.
 
-Units are every line, every run of lines between blank lines, and the whole text. A unit is compared with a template only
-when their sizes allow the threshold (the smaller at least t / (2 - t) of the larger) and when it shares a bigram that
-few templates have; both conditions are necessary for a match, so nothing is lost. One pass without a shuffle.
+Units are every line, every run of lines between blank lines, every run of neighbouring ones of these, and the whole text. A
+unit is compared with a template only when their sizes allow the threshold (the smaller at least t / (2 - t) of the larger)
+and when the text shares as large a part of the template's bigrams; both conditions are necessary for a match, so nothing is
+lost. One pass without a shuffle.
+
+Of overlapping spans of one template the best stays. A span inside that of another template goes only where its template is a
+part of the other's (the conditions within a whole licence).
 
 Defined cases: null or empty text has no units; a unit of one word has the single pseudo-bigram (word,); a tie between
-templates goes to the first name; equal spans found as line and as paragraph count once; extra columns are ignored.
+templates goes to the first name; equal spans found as line and as paragraph count once, and of equal scores the shortest and
+then the first span stays; extra columns are ignored.
 """
 
 from __future__ import annotations
 
 import re
+from bisect import bisect_left, bisect_right
 from collections import Counter, defaultdict
+from collections.abc import Collection
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gridmul.llm.common import map_rows, text_of
+from gridmul.llm.licence_texts import TEXTS
 
 THRESHOLD = 0.85
 WORD = re.compile(r"[^\W_]+(?:[.'-][^\W_]+)*")
 BLANK_LINE = re.compile(r"\n[^\S\n]*(?:\n[^\S\n]*)+")
 
-#: Public licence notices (SPDX name: text).
+#: Public licence notices and whole texts (SPDX name: text).
 TEMPLATES = {
     "Apache-2.0 (notice)": "Licensed under the Apache License, Version 2.0.",
     "Apache-2.0": "Licensed under the Apache License, Version 2.0 (the \"License\"); you may not use this file except in compliance with the License. You may obtain a copy of the License at http://www.apache.org/licenses/LICENSE-2.0 Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an \"AS IS\" BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied. See the License for the specific language governing permissions and limitations under the License.",
@@ -46,11 +54,13 @@ TEMPLATES = {
     "ISC": "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies.",
     "LGPL-3.0 (notice)": "This work is licensed under the GNU Lesser General Public License, version 3.",
     "MIT (notice)": "Licensed under the MIT License.",
+    "MIT (release notice)": "Released under the MIT License.",
     "MIT": "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the \"Software\"), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions: The above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software.",
     "MPL-2.0": "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0. If a copy of the MPL was not distributed with this file, You can obtain one at https://mozilla.org/MPL/2.0/.",
     "Proprietary": "All rights reserved.",
     "Unlicense": "This is free and unencumbered software released into the public domain.",
     "Zlib": "This software is provided 'as-is', without any express or implied warranty. In no event will the authors be held liable for any damages arising from the use of this software.",
+    **TEXTS,
 }
 
 
@@ -70,35 +80,74 @@ class Scanner:
     def __init__(self, templates: dict[str, str] = TEMPLATES, threshold: float = THRESHOLD):
         self.threshold = threshold
         self.shapes = {name: bigrams(t) for name, t in sorted(templates.items())}
+        self.sizes = {name: s.total() for name, s in self.shapes.items()}
         self.by_bigram: dict[tuple, list[str]] = defaultdict(list)
         for name, shape in self.shapes.items():
             for g in shape:
                 self.by_bigram[g].append(name)
-        least = threshold / (2 - threshold)
-        sizes = [s.total() for s in self.shapes.values()]
-        self.size_range = (min(sizes, default=0) * least - 1e-9, max(sizes, default=0) / least + 1e-9)
-        self.bounds = {name: (s.total() * least - 1e-9, s.total() / least + 1e-9) for name, s in self.shapes.items()}
-        self.first_words = {w for g in self.by_bigram for w in g}
-
-    def best(self, unit: str) -> tuple[str, float] | None:
-        low, high = self.size_range
+        self.least = threshold / (2 - threshold)
+        self.bounds = {name: (n * self.least - 1e-9, n / self.least + 1e-9) for name, n in self.sizes.items()}
+        # a template is a part of a larger one that has the threshold's share of its bigrams
+        self.part_of = {n: {o for o, t in self.shapes.items() if self.sizes[o] > self.sizes[n] and (s & t).total() >= threshold * self.sizes[n]} for n, s in self.shapes.items()}
+
+    def shared(self, grams: list[tuple]) -> dict[str, int]:
+        """How many bigrams each template has in common with the given ones."""
+        out: dict[str, int] = defaultdict(int)
+        for g, k in Counter(filter(self.by_bigram.__contains__, grams)).items():
+            for n in self.by_bigram[g]:
+                out[n] += min(k, self.shapes[n][g])
+        return out
+
+    def best(self, unit: str, names: Collection[str] | None = None) -> tuple[str, float] | None:
+        names = self.shapes if names is None else names
+        low = min((self.bounds[n][0] for n in names), default=0)
         # a word takes two characters with its separator at least, so few characters are few bigrams
-        if len(unit) + 1 < 2 * low:
+        if not names or len(unit) + 1 < 2 * low:
             return None
         words = WORD.findall(unit.lower())
         size = max(len(words) - 1, min(len(words), 1))
-        if not low <= size <= high:
+        fit = [n for n in names if self.bounds[n][0] <= size <= self.bounds[n][1]]
+        if not fit:
             return None
-        shape = Counter(zip(words, words[1:])) if len(words) != 1 else Counter([(words[0],)])
-        names = {n for g in shape if g in self.by_bigram for n in self.by_bigram[g] if self.bounds[n][0] <= size <= self.bounds[n][1]}
-        scored = [(-dice(shape, self.shapes[n]), n) for n in names]
+        common = self.shared(list(zip(words, words[1:])) if len(words) != 1 else [(words[0],)])
+        scored = [(-2 * common[n] / (size + self.sizes[n]), n) for n in fit if n in common]
         if scored and -min(scored)[0] >= self.threshold:
             d, n = min(scored)
             return n, -d
         return None
 
+    def runs(self, parts: list[list[str]], names: Collection[str]) -> dict[tuple[int, int], tuple[str, float]]:
+        """{(first, last): (template, score)} of the runs of two or more paragraphs, given as their words, that match."""
+        found: dict[tuple[int, int], tuple[str, float]] = {}
+        for name in sorted(names):
+            shape, total, high = self.shapes[name], self.sizes[name], self.bounds[name][1]
+            for first in range(len(parts) - 1):
+                have: dict[tuple, int] = defaultdict(int)
+                common, n_words, before = 0, 0, None
+                for last in range(first, len(parts)):
+                    for w in parts[last]:
+                        if before is not None and (g := (before, w)) in shape:
+                            have[g] += 1
+                            common += have[g] <= shape[g]
+                        before = w
+                    n_words += len(parts[last])
+                    if n_words - 1 > high:
+                        break
+                    if last == first and common == 0 and parts[first] and (parts[first][-1], next((p[0] for p in parts[first + 1 :] if p), None)) not in shape:
+                        break  # without its first paragraph the run matches better
+                    score = 2 * common / (n_words - 1 + total) if n_words > 1 else 0.0
+                    if last > first and score >= self.threshold and ((first, last) not in found or score > found[first, last][1]):
+                        found[first, last] = (name, score)
+        return found
+
     def scan(self, text: str) -> list[tuple[int, int, str, float]]:
         """(start, end, template, score) in code points, by start and end."""
+        words = WORD.findall(text.lower())
+        common = self.shared([*zip(words, words[1:]), *((w,) for w in words)])
+        # a unit has no bigram that the text lacks, and a match has so many of the template's at least
+        names = [n for n, k in common.items() if k >= self.least * self.sizes[n] - 1e-9]
+        if not names:
+            return []
         found: dict[tuple[int, int], tuple[str, float]] = {}
         units = [(0, len(text))]
         at = 0
@@ -106,17 +155,30 @@ class Scanner:
             units.append((at, at + len(line)))
             at += len(line) + 1
         at = 0
+        paragraphs = []
         for gap in BLANK_LINE.finditer(text):
-            units.append((at, gap.start()))
+            paragraphs.append((at, gap.start()))
             at = gap.end()
-        units.append((at, len(text)))
-        for a, b in units:
-            if a < b and (a, b) not in found and (hit := self.best(text[a:b])):
+        paragraphs.append((at, len(text)))
+        for a, b in units + paragraphs:
+            if a < b and (a, b) not in found and (hit := self.best(text[a:b], names)):
                 found[a, b] = hit
-        # a longer unit that says no better than a line inside it is left out
-        spans = sorted(found)
-        keep = [s for s in spans if not any(o != s and s[0] <= o[0] and o[1] <= s[1] and found[o][1] >= found[s][1] for o in spans)]
-        return [(a, b, *found[a, b]) for a, b in keep]
+        for (first, last), hit in self.runs([WORD.findall(text[a:b].lower()) for a, b in paragraphs], names).items():
+            found.setdefault((paragraphs[first][0], paragraphs[last][1]), hit)
+        kept: dict[str, list[tuple[int, int]]] = defaultdict(list)
+        for a, b in sorted(found, key=lambda s: (-found[s][1], s[1] - s[0], s)):
+            same = kept[found[a, b][0]]
+            # the kept ones do not overlap, so only the neighbours of the place can
+            k = bisect_left(same, (a, b))
+            if (k == 0 or same[k - 1][1] <= a) and (k == len(same) or b <= same[k][0]):
+                same.insert(k, (a, b))
+
+        def within(a: int, b: int, larger: str) -> bool:
+            k = bisect_right(kept[larger], (a, len(text)))
+            return k > 0 and kept[larger][k - 1][0] <= a and b <= kept[larger][k - 1][1]
+
+        spans = sorted((a, b, n) for n, some in kept.items() for a, b in some)
+        return [(a, b, *found[a, b]) for a, b, n in spans if not any(within(a, b, o) for o in self.part_of[n] if o in kept)]
 
 
 def scan_licences(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", templates: dict[str, str] = TEMPLATES, threshold: float = THRESHOLD) -> DataFrame:

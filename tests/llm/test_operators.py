@@ -420,6 +420,24 @@ def test_licences_equal_comparison_with_all_templates(spark, docs, odd, none):
     assert [s[2] for s in spans] == ["MIT"]
 
 
+def test_licences_find_the_short_mit_line_and_whole_texts(spark, docs):
+    found = {r.doc_id: r for r in op9_licences.scan_licences(docs).collect()}
+    lines = {key: sum(line.strip() == "Released under the MIT License." for line in text.split("\n")) for key, text in texts_of(docs)}
+    assert sum(lines.values()) > 0
+    assert {key: sum(s.licence == "MIT (release notice)" for s in found[key].spans) for key in lines} == lines
+    scanner = op9_licences.Scanner()
+    for name in ("BSD-2-Clause", "BSD-3-Clause", "MIT", "GPL-3.0"):
+        whole = op9_licences.TEMPLATES[f"{name} (text)"]
+        # a blank line before each sixth of the words: no paragraph alone matches
+        w = whole.split()
+        n = len(w) // 6 + 1
+        body = "\n\n".join(" ".join(w[i : i + n]) for i in range(0, len(w), n))
+        text = f"{words(30, 1)}\n\n{body}\n\n{words(300, 2)}\n\nAll rights reserved."
+        spans = scanner.scan(text)
+        assert [(a, b, n) for a, b, n, _ in spans if n != "Proprietary"] == [(text.index(body), text.index(body) + len(body), f"{name} (text)")]
+        assert spans[-1][2] == "Proprietary" and all(s > 0.99 for *_, s in spans)
+
+
 # ---------------------------------------------------------------- 10
 
 
