@@ -8,8 +8,10 @@ the main text. All work is within a page, so the operator is one pass without a
 The classifier's text weights are trained on a bounded sample of pages (TRAIN_PAGES), with the blocks that sectioning
 tags settle as its labelled examples; tag evidence enters as fixed log-odds.
 
-Defined cases: null or empty HTML gives an empty text; unclosed and cut-off tags are read to the end; text outside any tag
-is a block; very long pages are read whole; repeated rows are treated alike; extra columns are ignored.
+Defined cases: null or empty HTML gives an empty text; unclosed and cut-off tags are read to the end; script and style end
+at their own end tag only, wherever that is; the head ends where something stands that cannot be in it; another skipped
+element that is never closed ends at the first block tag in it or at the end tag around it; text outside any tag is a block;
+very long pages are read whole; repeated rows are treated alike; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -28,7 +30,10 @@ TRAIN_PAGES = 2000
 
 #: Element names.
 BLOCK_TAGS = frozenset("address article aside blockquote body caption center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr html legend li main menu nav ol option p pre section select summary table tbody td tfoot th thead tr ul".split())
-SKIPPED = frozenset("script style noscript template svg math iframe object canvas head title textarea select button audio video".split())
+SKIPPED = frozenset("script style noscript template svg math iframe object canvas title textarea select button audio video".split())
+#: Their content is text up to the end tag, whatever it looks like.
+RAW_TAGS = frozenset("script style iframe textarea title".split())
+HEAD_TAGS = frozenset("base basefont bgsound head html link meta noscript script style template title".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 SPACE_TAGS = frozenset(["br", "img", "wbr", "td", "th"])
 BOILER_TAGS = frozenset("nav footer aside form menu dialog header".split())
@@ -42,6 +47,7 @@ BOILER_ROLE = frozenset("navigation banner contentinfo complementary search dial
 TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*(?:\"|\Z)|'[^']*(?:'|\Z))*)(?:>|\Z)", re.S)
 ATTR = re.compile(r"([a-zA-Z-]+)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))")
 BLANKS = re.compile(r"\s+")
+END_TAG = {t: re.compile(rf"(?i)</{t}(?=[\s/>]|\Z)[^>]*(?:>|\Z)") for t in SKIPPED}
 
 #: Log-odds that a tag or name settles; a block's text can tilt only blocks without such evidence.
 SETTLED = 12.0
@@ -69,7 +75,12 @@ def blocks_of(source: str) -> list[Block]:
     pieces: list[str] = []
     linked: list[str] = []
     links = 0
-    skip = ""
+    in_head = False
+    skip = ""  # the element whose content is left out
+    inner: list[str] = []  # elements open within it
+    unclosed = False  # whether it has no end tag
+    resume = -1  # where its first block begins, to be read from if it turns out to be unclosed
+    endless: set[str] = set()  # elements with no end tag in the rest of the page
 
     def flush() -> None:
         if pieces:
@@ -81,22 +92,87 @@ def blocks_of(source: str) -> list[Block]:
             pieces.clear()
             linked.clear()
 
+    def around(tag: str) -> bool:
+        """Whether an element is open that this end tag closes."""
+        for k in range(len(stack) - 1, 0, -1):
+            if stack[k][0] == tag:
+                return True
+            if stack[k][0] in BLOCK_TAGS and tag not in BLOCK_TAGS:
+                break
+        return tag == "head" and in_head
+
+    def end_of(tag: str, at: int) -> int:
+        """Where the element's next end tag ends, -1 if there is none."""
+        m = None if tag in endless else END_TAG[tag].search(source, at)
+        if m is None:
+            endless.add(tag)
+        return m.end() if m else -1
+
     at = 0
-    for m in TOKEN.finditer(source):
-        if m.start() > at and not skip:
-            piece = source[at : m.start()]
-            pieces.append(piece)
-            if links:
-                linked.append(piece)
+    while True:
+        m = TOKEN.search(source, at)
+        if not skip and at < (m.start() if m else len(source)):
+            piece = source[at : m.start()] if m else source[at:]
+            in_head = in_head and piece.isspace()
+            if not in_head:
+                pieces.append(piece)
+                if links and m:
+                    linked.append(piece)
+        if m is None:
+            if skip and resume >= 0:
+                at, skip = resume, ""
+                continue
+            break
         at = m.end()
         if m[2] is None:
             if m[0].startswith("<![CDATA[") and not skip:
                 pieces.append(html.escape(m[0][9:].removesuffix("]]>")))
             continue
         tag = m[2].lower()
+        closed = m[0].endswith("/>")
         if skip:
-            if m[1] and tag == skip:
+            if m[1]:
+                if tag in inner:
+                    del inner[len(inner) - 1 - inner[::-1].index(tag) :]
+                    continue
+                if tag == skip:
+                    skip = ""
+                    continue
+                if not around(tag):
+                    continue
+                skip = ""
+            elif tag == skip and tag in ("button", "select"):  # these do not nest: the open one ends
                 skip = ""
+                if resume < 0 and tag == "select":
+                    continue
+            else:
+                if tag == "body" or tag in BLOCK_TAGS and tag not in ("option", "legend"):
+                    if unclosed:
+                        skip = ""
+                    elif resume < 0:
+                        resume = m.start()
+                if skip:
+                    if tag in RAW_TAGS and not closed and (end := end_of(tag, at)) >= 0:
+                        at = end
+                    elif tag in ("script", "style") and not closed:
+                        at = len(source)
+                    elif tag not in VOID and not closed:
+                        inner.append(tag)
+                    continue
+            if resume >= 0:
+                at, resume = resume, -1
+                continue
+        if in_head:
+            if m[1]:
+                in_head = tag not in ("head", "body", "html")
+                if in_head or tag == "head":
+                    continue
+            else:
+                in_head = tag in HEAD_TAGS
+        elif m[1] and tag == "head":
+            continue
+        if not m[1] and tag == "head":
+            in_head = not closed
             continue
         if m[1]:
             if tag in BLOCK_TAGS:
@@ -110,8 +186,14 @@ def blocks_of(source: str) -> list[Block]:
                     break
             continue
         if tag in SKIPPED:
-            if not m[0].endswith("/>"):
-                skip = tag
+            if not closed:
+                end = end_of(tag, at)
+                if tag in RAW_TAGS and end >= 0:
+                    at = end
+                elif tag in ("script", "style"):
+                    at = len(source)
+                else:
+                    skip, inner, unclosed, resume = tag, [], end < 0, -1
             pieces.append(" ")
             continue
         if tag in BLOCK_TAGS:
@@ -126,13 +208,11 @@ def blocks_of(source: str) -> list[Block]:
                     break
         if tag in SPACE_TAGS:
             pieces.append(" ")
-        if tag in VOID or m[0].endswith("/>"):
+        if tag in VOID or closed:
             continue
         node += 1
         stack.append((tag, _evidence(tag, m[3], stack), node))
         links += tag == "a"
-    if not skip and at < len(source):
-        pieces.append(source[at:])
     flush()
     return out
 

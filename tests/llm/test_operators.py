@@ -361,6 +361,20 @@ def test_main_text():
     assert op8_html.extract("<article><p>cut off in a ta<b") == "cut off in a ta"
 
 
+def test_skipped_elements_do_not_swallow_the_page():
+    body = "<article><p>First sentence of it.</p><p>Second sentence of it.</p></article>"
+    want = "First sentence of it.\nSecond sentence of it."
+    raw = ["<script>for(i=0;i<n;i++){}</script>", "<SCRIPT>if (a<b && c=='\"') x='<p>';</Script >", "<style>a<b{}</style>", "<textarea>x <y</textarea>", "<iframe>1 <a</iframe>", "<svg><script>1<n</script><svg></svg><text>no</text></svg>"]
+    for x in raw:
+        assert op8_html.extract(x + body) == op8_html.extract(f"<html><head><title>T</title>{x}</head><body>{body}") == want
+    for head in ("<head><title>T <x</title><meta charset=utf-8><body>", "<head><link rel=x>\n", "<html><head><noscript><link></noscript>", "<head><template><body>", "<head><title>T<body>"):
+        assert op8_html.extract(head + body) == want
+    for x in ("<button>Menu", "<select><option>a<option>b", "<object data=q>", "<button>a<button>b", "<video><source src=q>", "<svg><path>", "<template>", "<select><option>a<select>", "<p><button>Go</p>", "<iframe>"):
+        for page in (x + body, f"<html><body><div>{x}{body}</div></body></html>", f"<div>{x}</div>{body}", f"<div>{x}{body}</div><object></object><button></button><svg></svg><video></video>"):
+            assert op8_html.extract(page) == want, page
+    assert op8_html.extract(f"<object><p>no</p><object></object><p>no</p></object><template><div>no</template>{body}") == want
+
+
 def brute_cut(odds, edges):
     n = len(odds)
     best = None
