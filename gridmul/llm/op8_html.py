@@ -247,7 +247,7 @@ def _evidence(tag: str, attributes: str, stack: list[tuple[str, float, int]]) ->
 def features(b: Block) -> tuple[float, ...]:
     words = b.words
     stops = sum(b.text.count(c) for c in ".!?")
-    return (math.log1p(words), min(1.0, b.linked / words), min(1.0, stops / words), float(b.text[-1] in ".!?\"'”»"), sum(w[:1].isupper() for w in b.text.split(" ")[:50]) / min(words, 50), float(b.tag[:1] == "h" and b.tag[1:].isdigit()), float(b.tag in ("li", "dd", "dt", "option")), 1.0)
+    return (math.log1p(words), min(1.0, b.linked / words), min(1.0, stops / words), float(b.text[-1] in ".!?\"'”»"), sum(w[:1].isupper() for w in b.text.split(" ")) / words, float(b.tag[:1] == "h" and b.tag[1:].isdigit()), float(b.tag in ("li", "dd", "dt", "option")), 1.0)
 
 
 def score(b: Block, weights: tuple[float, ...]) -> float:

@@ -375,6 +375,11 @@ def test_skipped_elements_do_not_swallow_the_page():
     assert op8_html.extract(f"<object><p>no</p><object></object><p>no</p></object><template><div>no</template>{body}") == want
 
 
+def test_capitals_are_counted_over_the_whole_block():
+    (block,) = op8_html.blocks_of("<p>" + "low " * 60 + "High " * 40 + "</p>")
+    assert op8_html.features(block)[4] == 0.4
+
+
 def brute_cut(odds, edges):
     n = len(odds)
     best = None
