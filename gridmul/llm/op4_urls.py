@@ -2,7 +2,9 @@
 
 Hosts are the nodes, links between different hosts the edges. Trust is personalised PageRank from hosts that an allow rule
 names, distrust the same walk over the reversed edges from hosts that a block rule names; a host whose distrust outweighs
-its trust is blocked. Each step is one join and one aggregation over the edge table; nothing of the graph is collected.
+its trust is blocked, however small both are. Steps go on until no host's score changes by more than TOLERANCE of itself, so
+the walk reaches every host that links lead to. Each step is one join and one aggregation over the edge table and one join
+for the change; nothing of the graph is collected.
 
 Defined cases: a null URL, or one without `://`, has an empty host and path, fits no rule and is allowed unless its (empty)
 host is judged otherwise; null HTML has no links; relative links stay on their host and are no edges; repeated links count
@@ -20,9 +22,12 @@ from gridmul.llm.common import materialise
 RULES = [("block", "net", "/"), ("allow", "example.net", "/en/"), ("block", "example.com", "/de/"), ("allow", "org", "/fr/")]
 
 DAMPING = 0.85
-STEPS = 10
-#: A host is blocked where distrust > trust * BLOCK_RATIO and distrust >= MIN_DISTRUST (shares of all mass).
+#: Relative change of a host's score below which the walk has converged.
+TOLERANCE = 1e-6
+#: A host is blocked where distrust > trust * BLOCK_RATIO (shares of all mass).
 BLOCK_RATIO = 1.0
+#: Of the SQL only, which has a fixed number of steps and a least distrust; the same on tables without links between hosts.
+STEPS = 10
 MIN_DISTRUST = 1e-9
 
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
@@ -52,21 +57,29 @@ def host_edges(pages: DataFrame, host: str = "host", html: str = "html") -> Data
     return pages.select(F.col(host).alias("src"), F.explode(links).alias("dst")).where("src <> '' AND dst <> src").groupBy("src", "dst").agg(F.count("*").alias("pages"))
 
 
-def propagate(edges: DataFrame, seeds: DataFrame, steps: int = STEPS, damping: float = DAMPING, label: str = "rank") -> DataFrame:
+def propagate(edges: DataFrame, seeds: DataFrame, steps: int | None = None, damping: float = DAMPING, label: str = "rank", tolerance: float = TOLERANCE) -> DataFrame:
     """Personalised PageRank: (host, score). seeds: (host, seed), with seed summing to 1; edges: (src, dst, weight).
 
     Mass of hosts without links goes back to the seeds (it leaves the walk and the scores are scaled at the end by
-    comparing shares only). One join and one aggregation a step; every few steps the scores are written to cut lineage."""
+    comparing shares only). steps: so many; None: until every score changes by at most `tolerance` of itself. One join and one
+    aggregation a step; the scores are written to cut lineage, every few steps or, to be compared, after each."""
     out = edges.groupBy("src").agg(F.sum("weight").alias("total"))
     shares = materialise(edges.join(out, "src").select("src", "dst", (F.col("weight") / F.col("total")).alias("share")), f"{label}-edges", narrow=True)
     score = seeds.select("host", F.col("seed").alias("score"))
     if shares.isEmpty():  # no edge: every step leaves the seeds' share as it is
         return score
-    for step in range(steps):
+    step = 0
+    while steps is None or step < steps:
         moved = shares.join(score, shares.src == score.host).select(F.col("dst").alias("host"), (F.col("share") * F.col("score") * damping).alias("x"))
         kept = seeds.select("host", (F.col("seed") * (1 - damping)).alias("x"))
-        score = moved.unionByName(kept).groupBy("host").agg(F.sum("x").alias("score"))
-        if step % 3 == 2 or step == steps - 1:
+        before, score = score, moved.unionByName(kept).groupBy("host").agg(F.sum("x").alias("score"))
+        step += 1
+        if steps is None:
+            score = materialise(score, label, narrow=True)
+            both = score.join(before.select("host", F.col("score").alias("before")), "host", "left")
+            if both.where(F.abs(F.col("score") - F.coalesce("before", F.lit(0.0))) > F.col("score") * tolerance).isEmpty():
+                break
+        elif step % 3 == 0 or step == steps:
             score = materialise(score, label, narrow=True)
     return score
 
@@ -93,6 +106,6 @@ def filter_urls(pages: DataFrame, rules: list[tuple[str, str, str]] = RULES, id_
     rule, verdict = rule_of(F.col("host"), F.col("path"), rules)
     base = base.withColumn("rule", rule).withColumn("rule_verdict", verdict)
     scores = materialise(host_scores(base), "scores", narrow=True)
-    bad = (F.col("distrust") > F.col("trust") * BLOCK_RATIO) & (F.col("distrust") >= MIN_DISTRUST)
+    bad = F.col("distrust") > F.col("trust") * BLOCK_RATIO
     joined = base.drop("html").join(scores, "host", "left")
     return joined.select("page_id", "host", "path", "rule", F.coalesce("rule_verdict", F.when(bad, "block").otherwise("allow")).alias("verdict"), "trust", "distrust")

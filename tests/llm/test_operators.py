@@ -221,6 +221,17 @@ def test_distrust_flows_back_along_links(spark):
     assert edges == {("friend.example.org", "bad.example.net"): 1, ("good.example.net", "liked.example.org"): 1}
 
 
+def test_distrust_reaches_far_and_weakly_linked_hosts(spark):
+    link = '<a href="http://{}/1">x</a>'
+    pages = [("http://bad.net/1", ""), ("http://c0.org/1", link.format("bad.net"))] + [(f"http://c{i}.org/1", link.format(f"c{i - 1}.org")) for i in range(1, 14)]
+    df = spark.createDataFrame([(i, *p) for i, p in enumerate(pages)], "page_id long, url string, html string")
+    assert {r.verdict for r in op4_urls.filter_urls(df).collect()} == {"block"}
+    # 1000 hosts share the distrust of a page among 2001, 1000 more that of one of them: 5e-11 for each
+    pages = [("http://bad.net/1", "")] + [("http://other.net/1", "")] * 2000 + [(f"http://a{i}.org/1", link.format("bad.net")) for i in range(1000)] + [(f"http://b{i}.org/1", link.format("a0.org")) for i in range(1000)]
+    df = spark.createDataFrame([(i, *p) for i, p in enumerate(pages)], "page_id long, url string, html string")
+    assert {r.verdict for r in op4_urls.filter_urls(df).collect()} == {"block"}
+
+
 def test_rank_equals_power_iteration(spark):
     rng = np.random.default_rng(3)
     links = {(int(a), int(b)) for a, b in rng.integers(0, 12, (40, 2)) if a != b}
