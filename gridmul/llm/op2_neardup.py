@@ -1,9 +1,9 @@
 """N-gram Jaccard join by an LSH forest over MinHash signatures, with exact verification.
 
-Texts become sets of hashed five-word shingles; equal sets collapse to one representative. Each of TREES prefix tries
-holds a label of up to MAX_DEPTH MinHash values a document; two documents meet in a trie at the length of their common
-prefix. The prefix that counts as a match starts at full depth and is shortened until a pair at the threshold meets in some
-trie with at least the target recall. Documents with one prefix form a bucket with a centre, its least representative.
+Texts become sets of hashed five-word shingles; equal sets collapse to one representative. Each of TREES keys is the hash of
+as many MinHash values as let a pair at the threshold share some key with the target recall, by a closed formula of the
+parameters and MAX_DEPTH at most. This is fixed banding, not a forest: no prefix is shortened on matches, and a pair that
+shares no key is lost. Documents with one key form a bucket with a centre, its least representative.
 
 Every bucket member is compared with the centre by the full texts, and keeps its size and the shingles in which the two
 differ. Two members' overlap follows from these differences alone: |a xor b| = |(a xor c) xor (b xor c)|. So all pairs of a
