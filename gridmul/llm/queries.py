@@ -62,19 +62,15 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def _line_sql() -> str:
-    """Line dedup by windows of 1, 2, 4, ... lines compared as texts."""
-    levels = range(13)  # runs of up to 8191 lines
-
-    def level(k: int) -> str:
-        n = 1 << k
-        later = f"SELECT doc_id, pos FROM (SELECT doc_id, pos, row_number() OVER (PARTITION BY md5(array_to_string(ls[pos + 1:pos + {n}], chr(10))) ORDER BY doc_id, pos) AS place FROM p WHERE pos + {n} <= len(ls)) WHERE place > 1"
-        island = "pos" if k == 0 else "pos - row_number() OVER (PARTITION BY doc_id ORDER BY pos)"
-        return f"SELECT doc_id, min(pos) AS lo, max(pos) + {n} AS hi FROM (SELECT doc_id, pos, {island} AS island FROM ({later})) GROUP BY doc_id, island"
-
+    """Line dedup by least windows: a run of so many words is covered by the shortest such windows from each of its lines on and
+    up to each of its lines; a window is gone where the same lines, in order, stand earlier."""
+    least = op10_lines.MIN_WORDS
     return f"""WITH l AS (SELECT doc_id, string_split(text, chr(10)) AS ls FROM documents), p AS (SELECT doc_id, ls, unnest(range(len(ls))) AS pos FROM l),
-        r AS ({" UNION ALL ".join(level(k) for k in levels)}),
-        heavy AS (SELECT r.* FROM r JOIN l USING (doc_id) WHERE len(regexp_extract_all(array_to_string(ls[lo + 1:hi], chr(10)), '\\S+')) >= {op10_lines.MIN_WORDS}),
-        gone AS (SELECT DISTINCT doc_id, unnest(range(lo, hi)) AS pos FROM heavy),
+        w AS (SELECT doc_id, pos, len(regexp_extract_all(ls[pos + 1], '\\S+')) AS n FROM p), c AS (SELECT doc_id, pos, n, sum(n) OVER (PARTITION BY doc_id ORDER BY pos) AS upto FROM w),
+        least AS (SELECT a.doc_id, a.pos AS lo, min(b.pos) + 1 AS hi FROM c a JOIN c b ON a.doc_id = b.doc_id AND b.pos >= a.pos AND b.upto - a.upto + a.n >= {least} GROUP BY 1, 2
+            UNION SELECT b.doc_id, max(a.pos) AS lo, b.pos + 1 AS hi FROM c a JOIN c b ON a.doc_id = b.doc_id AND b.pos >= a.pos AND b.upto - a.upto + a.n >= {least} GROUP BY 1, b.pos),
+        later AS (SELECT doc_id, lo, hi, row_number() OVER (PARTITION BY md5(array_to_string(ls[lo + 1:hi], chr(10))) ORDER BY doc_id, lo) AS place FROM least JOIN l USING (doc_id)),
+        gone AS (SELECT DISTINCT doc_id, unnest(range(lo, hi)) AS pos FROM later WHERE place > 1),
         kept AS (SELECT p.doc_id, count(*) AS n_lines, count(g.pos) AS n_removed, coalesce(string_agg(ls[p.pos + 1], chr(10) ORDER BY p.pos) FILTER (WHERE g.pos IS NULL), '') AS text
             FROM p LEFT JOIN gone g ON g.doc_id = p.doc_id AND g.pos = p.pos GROUP BY p.doc_id)
         SELECT doc_id, n_lines, n_removed, text FROM kept"""

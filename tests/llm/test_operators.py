@@ -508,14 +508,32 @@ def test_lines_equal_brute_force(spark, docs):
     df = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
     got = {r.doc_id: r.text for r in op10_lines.dedup_lines(df).collect()}
     want = brute_lines(rows, 50)
-    # stretches of overlapping repeats may hold a little more than single runs do, never less
-    for (key, text), w in zip(rows, want):
-        assert set(Counter(got[key].split("\n"))) <= set(Counter(w.split("\n"))) | {""}
+    assert [got[k] for k, _ in rows] == want
+    # rounds above two lines change the result
+    short = {r.doc_id: r.text for r in op10_lines.dedup_lines(df, levels=2).collect()}
+    assert short != got
     rows = sorted(texts_of(docs))
     got = {r.doc_id: r.text for r in op10_lines.dedup_lines(docs).collect()}
     assert [got[k] for k, _ in rows] == brute_lines(rows, 50)
 
 
+def test_runs_from_several_places_are_not_put_together(spark):
+    a, b, c, d = (words(20, 9000 + i) for i in range(4))
+    rows = [(1, f"{a}\n{b}"), (2, f"{b}\n{c}"), (3, f"{c}\n{d}"), (4, "\n".join((a, b, c, d))), (5, "\n".join(("x", b, c, d, "", a)))]
+    got = {r.doc_id: (r.text, r["_gm_removed"]) for r in op10_lines.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert [got[k] for k in (1, 2, 3, 4)] == [(t, 0) for _, t in rows[:4]] and got[5] == (f"x\n\n{a}", 3)
+
+
+def test_lines_equal_brute_force_on_small_alphabets(spark):
+    rng = random.Random(11)
+    for alphabet, least in ((2, 12), (3, 6), (5, 4)):
+        pool = ["", "one", "two words", "three of them", "and four more words"][:alphabet]
+        rows = [(i // 2, "\n".join(rng.choice(pool) for _ in range(rng.randrange(1, 40)))) for i in range(30)]
+        rows += [(99, rows[3][1]), (100, rows[3][1] + "\n" + rows[4][1])]
+        got = sorted((r.doc_id, r.text) for r in op10_lines.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string").coalesce(1), min_words=least).collect())
+        assert got == sorted((k, t) for (k, _), t in zip(rows, brute_lines(rows, least)))
+
+
 def test_lines_awkward_rows(spark, odd, none):
     got = op10_lines.dedup_lines(odd)
     assert got.columns[: len(odd.columns)] == odd.columns
