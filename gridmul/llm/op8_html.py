@@ -1,17 +1,21 @@
 """HTML extraction by minimum-cut labelling.
 
 A page becomes a sequence of text blocks. Each block has the cost of calling it content and that of calling it boilerplate,
-from a logistic classifier over its tags, names, links and words; neighbouring blocks, and blocks under one parent, pay
-for being labelled differently. The cheapest labelling is a minimum cut, found by augmenting paths; the content side is
-the main text. All work is within a page, so the operator is one pass without a shuffle.
+from a classifier: log-odds of its tags and names, which are bounded, plus those of a logistic model of its words and links,
+bounded too. Neighbouring blocks, and blocks that follow each other in one element, pay for being labelled differently. All
+costs are on the same scale of log-odds, so text and neighbours can overrule a tag or a name: a sound paragraph in an article
+stays whatever its class, and without any telling tag the words and the neighbours decide. The cheapest labelling is a minimum
+cut, found by augmenting paths; the content side is the main text. All work is within a page, so the operator is one pass
+without a shuffle.
 
-The classifier's text weights are trained on a bounded sample of pages (TRAIN_PAGES), with the blocks that sectioning
-tags settle as its labelled examples; tag evidence enters as fixed log-odds.
+The text model is trained on a bounded sample of pages (TRAIN_PAGES), with the blocks that sectioning tags label as its
+examples; tags and names are no features of it, their log-odds are parameters.
 
 Defined cases: null or empty HTML gives an empty text; unclosed and cut-off tags are read to the end; script and style end
 at their own end tag only, wherever that is; the head ends where something stands that cannot be in it; another skipped
 element that is never closed ends at the first block tag in it or at the end tag around it; text outside any tag is a block;
-very long pages are read whole; repeated rows are treated alike; extra columns are ignored.
+very long pages are read whole; of two labellings that cost the same the one with less content is taken; repeated rows are treated
+alike; an empty table gives an empty result and needs no model; extra columns, whatever their names, are ignored.
 """
 
 from __future__ import annotations
@@ -42,6 +46,8 @@ CLOSED_BY_SIBLING = {"p": frozenset(["p"]), "li": frozenset(["li"]), "dd": froze
 BOILER_NAME = re.compile(r"(?i)(^|[-_ ])(ad|ads|adv|advert\w*|banner|breadcrumbs?|comments?|commentlist|cookies?|consent|disqus|footer|menu|modal|nav|navbar|navigation|newsletter|notices?|pager|pagination|popup|promo\w*|related|replies|reply|respond|share|sharing|sidebar|side|signup|skip|social|sponsor\w*|subscribe|tags|toolbar|topbar|widgets?)([-_ ]|$)")
 HEAD_NAME = re.compile(r"(?i)(^|[-_ ])(header|masthead)([-_ ]|$)")
 CONTENT_NAME = re.compile(r"(?i)(^|[-_ ])(article|articlebody|body|content|entry|main|page|post|story|text)([-_ ]|$)")
+#: Elements that are a paragraph or a part of one, and seldom hold a section.
+PARAGRAPHS = frozenset("p h1 h2 h3 h4 h5 h6 blockquote pre a b i em strong span u small".split())
 BOILER_ROLE = frozenset("navigation banner contentinfo complementary search dialog alert form menu menubar".split())
 
 TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*(?:\"|\Z)|'[^']*(?:'|\Z))*)(?:>|\Z)", re.S)
@@ -49,28 +55,34 @@ ATTR = re.compile(r"([a-zA-Z-]+)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))")
 BLANKS = re.compile(r"\s+")
 END_TAG = {t: re.compile(rf"(?i)</{t}(?=[\s/>]|\Z)[^>]*(?:>|\Z)") for t in SKIPPED}
 
-#: Log-odds that a tag or name settles; a block's text can tilt only blocks without such evidence.
-SETTLED = 12.0
-HINT = 3.0
-NEAR = 1.0
-SIBLING = 0.6
+#: Log-odds of content: within an article, in an element whose name speaks for content, in one of boilerplate (by tag, role or
+#: name), in a paragraph whose own name does.
+ARTICLE, CONTENT, BOILER, PARAGRAPH = 4.0, 1.5, -10.5, -3.0
+#: What the words and links of a block can add or take.
+TEXT_BOUND = 4.0
+#: Capacities between neighbours, and between blocks that follow each other in one element.
+NEAR, SIBLING = 0.8, 0.4
 
 #: log words, share of linked words, full stops a word, ends like a sentence, capitals, heading, list item, bias
 START_WEIGHTS = (0.9, -4.0, 4.0, 0.8, -1.0, 0.6, -0.6, -1.6)
 
 
 class Block:
-    __slots__ = ("text", "words", "linked", "prior", "parent", "tag")
+    """settled: 1 within an article, -1 within boilerplate by sectioning tags alone, else 0."""
 
-    def __init__(self, text: str, linked: int, prior: float, parent: int, tag: str):
-        self.text, self.linked, self.prior, self.parent, self.tag = text, linked, prior, parent, tag
+    __slots__ = ("text", "words", "linked", "prior", "settled", "parent", "tag")
+
+    def __init__(self, text: str, linked: int, evidence: tuple[float, float, float], parent: int, tag: str):
+        self.text, self.linked, self.prior, self.parent, self.tag = text, linked, sum(evidence), parent, tag
+        content, by_tag, by_name = evidence
+        self.settled = -1 if by_tag < 0 else int(content >= ARTICLE and not by_name)
         self.words = text.count(" ") + 1
 
 
 def blocks_of(source: str) -> list[Block]:
     """Text blocks in page order, character references decoded and white space folded."""
     out: list[Block] = []
-    stack: list[tuple[str, float, int]] = [("", 0.0, 0)]  # tag, log-odds from here on, node
+    stack: list[tuple[str, tuple[float, float, float], int]] = [("", (0.0, 0.0, 0.0), 0)]  # tag, evidence from here on, node
     node = 0
     pieces: list[str] = []
     linked: list[str] = []
@@ -86,9 +98,9 @@ def blocks_of(source: str) -> list[Block]:
         if pieces:
             text = BLANKS.sub(" ", html.unescape("".join(pieces))).strip()
             if text:
-                inside = next((t for t in reversed(stack) if t[0] in BLOCK_TAGS or not t[0]), stack[0])
+                k = next((k for k in range(len(stack) - 1, 0, -1) if stack[k][0] in BLOCK_TAGS), 0)
                 n_linked = len(html.unescape(" ".join(linked)).split())
-                out.append(Block(text, n_linked, stack[-1][1], inside[2], inside[0]))
+                out.append(Block(text, n_linked, stack[-1][1], stack[max(k - 1, 0)][2], stack[k][0]))
             pieces.clear()
             linked.clear()
 
@@ -217,31 +229,29 @@ def blocks_of(source: str) -> list[Block]:
     return out
 
 
-def _evidence(tag: str, attributes: str, stack: list[tuple[str, float, int]]) -> float:
-    """Log-odds of content for what stands inside this element, given what stands around it."""
-    around = stack[-1][1]
-    if around <= -SETTLED:  # boilerplate stays boilerplate
-        return around
-    if tag in CONTENT_TAGS:
-        around = SETTLED
-    elif tag in BOILER_TAGS:
-        # a heading block inside an article is part of it; navigation, forms and the like are not
-        return around if tag == "header" and around >= SETTLED else -SETTLED
-    if attributes:
-        for name, *values in ATTR.findall(attributes):
-            name, value = name.lower(), "".join(values)
-            if name == "role" and value.lower() in BOILER_ROLE or name == "hidden" or name == "aria-hidden" and value == "true":
-                return -SETTLED
-            if name == "style" and re.search(r"display\s*:\s*none", value):
-                return -SETTLED
-            if name in ("class", "id") and tag not in ("html", "body"):
-                if BOILER_NAME.search(value) or around < SETTLED and HEAD_NAME.search(value):
-                    return -SETTLED
-                if CONTENT_NAME.search(value):
-                    around = max(around, around + HINT if around < SETTLED else around)
-            if name == "role" and value.lower() in ("main", "article"):
-                around = SETTLED
-    return around
+def _evidence(tag: str, attributes: str, stack: list[tuple[str, tuple[float, float, float], int]]) -> tuple[float, float, float]:
+    """Log-odds of content for what stands inside this element, by content, by boilerplate tags and by boilerplate names."""
+    content, by_tag, by_name = stack[-1][1]
+    inside = content >= ARTICLE
+    if tag in BOILER_TAGS and not (tag == "header" and inside):  # a heading block inside an article is part of it
+        by_tag = BOILER
+    starts = tag in CONTENT_TAGS
+    named = 0.0
+    for name, *values in ATTR.findall(attributes) if attributes else ():
+        name, value = name.lower(), "".join(values)
+        if name == "role":
+            starts = starts or value.lower() in ("main", "article")
+        if name == "role" and value.lower() in BOILER_ROLE or name == "aria-hidden" and value == "true" or name == "style" and re.search(r"display\s*:\s*none", value):
+            by_tag = BOILER
+        if name in ("class", "id") and tag not in ("html", "body"):
+            if BOILER_NAME.search(value) or not inside and HEAD_NAME.search(value):
+                named = BOILER if tag not in PARAGRAPHS else PARAGRAPH
+            elif CONTENT_NAME.search(value):
+                content = max(content, CONTENT)
+    if starts:
+        content = ARTICLE
+        by_name = max(by_name, PARAGRAPH)  # the names around an article often tell of the page's layout
+    return content, by_tag, min(by_name, named)
 
 
 def features(b: Block) -> tuple[float, ...]:
@@ -251,8 +261,9 @@ def features(b: Block) -> tuple[float, ...]:
 
 
 def score(b: Block, weights: tuple[float, ...]) -> float:
-    """Log-odds of content: tag evidence plus the classifier's."""
-    return b.prior + (sum(w * x for w, x in zip(weights, features(b))) if abs(b.prior) < SETTLED else 0.0)
+    """Log-odds of content: those of tags and names plus those of the text."""
+    text = sum(w * x for w, x in zip(weights, features(b)))
+    return b.prior + max(-TEXT_BOUND, min(TEXT_BOUND, text))
 
 
 def minimum_cut(odds: list[float], edges: list[tuple[int, int, float]]) -> list[bool]:
@@ -303,15 +314,19 @@ def minimum_cut(odds: list[float], edges: list[tuple[int, int, float]]) -> list[
                 path.pop()
 
 
-def label(found: list[Block], weights: tuple[float, ...]) -> list[bool]:
-    odds = [score(b, weights) for b in found]
+def edges_of(found: list[Block]) -> list[tuple[int, int, float]]:
+    """Capacities between neighbours, and between each block and the one before it in the same element."""
     edges = [(i, i + 1, NEAR) for i in range(len(found) - 1)]
     last: dict[int, int] = {}
-    for i, b in enumerate(found):  # blocks under one parent, each with the one before it
+    for i, b in enumerate(found):
         if b.parent in last:
             edges.append((last[b.parent], i, SIBLING))
         last[b.parent] = i
-    return minimum_cut(odds, edges)
+    return edges
+
+
+def label(found: list[Block], weights: tuple[float, ...]) -> list[bool]:
+    return minimum_cut([score(b, weights) for b in found], edges_of(found))
 
 
 def extract(source: str, weights: tuple[float, ...] = START_WEIGHTS) -> str:
@@ -320,14 +335,14 @@ def extract(source: str, weights: tuple[float, ...] = START_WEIGHTS) -> str:
 
 
 def train(pages: DataFrame, html_col: str = "html", sample: int = TRAIN_PAGES) -> tuple[float, ...]:
-    """Logistic weights from the blocks that sectioning tags settle, on at most `sample` pages picked by a hash."""
+    """Logistic weights of the text from the blocks that sectioning tags label, on at most `sample` pages picked by a hash."""
     few = sample_rows(pages, sample).select(F.col(html_col).cast("string").alias("html")).where("html IS NOT NULL")
 
     def rows(source):
         for (text,) in source:
             for b in blocks_of(text):
-                if abs(b.prior) >= SETTLED:
-                    yield (float(b.prior > 0), list(features(b)))
+                if b.settled:
+                    yield (float(b.settled > 0), list(features(b)))
 
     # one row for each feature pattern: few, as the sample is bounded
     seen = map_rows(few, [F.col("html")], "label double, x array<double>", rows).groupBy("label", F.transform("x", lambda v: F.round(v, 2)).alias("x")).agg(F.count("*").alias("n")).collect()
