@@ -2,22 +2,29 @@
 
 A multinomial logistic classifier, trained on labelled rows, gives every document a posterior over domains (here the
 classes of the `labels` table: good, poor, toxic). Document rates r >= 0 are fitted so that the expected tokens of each
-domain, sum of rate * tokens * posterior, match the target totals: projected gradient descent (with momentum) on the
-squared error, starting at rate 1. A rate's update needs only the document's own posterior and the error of each domain,
-so a step is one aggregation to a row for each domain; the driver keeps the short list of past steps and each document
-replays them, so nothing is written between steps.
-
-The training sample is bounded by TRAIN_ROWS labelled rows; posteriors, totals and rates cover all documents.
-
-Defined cases: null text is empty text with 0 tokens, whose rate moves with its posterior like any other; labels without a
-document, or null, are left out; repeated rows are judged alike; without usable labels the posterior is 1 for the first
-domain; an empty table gives an empty result; extra columns are ignored.
+domain, sum of rate * tokens * posterior, match the target totals: projected gradient steps on the squared error of each
+domain relative to its target, starting at rate 1, with a slight pull (PULL) towards 1 that settles which of the many exact
+fits is taken and bounds the rates where none is exact.
+
+The gradient with regard to a document's rate is its posterior times the domains' errors, so all gradients so far are a vector
+of one number a domain, and the projected rate is max(0, 1 - posterior . vector): nothing is kept or replayed by document. A step
+is one aggregation over the rows; it gives the errors and the second moments of the rows that are not clipped, whose inverse
+scales the next gradient, for several step lengths at once. The squared error with its pull is convex, each step lessens it, and
+steps go on until the gradient vanishes: the result depends on no number of steps.
+
+The training sample is bounded by TRAIN_ROWS labelled documents; posteriors, totals and rates cover all documents.
+
+Defined cases: null text is empty text with 0 tokens, whose rate moves with its posterior like any other; very long texts are
+read whole; labels without a document, or null, are left out; several rows of one labelled id train as one, the least text;
+repeated rows are judged alike and so are ties, as a rate follows from the posterior alone; without usable labels the
+posterior is 1 for the first domain; targets that no rates reach are met as nearly as the squared error allows; an empty table
+gives an empty result; extra columns, whatever their names, are ignored.
 """
 
 from __future__ import annotations
 
-import math
 import zlib
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -34,10 +41,12 @@ BUCKETS = 1 << 18
 #: A word counts where the share of one domain's documents that hold it exceeds that of the others by so many standard errors.
 MIN_EVIDENCE = 6.0
 MIN_DOCUMENTS = 8
-STEPS = 60
-TOLERANCE = 1e-5
-#: Steps without a gain of TOLERANCE after which the fit ends: its least error is not zero then.
-PATIENCE = 8
+#: Relative error of each domain's gradient at which the fit ends.
+TOLERANCE = 1e-7
+#: Weight of the pull towards rate 1 against the squared relative errors.
+PULL = 1e-6
+#: Parts of a step that are tried at once.
+LENGTHS = (1.0, 0.5, 0.2, 0.05, 0.005)
 #: The default budget keeps the domain of the largest target whole, with this margin.
 MARGIN = 1.02
 
@@ -106,7 +115,9 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
 
     labels: (doc_id, domain). The sample's ids are few by that bound, so they are broadcast and no text is shuffled."""
     some = sample_rows(labels.where(F.col("domain").isin(*domains)).select(F.col("doc_id"), "domain"), rows)
-    sample = docs.select(F.col(id_col).alias("doc_id"), text_of(text_col).alias("text")).join(F.broadcast(some), "doc_id")
+    found = docs.select(F.col(id_col).alias("doc_id"), text_of(text_col).alias("text")).join(F.broadcast(some), "doc_id")
+    # an id of several rows counts once, so that the sample keeps its bound
+    sample = found.groupBy("doc_id").agg(F.min(F.struct("domain", "text")).alias("one")).select("one.domain", "one.text")
 
     def featured(source):
         buckets = _Buckets()
@@ -114,7 +125,7 @@ def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
             _, at, dense = features(text, buckets)
             yield domain, at.tolist(), dense.tolist()
 
-    got = map_rows(sample.limit(4 * rows), [F.col("domain"), F.col("text")], "domain string, at array<int>, dense array<double>", featured).collect()
+    got = map_rows(sample, [F.col("domain"), F.col("text")], "domain string, at array<int>, dense array<double>", featured).collect()
     sparse, full = np.zeros((len(domains), BUCKETS)), np.zeros((len(domains), len(DENSE)))
     if not got:
         full[0, -1] = 30.0
@@ -155,14 +166,19 @@ def memberships(docs: DataFrame, model: tuple[np.ndarray, np.ndarray], id_col: s
     return map_rows(docs, [F.col(id_col).cast("long"), text_of(text_col)], "doc_id long, n_tokens long, p array<double>", rows)
 
 
-def replay(p: np.ndarray, steps: list[tuple[float, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
-    """(rates, look-ahead rates) of documents with posteriors p after the steps (momentum, scaled error by domain)."""
-    x = before = np.ones(len(p))
-    y = x
-    for k, (momentum, push) in enumerate(steps):
-        x, before = np.maximum(0.0, y - p @ push), x
-        y = x + momentum * (x - before)
-    return x, y
+@dataclass(frozen=True)
+class Fit:
+    """push: all scaled gradients so far, a number a domain; share, error: of the expected tokens, by domain; steps taken."""
+
+    push: np.ndarray
+    share: np.ndarray
+    error: np.ndarray
+    steps: int
+
+
+def rates_of(p: np.ndarray, push: np.ndarray) -> np.ndarray:
+    """Rates of documents with posteriors p: moved along all gradients, projected to what is not negative."""
+    return np.maximum(0.0, 1.0 - p @ push)
 
 
 def _arrays(batch: pa.RecordBatch, d: int) -> tuple[np.ndarray, np.ndarray]:
@@ -170,70 +186,74 @@ def _arrays(batch: pa.RecordBatch, d: int) -> tuple[np.ndarray, np.ndarray]:
     return batch.column(0).to_numpy(zero_copy_only=False).astype(float), batch.column(1).flatten().to_numpy(zero_copy_only=False).reshape(-1, d)
 
 
-def fit_rates(members: DataFrame, targets: list[float], budget: float | None = None, max_steps: int = STEPS, tolerance: float = TOLERANCE) -> tuple[list[tuple[float, np.ndarray]], np.ndarray]:
-    """(steps to replay, final error by domain as a share of the budget). targets sum to 1; members: (n_tokens, p)."""
-    d = len(targets)
+def _sums(members: DataFrame, pushes: list[np.ndarray], d: int) -> list[tuple[np.ndarray, np.ndarray, float]]:
+    """For each push: expected tokens by domain, second moments of the rows above rate 0, sum of tokens * rate^2. One pass."""
+    size = d + d * d + 1
 
-    def totals(steps):
-        def run(batches):
-            total, second, look = np.zeros(d), np.zeros((d, d)), np.zeros(d)
-            for batch in batches:
-                t, p = _arrays(batch, d)
-                x, y = replay(p, steps)
-                total, look = total + (t * x) @ p, look + (t * y) @ p
-                second += (p * t[:, None]).T @ p
-            yield pa.RecordBatch.from_pydict({"i": pa.array(range(d), pa.int32()), "x": total, "y": look, "h": list(second)})
-
-        part = members.select("n_tokens", "p").mapInArrow(run, "i int, x double, y double, h array<double>")
-        got = {r.i: r for r in part.groupBy("i").agg(F.sum("x").alias("x"), F.sum("y").alias("y"), *[F.sum(F.col("h")[j]).alias(f"h{j}") for j in range(d)]).collect()}
-        if not got:
-            return np.zeros(d), np.zeros(d), np.zeros((d, d))
-        return np.array([got[i].x for i in range(d)]), np.array([got[i].y for i in range(d)]), np.array([[got[i][f"h{j}"] for j in range(d)] for i in range(d)])
+    def run(batches):
+        total = np.zeros((len(pushes), size))
+        for batch in batches:
+            t, p = _arrays(batch, d)
+            for k, push in enumerate(pushes):
+                r = rates_of(p, push)
+                above = p * (t * (r > 0))[:, None]
+                total[k] += np.concatenate(((t * r) @ p, (above.T @ p).ravel(), [(t * r * r).sum()]))
+        yield pa.RecordBatch.from_pydict({"i": pa.array(range(total.size), pa.int32()), "x": total.ravel()})
+
+    out = np.zeros(len(pushes) * size)
+    for r in members.select("n_tokens", "p").mapInArrow(run, "i int, x double").groupBy("i").agg(F.sum("x").alias("x")).collect():
+        out[r.i] = r.x
+    return [(x[:d], x[d:-1].reshape(d, d), x[-1]) for x in out.reshape(len(pushes), size)]
 
+
+def fit_rates(members: DataFrame, targets: list[float], budget: float | None = None, tolerance: float = TOLERANCE) -> Fit:
+    """The fit to `targets` (shares that sum to 1) of the members (n_tokens, p)."""
+    d = len(targets)
     want = np.array(targets, float) / sum(targets)
-    steps: list[tuple[float, np.ndarray]] = []
-    x, y, second = totals(steps)
-    if not second.any():
-        return steps, np.zeros(d)
+    push = np.zeros(d)
+    [(x, second, square)] = _sums(members, [push], d)
+    if not x.sum():
+        return Fit(push, np.zeros(d), np.zeros(d), 0)
     main = int(want.argmax())
     total = budget or MARGIN * x[main] / want[main]
-    rate = 1 / np.linalg.eigvalsh(second).max()
-    best, best_error, gained, t = steps, math.inf, 0, 1.0
-    for step in range(max_steps):
-        error = np.abs(x - want * total).max() / total
-        if error < best_error - tolerance:
-            gained = step
-        if error < best_error:
-            best, best_error = list(steps), error
-        if error < tolerance or step - gained > PATIENCE:
+    pull = PULL * np.maximum(want, 1e-3) ** 2
+    steps = 0
+    while True:
+        # all as shares of the budget
+        gradient = x / total - want - pull * push
+        value = square / total / 2 + want @ push + (pull * push**2).sum() / 2
+        if (np.abs(gradient) <= tolerance * np.maximum(want, 1e-3)).all():
+            break
+        move = np.linalg.solve(second / total + np.diag(pull), gradient)
+        tried = [push + k * move for k in LENGTHS]
+        found = _sums(members, tried, d)
+        values = [s / total / 2 + want @ at + (pull * at**2).sum() / 2 for at, (_, _, s) in zip(tried, found)]
+        k = int(np.argmin(values))
+        if values[k] >= value:  # no step length lessens it: the numbers have no more digits
             break
-        after = (1 + math.sqrt(1 + 4 * t * t)) / 2
-        steps = [*steps, ((t - 1) / after, rate * (y - want * total))]
-        t = after
-        x, y, _ = totals(steps)
-        if np.abs(x - want * total).max() / total > 1.5 * best_error:  # momentum overshot: start it anew
-            t = 1.0
-    x, _, _ = totals(best)
-    return best, x / total - want
+        push, (x, second, square), steps = tried[k], found[k], steps + 1
+    return Fit(push, x / total, x / total - want, steps)
 
 
-def rates(members: DataFrame, steps: list[tuple[float, np.ndarray]], d: int) -> DataFrame:
+def rates(members: DataFrame, fit: Fit) -> DataFrame:
     """members with the rate of each row."""
+    d = len(fit.push)
 
     def run(batches):
         for batch in batches:
             _, p = _arrays(batch.select(["n_tokens", "p"]), d)
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(replay(p, steps)[0])], names=["doc_id", "n_tokens", "p", "rate"])
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(rates_of(p, fit.push))], names=["doc_id", "n_tokens", "p", "rate"])
 
     return members.select("doc_id", "n_tokens", "p").mapInArrow(run, "doc_id long, n_tokens long, p array<double>, rate double")
 
 
 def mix(docs: DataFrame, labels: DataFrame, targets: dict[str, float] = TARGETS, id_col: str = "doc_id", text_col: str = "text", budget: float | None = None) -> DataFrame:
-    """(doc_id, n_tokens, p, rate) for every row of docs; labels: (doc_id, domain)."""
+    """(doc_id, n_tokens, p, rate, share_error) for every row of docs; labels: (doc_id, domain). share_error, the same in all rows:
+    the largest difference between a domain's share of the budget and its target."""
     names = tuple(targets)
     members = materialise(memberships(docs, train(docs, labels, id_col, text_col, domains=names), id_col, text_col), "members")
-    steps, _ = fit_rates(members, [targets[n] for n in names], budget)
-    return rates(members, steps, len(names))
+    fit = fit_rates(members, [targets[n] for n in names], budget)
+    return rates(members, fit).withColumn("share_error", F.lit(float(np.abs(fit.error).max())))
 
 
 def label_domains(labels: DataFrame) -> DataFrame:

@@ -13,7 +13,7 @@ from gridmul.llm.common import table
 
 def op1_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     mixed = op1_mixing.mix(table(spark, sf_dir, "documents"), op1_mixing.label_domains(table(spark, sf_dir, "labels")))
-    return mixed.select("doc_id", "n_tokens", *[F.col("p")[i].alias(f"p_{n}") for i, n in enumerate(op1_mixing.TARGETS)], "rate")
+    return mixed.select("doc_id", "n_tokens", *[F.col("p")[i].alias(f"p_{n}") for i, n in enumerate(op1_mixing.TARGETS)], "rate", "share_error")
 
 
 def op2_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -34,7 +34,7 @@ def op5_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op6_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = op6_pii.personal_data(table(spark, sf_dir, "documents"))
-    return found.select("doc_id", "n_email", "n_ip", "n_card", "n_phone", F.sha2(op6_pii.span_text(F.col("base")), 256).alias("base_sha256"), op6_pii.span_text(F.concat("base", "context")).alias("spans"))
+    return found.select("doc_id", "n_email", "n_ip", "n_card", "n_phone", "n_context", F.sha2(op6_pii.span_text(F.col("base")), 256).alias("base_sha256"), op6_pii.span_text(F.concat("base", "context")).alias("spans"))
 
 
 def op7_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
