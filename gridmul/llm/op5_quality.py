@@ -1,36 +1,39 @@
 """Quality rules by distribution divergence.
 
-Every text gets a histogram of character classes and one of common words. References are the mean histograms of each
-language over all documents; a text is kept when the Jensen-Shannon distances (base 2, 0 to 1) to the reference of its
-language stay below two thresholds. Short texts have noisy histograms, so each comparison has a minimum length under
-which it does not speak. Simple counts (length, repeated three-word windows) come first.
-
-Defined cases: null text is empty text and fails the base rule; an unknown or null language is compared with every
-reference and the nearest one counts; repeated rows are judged alike; an empty table gives an empty result and needs no
-reference; extra columns are ignored.
+Every text gets a histogram of character classes and one of common words. What is common is learnt: words fall into WORD_BUCKETS
+hash buckets, and the COMMON heaviest buckets of a language, over all texts that pass the base rules, are its common words.
+References are the mean histograms of each language over the same texts; a text is kept when the Jensen-Shannon distances
+(base 2, 0 to 1) to the reference of its language stay below two thresholds. Short texts have noisy histograms, so each
+comparison has a minimum length under which it does not speak. Simple counts (length, repeated three-word windows) come first.
+
+Defined cases: null text is empty text and fails the base rule; very long texts are read whole; a null language is compared with
+every reference and the nearest one counts, the first of the alphabet on a tie; a language with fewer than MIN_DOCUMENTS texts that
+pass the base rules has no reference, and its texts are judged by the base rules alone; buckets of one weight are taken by number;
+repeated rows are judged alike; an empty table gives an empty result and needs no reference; extra columns, whatever their names,
+are ignored.
 """
 
 from __future__ import annotations
 
 import re
+import zlib
 from collections import Counter
 
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import Window
 
 from gridmul.llm.common import map_rows, materialise, text_of
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 SYMBOLS = "#*$%&|<>"
 
-#: Very common words of each language.
-COMMON_WORDS = {
-    "de": "der die und das von den zu mit als auch für ein eine nicht sich auf ist dem des im an er es".split(),
-    "en": "the of and to in is that it for was with as by on be at this from are or an a not".split(),
-    "es": "el la los de que y en un una por con para las del se al lo como más no su es".split(),
-    "fr": "le la les de et un une des en que qui dans pour par sur au du est avec pas ce il".split(),
-}
+#: Hash buckets of words, and how many of the heaviest are a language's common words.
+WORD_BUCKETS = 1 << 14
+COMMON = 24
+#: Texts that a language's reference takes at least.
+MIN_DOCUMENTS = 20
 
 #: Names of the character classes, in histogram order.
 CLASSES = "lower upper accented_lower accented_upper other_letter digit blank newline stop bracket symbol other".split()
@@ -88,13 +91,23 @@ def class_histogram(text: str) -> np.ndarray:
     return counts
 
 
-def word_histogram(counts: Counter, common: list[str]) -> np.ndarray:
-    """Counts of each common word, last of all others; case and closing punctuation do not matter."""
+class _Buckets(dict):
+    """Word to bucket, whatever its case and closing punctuation; forgets all when large."""
+
+    def __missing__(self, word: str) -> int:
+        if len(self) > 400_000:
+            self.clear()
+        self[word] = value = zlib.crc32(word.lower().rstrip(".,;:!?").encode("utf-8", "surrogatepass")) % WORD_BUCKETS
+        return value
+
+
+def word_histogram(counts: Counter, common: list[int], buckets: dict) -> np.ndarray:
+    """Words in each common bucket, last in all others."""
     place = {w: i for i, w in enumerate(common)}
     out = np.zeros(len(common) + 1, np.int64)
     last = len(common)
     for word, n in counts.items():
-        out[place.get(word, last) if word in place else place.get(word.lower().rstrip(".,;:!?"), last)] += n
+        out[place.get(buckets[word], last)] += n
     return out
 
 
@@ -123,11 +136,8 @@ def repeated_words(words: list[str]) -> int:
     return int(cover.sum())
 
 
-def profile(text: str, lang: str | None = None) -> tuple:
-    """(n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, class histogram, word histogram by language).
-
-    Only the named language's word histogram is made; all of them where the language is unknown."""
-    words = WORD.findall(text)
+def base_counts(text: str, words: list[str]) -> tuple[int, int, int, int, int]:
+    """(n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words)."""
     seen: set[str] = set()
     dup = 0
     for line in text.split("\n"):
@@ -135,10 +145,11 @@ def profile(text: str, lang: str | None = None) -> tuple:
             dup += WORD.search(line) is not None
         else:
             seen.add(line)
-    counts = Counter(words)
-    wanted = {lang: COMMON_WORDS[lang]} if lang in COMMON_WORDS else COMMON_WORDS
-    hists = {x: word_histogram(counts, common).tolist() for x, common in wanted.items()}
-    return len(words), sum(map(len, words)), sum(map(text.count, SYMBOLS)), dup, repeated_words(words), class_histogram(text).tolist(), hists
+    return len(words), sum(map(len, words)), sum(map(text.count, SYMBOLS)), dup, repeated_words(words)
+
+
+def fails(n_words: int, n_repeat_words: int) -> bool:
+    return n_words < MIN_WORDS or 100 * n_repeat_words > 50 * n_words
 
 
 def distance(p: np.ndarray, q: np.ndarray) -> float:
@@ -155,23 +166,68 @@ def distance(p: np.ndarray, q: np.ndarray) -> float:
 PROFILE = "doc_id long, lang string, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, classes array<long>, words map<string,array<long>>"
 
 
-def profiles(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
+def _columns(docs: DataFrame, id_col: str, text_col: str, lang_col: str) -> list:
+    return [F.col(id_col).cast("long"), text_of(text_col), F.col(lang_col).cast("string") if lang_col in docs.columns else F.lit(None).cast("string")]
+
+
+def common_words(docs: DataFrame, text_col: str = "text", lang_col: str = "lang", common: int = COMMON) -> dict[str, list[int]]:
+    """The heaviest buckets of each language over all texts that pass the base rules: `common` numbers a language.
+
+    A task sends at most a row for each of its languages and buckets, whatever it reads."""
+    if lang_col not in docs.columns:
+        return {}
+
+    def rows(source):
+        sums: dict[str, np.ndarray] = {}
+        held, buckets = Counter(), _Buckets()
+        for text, lang in source:
+            words = WORD.findall(text)
+            if lang is not None and not fails(len(words), repeated_words(words)):
+                held[lang] += 1
+                at = sums.setdefault(lang, np.zeros(WORD_BUCKETS, np.int64))
+                np.add.at(at, np.fromiter(map(buckets.__getitem__, words), np.int64, len(words)), 1)
+        for lang, at in sums.items():
+            yield lang, -1, held[lang]
+            for bucket in np.flatnonzero(at).tolist():
+                yield lang, bucket, int(at[bucket])
+
+    sums = map_rows(docs, [text_of(text_col), F.col(lang_col).cast("string")], "lang string, bucket int, n long", rows).groupBy("lang", "bucket").agg(F.sum("n").alias("n"))
+    place = F.row_number().over(Window.partitionBy("lang").orderBy(F.col("bucket") >= 0, F.desc("n"), "bucket"))
+    out: dict[str, list[int]] = {}
+    few = set()
+    for r in sums.withColumn("place", place).where(F.col("place") <= common + 1).orderBy("lang", "place").collect():
+        if r.bucket < 0 and r.n < MIN_DOCUMENTS:
+            few.add(r.lang)
+        elif r.bucket >= 0 and r.lang not in few:
+            out.setdefault(r.lang, []).append(r.bucket)
+    return out
+
+
+def profiles(docs: DataFrame, common: dict[str, list[int]], id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
+    """The counts and histograms of every text: the word histogram of its language, of all languages where it is null."""
+
     def rows(source):
+        buckets = _Buckets()
         for key, text, lang in source:
-            yield key, lang, *profile(text, lang)
+            words = WORD.findall(text)
+            counts = Counter(words)
+            wanted = common if lang is None else {lang: common[lang]} if lang in common else {}
+            hists = {x: word_histogram(counts, at, buckets).tolist() for x, at in wanted.items()}
+            yield key, lang, *base_counts(text, words), class_histogram(text).tolist(), hists
 
-    return map_rows(docs, [F.col(id_col).cast("long"), text_of(text_col), F.col(lang_col).cast("string") if lang_col in docs.columns else F.lit(None).cast("string")], PROFILE, rows)
+    return map_rows(docs, _columns(docs, id_col, text_col, lang_col), PROFILE, rows)
 
 
 def references(profiled: DataFrame) -> dict[str, tuple[list[int], list[int]]]:
-    """Mean histograms (in millionths) of each listed language over all texts of at least MIN_WORDS words.
+    """Mean histograms (in millionths) of each language over all texts that pass the base rules.
 
     The sums hold a row for each language and bin, at most a few hundred, whatever the input."""
 
     def rows(source):
         sums: Counter = Counter()
-        for lang, n, classes, words in source:
-            if lang in COMMON_WORDS and n >= MIN_WORDS:
+        for lang, n, repeat, classes, words in source:
+            words = dict(words)
+            if lang in words and not fails(n, repeat):
                 for kind, hist in (("c", classes), ("w", words[lang])):
                     total = sum(hist)
                     for i, x in enumerate(hist):
@@ -179,22 +235,21 @@ def references(profiled: DataFrame) -> dict[str, tuple[list[int], list[int]]]:
         for (lang, kind, i), x in sums.items():
             yield lang, kind, i, x
 
-    part = map_rows(profiled, [F.col(c) for c in ("lang", "n_words", "classes", "words")], "lang string, kind string, bin int, x long", lambda s: rows((a, b, c, dict(d)) for a, b, c, d in s))
-    out = {lang: ([0] * len(CLASSES), [0] * (len(common) + 1)) for lang, common in COMMON_WORDS.items()}
-    for r in part.groupBy("lang", "kind", "bin").agg(F.sum("x").alias("x")).collect():
-        out[r.lang]["cw".index(r.kind)][r.bin] = r.x
-    return {lang: both for lang, both in out.items() if sum(both[0])}
+    part = map_rows(profiled, [F.col(c) for c in ("lang", "n_words", "n_repeat_words", "classes", "words")], "lang string, kind string, bin int, x long", rows)
+    sums = {(r.lang, r.kind, r.bin): r.x for r in part.groupBy("lang", "kind", "bin").agg(F.sum("x").alias("x")).collect()}
+    langs = sorted({x for x, _, _ in sums})
+    return {x: tuple([sums[x, kind, i] for i in range(sum(k[:2] == (x, kind) for k in sums))] for kind in "cw") for x in langs}
 
 
 def judge(profiled: DataFrame, refs: dict[str, tuple[list[int], list[int]]], max_class: float = MAX_CLASS_DISTANCE, max_word: float = MAX_WORD_DISTANCE) -> DataFrame:
     """(doc_id, the counts, base_failed, class_distance, word_distance, kept)."""
-    arrays = {lang: (np.array(c, float), np.array(w, float)) for lang, (c, w) in refs.items()}
+    arrays = {lang: (np.array(c, float), np.array(w, float)) for lang, (c, w) in sorted(refs.items())}
 
     def rows(source):
         for key, lang, n, chars, symbols, dup, repeat, classes, words in source:
             words = dict(words)
-            failed = n < MIN_WORDS or 100 * repeat > 50 * n
-            pick = [lang] if lang in arrays else [x for x in arrays if x in words]
+            failed = fails(n, repeat)
+            pick = [x for x in arrays if x in words]
             c = np.array(classes, float)
             long_enough = (c.sum() >= MIN_CHARS_COMPARED, n >= MIN_WORDS_COMPARED)
             both = [(distance(c, arrays[x][0]) if long_enough[0] else 0.0, distance(np.array(words[x], float), arrays[x][1]) if long_enough[1] else 0.0) for x in pick]
@@ -206,6 +261,6 @@ def judge(profiled: DataFrame, refs: dict[str, tuple[list[int], list[int]]], max
 
 
 def quality(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
-    """Profiles once (written to the shared folder), references from all of them, then a verdict per document."""
-    profiled = materialise(profiles(docs, id_col, text_col, lang_col), "profiles")
+    """Common words of all texts, profiles with them (written to the shared folder), references, then a verdict per document."""
+    profiled = materialise(profiles(docs, common_words(docs, text_col, lang_col), id_col, text_col, lang_col), "profiles")
     return judge(profiled, references(profiled))
