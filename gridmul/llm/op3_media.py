@@ -4,8 +4,15 @@ A payload is stored losslessly as the samples of one uncompressed 8-bit grey vid
 container, ours or foreign, is described by walking its nested boxes and decoding the sample tables: codec, duration and
 the byte ranges of its keyframes. Payloads are never decoded.
 
-Defined cases: null text is empty text; an empty payload is padded to one frame of zeros; a container that is null,
-truncated or not ISO media gives a description whose fields are null and whose `error` says why; extra columns are ignored.
+A track's samples come from its sample tables and from the runs of movie fragments (`moof`), whose sizes, durations and flags
+fall back on the fragment's and the movie's defaults; the first track with samples is the one that the columns describe, and
+`tracks` tells codec, kind, duration and number of samples of every track. Counts in tables are held against the bytes that
+stand behind them before anything of that size is made, so a false count is an error of its row.
+
+Defined cases: null text is empty text; an empty payload is padded to one frame of zeros; very long texts take 64-bit chunk
+offsets where 32 bits end; repeated rows and equal texts give equal values; of several tracks the first in the file counts; a
+container that is null, truncated, not ISO media, or whose tables claim more than the file holds gives a description whose
+fields are null and whose `error` says why; an empty table gives an empty result; extra columns, whatever their names, are ignored.
 """
 
 from __future__ import annotations
@@ -115,17 +122,109 @@ def _count(data: bytes, at: int, end: int, each: int) -> int:
     return n
 
 
-def describe(data: bytes | None) -> dict:
-    """Codec, duration and keyframe byte ranges of the first track that has samples; `samples` is (offsets, sizes)."""
+def _uint(data: bytes, at: int, end: int, wide: bool = False) -> int:
+    if at + (8 if wide else 4) > end:
+        raise ValueError("a field is cut off")
+    return int.from_bytes(data[at : at + (8 if wide else 4)], "big")
+
+
+def _defaults(data: bytes, at: int, end: int) -> dict:
+    """Duration, size and flags of samples by a track fragment's header, where it has them."""
+    flags, here, out = _uint(data, at, end) & 0xFFFFFF, at + 8 + 8 * (data[at + 3] & 1), {"track": _uint(data, at + 4, end)}
+    if flags & 1:
+        out["base"] = _uint(data, at + 8, end, wide=True)
+    for bit, name in ((2, None), (8, "duration"), (16, "size"), (32, "flags")):
+        if flags & bit:
+            if name:
+                out[name] = _uint(data, here, end)
+            here += 4
+    return out
+
+
+def _run(data: bytes, at: int, end: int, given: dict) -> tuple[int | None, np.ndarray, np.ndarray, np.ndarray]:
+    """(offset from the base, sizes, durations, whether a keyframe) of a track run."""
+    flags, n, here = _uint(data, at, end) & 0xFFFFFF, _uint(data, at + 4, end), at + 8
+    offset = None
+    if flags & 1:
+        offset = struct.unpack_from(">i", data, here)[0]
+        here += 4
+    first = None
+    if flags & 4:
+        first = _uint(data, here, end)
+        here += 4
+    fields = [f for bit, f in ((0x100, "duration"), (0x200, "size"), (0x400, "flags"), (0x800, "shift")) if flags & bit]
+    if here + 4 * n * len(fields) > end or not fields and n * max(given.get("size", 0), 1) > len(data):
+        raise ValueError("a track run is cut off")
+    table = np.frombuffer(data, ">u4", n * len(fields), here).astype(np.int64).reshape(n, len(fields))
+    column = {f: table[:, fields.index(f)] if f in fields else np.full(n, given.get(f, 0), np.int64) for f in ("duration", "size", "flags")}
+    kinds = column["flags"].copy()
+    if first is not None and n:
+        kinds[0] = first
+    return offset, column["size"], column["duration"], kinds & 0x10000 == 0
+
+
+def _table_samples(t: dict, length: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
+    """(offsets, sizes, whether keyframes, ticks) by the sample tables of a track."""
+    sizes = t["sizes"]
+    if isinstance(sizes, tuple):
+        if sizes[0] * sizes[1] > length:
+            raise ValueError("samples outside the file")
+        sizes = np.full(sizes[1], sizes[0], np.int64)
+    n = len(sizes)
+    chunks = t.get(b"stco", t.get(b"co64", np.zeros(0, np.int64)))
+    runs = t.get(b"stsc", np.zeros(0, np.int64)).reshape(-1, 3)
+    counts = np.zeros(len(chunks), np.int64)
+    for k, (first, per, _) in enumerate(runs):
+        if first < 1 or per < 0:
+            raise ValueError("a chunk run is out of place")
+        # no chunk has more samples than there are sizes, whatever the table claims
+        counts[first - 1 : (runs[k + 1][0] - 1 if k + 1 < len(runs) else len(chunks))] = min(int(per), n)
+    ends = np.minimum(np.cumsum(counts), n)
+    if n and (not len(ends) or ends[-1] < n):
+        raise ValueError("fewer samples in chunks than sizes")
+    counts = np.diff(ends, prepend=0)
+    chunk = np.repeat(np.arange(len(chunks)), counts)
+    before = np.concatenate(([0], np.cumsum(sizes)[:-1])) if n else sizes
+    offsets = chunks[chunk] + before - before[np.minimum((ends - counts)[chunk], max(n - 1, 0))]
+    keys = np.zeros(n, bool)
+    marked = t[b"stss"] - 1 if b"stss" in t else np.arange(n)
+    keys[marked[(marked >= 0) & (marked < n)]] = True
+    ticks = int((t[b"stts"].reshape(-1, 2).astype(object).prod(axis=1)).sum()) if b"stts" in t and len(t[b"stts"]) else t.get("ticks", 0)
+    return offsets, sizes, keys, ticks
+
+
+def tracks_of(data: bytes | None) -> list[dict]:
+    """codec, handler, timescale, duration, samples (offsets, sizes) and keys (indices) of every track, in the file's order."""
     if not data:
         raise ValueError("no bytes")
     tracks: list[dict] = []
+    extends: dict[int, dict] = {}
+    fragment: dict = {}
     for path, at, end in walk(data):
         kind = path[-1]
         if kind == b"trak":
-            tracks.append({})
-        elif not tracks:
+            tracks.append({"parts": []})
+        elif kind == b"trex":
+            extends[_uint(data, at + 4, end)] = {"duration": _uint(data, at + 12, end), "size": _uint(data, at + 16, end), "flags": _uint(data, at + 20, end)}
+        elif kind == b"moof":
+            # the box begins eight or sixteen bytes before its body
+            fragment = {"start": at - (16 if data[at - 12 : at - 8] == b"moof" else 8), "next": None}
+        elif kind == b"tfhd" and fragment:
+            own = _defaults(data, at, end)
+            fragment["given"] = extends.get(own["track"], {}) | own
+            fragment["base"] = own.get("base", fragment["start"])
+            fragment["next"] = fragment["base"]
+        elif kind == b"trun" and fragment.get("given"):
+            offset, sizes, durations, keys = _run(data, at, end, fragment["given"])
+            begin = fragment["next"] if offset is None else fragment["base"] + offset
+            fragment["next"] = begin + int(sizes.sum())
+            for t in tracks:
+                if t.get("id") == fragment["given"]["track"]:
+                    t["parts"].append((begin + np.concatenate(([0], np.cumsum(sizes)[:-1])) if len(sizes) else sizes, sizes, keys, int(durations.sum())))
+        elif not tracks or b"moov" not in path:
             continue
+        elif kind == b"tkhd":
+            tracks[-1]["id"] = _uint(data, at + (20 if data[at] == 1 else 12), end)
         elif kind == b"mdhd":
             wide = data[at] == 1
             tracks[-1]["scale"], tracks[-1]["ticks"] = struct.unpack_from(">IQ" if wide else ">II", data, at + (20 if wide else 12))
@@ -143,32 +242,23 @@ def describe(data: bytes | None) -> dict:
             if not same and at + 12 + 4 * n > end:
                 raise ValueError("a sample table is cut off")
             tracks[-1]["sizes"] = (same, n) if same else np.frombuffer(data, ">u4", n, at + 12).astype(np.int64)
+    out = []
     for t in tracks:
-        if "sizes" not in t or b"stsc" not in t or (b"stco" not in t and b"co64" not in t):
-            continue
-        sizes = t["sizes"]
-        if isinstance(sizes, tuple):
-            if sizes[0] * sizes[1] > len(data):
-                raise ValueError("samples outside the file")
-            sizes = np.full(sizes[1], sizes[0], np.int64)
-        chunks = t.get(b"stco", t.get(b"co64"))
-        runs = t[b"stsc"].reshape(-1, 3)
-        counts = np.zeros(len(chunks), np.int64)
-        for k, (first, per, _) in enumerate(runs):
-            counts[first - 1 : (runs[k + 1][0] - 1 if k + 1 < len(runs) else len(chunks))] = per
-        if counts.sum() < len(sizes):
-            raise ValueError("fewer samples in chunks than sizes")
-        chunk = np.repeat(np.arange(len(chunks)), counts)[: len(sizes)]
-        before = np.concatenate(([0], np.cumsum(sizes)[:-1])) if len(sizes) else sizes
-        starts = np.concatenate(([0], np.cumsum(counts)[:-1])) if len(counts) else counts
-        offsets = chunks[chunk] + before - before[np.minimum(starts[chunk], max(len(sizes) - 1, 0))]
-        if len(sizes) and (offsets + sizes).max() > len(data):
+        parts = ([_table_samples(t, len(data))] if "sizes" in t else []) + t["parts"]
+        offsets, sizes, keys = (np.concatenate([p[k] for p in parts]) if parts else np.zeros(0, np.int64) for k in range(3))
+        if len(sizes) and (offsets.min() < 0 or (offsets + sizes).max() > len(data)):
             raise ValueError("samples outside the file")
-        keys = t[b"stss"] - 1 if b"stss" in t else np.arange(len(sizes))
-        keys = keys[(keys >= 0) & (keys < len(sizes))]
         scale = t.get("scale") or 1
-        ticks = int((t[b"stts"].reshape(-1, 2).prod(axis=1)).sum()) if b"stts" in t else t.get("ticks", 0)
-        return {"codec": t.get("codec"), "handler": t.get("handler"), "timescale": scale, "duration": ticks / scale, "samples": (offsets, sizes), "keys": keys}
+        out.append({"codec": t.get("codec"), "handler": t.get("handler"), "timescale": scale, "duration": sum(p[3] for p in parts) / scale, "samples": (offsets, sizes), "keys": np.flatnonzero(keys)})
+    return out
+
+
+def describe(data: bytes | None) -> dict:
+    """The first track that has samples (see tracks_of), with the list of all tracks."""
+    tracks = tracks_of(data)
+    for t in tracks:
+        if len(t["samples"][1]):
+            return t | {"tracks": tracks}
     raise ValueError("no track with samples")
 
 
@@ -192,20 +282,21 @@ def store_texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     return map_rows(docs, [F.col(id_col).cast("long").alias("doc_id"), text_of(text_col)], "doc_id long, n_bytes long, media binary", rows)
 
 
-DESCRIPTION = "codec string, handler string, timescale long, duration double, n_samples long, keyframes array<struct<offset:long,length:long>>, error string"
+DESCRIPTION = "tracks array<struct<codec:string,handler:string,duration:double,n_samples:long>>, codec string, handler string, timescale long, duration double, n_samples long, keyframes array<struct<offset:long,length:long>>, error string"
 
 
 def describe_media(df: DataFrame, id_col: str, media_col: str) -> DataFrame:
-    """(id, codec, handler, timescale, duration in seconds, n_samples, keyframes, error) of any column of containers."""
+    """(id, tracks, codec, handler, timescale, duration in seconds, n_samples, keyframes, error) of any column of containers."""
 
     def rows(source):
         for key, data in source:
             try:
                 d = describe(data)
                 o, s = d["samples"]
-                yield key, d["codec"], d["handler"], d["timescale"], d["duration"], len(o), [{"offset": int(o[k]), "length": int(s[k])} for k in d["keys"]], None
-            except (ValueError, struct.error, IndexError) as e:
-                yield key, None, None, None, None, None, None, str(e)
+                tracks = [{"codec": t["codec"], "handler": t["handler"], "duration": t["duration"], "n_samples": len(t["samples"][1])} for t in d["tracks"]]
+                yield key, tracks, d["codec"], d["handler"], d["timescale"], d["duration"], len(o), [{"offset": int(o[k]), "length": int(s[k])} for k in d["keys"]], None
+            except (ValueError, struct.error, IndexError, OverflowError, MemoryError) as e:
+                yield key, None, None, None, None, None, None, None, str(e)
 
     return map_rows(df, [F.col(id_col).cast("long").alias("id"), F.col(media_col)], f"id long, {DESCRIPTION}", rows)
 
