@@ -2,13 +2,16 @@
 
 Hosts are the nodes, links between different hosts the edges. Trust is personalised PageRank from hosts that an allow rule
 names, distrust the same walk over the reversed edges from hosts that a block rule names; a host whose distrust outweighs
-its trust is blocked, however small both are. Steps go on until no host's score changes by more than TOLERANCE of itself, so
-the walk reaches every host that links lead to. Each step is one join and one aggregation over the edge table and one join
-for the change; nothing of the graph is collected.
+its trust is blocked, however small both are. Mass of hosts without links goes back to the seeds: such a walk is the one that
+loses that mass, scaled to one in all. Steps go on until no host's score changes by more than TOLERANCE of itself, so the walk
+reaches every host that links lead to. Each step is one join and one aggregation over the edge table and one join for the
+change; nothing of the graph is collected.
 
 Defined cases: a null URL, or one without `://`, has an empty host and path, fits no rule and is allowed unless its (empty)
-host is judged otherwise; null HTML has no links; relative links stay on their host and are no edges; repeated links count
-once per page; an empty table gives an empty result; extra columns are ignored.
+host is judged otherwise; null HTML has no links; very long URLs, tags and pages are read whole (a tag ends at its first `>`);
+relative links stay on their host and are no edges; repeated links count once per page; a host whose distrust equals its trust
+is allowed; of rules of one length the last of the alphabet wins, which only repeated rules can be; repeated rows are judged alike;
+an empty table gives an empty result; extra columns, whatever their names, are ignored.
 """
 
 from __future__ import annotations
@@ -26,9 +29,8 @@ DAMPING = 0.85
 TOLERANCE = 1e-6
 #: A host is blocked where distrust > trust * BLOCK_RATIO (shares of all mass).
 BLOCK_RATIO = 1.0
-#: Of the SQL only, which has a fixed number of steps and a least distrust; the same on tables without links between hosts.
-STEPS = 10
-MIN_DISTRUST = 1e-9
+#: A link to another host or scheme; group 1 is the host.
+LINK = r"""(?i)<a\s(?:[^>]*?\s)?href\s*=\s*["']?(?:[a-z][a-z0-9+.-]*:)?//([^/?#"'\s>]+)"""
 
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
@@ -53,35 +55,28 @@ def rule_of(host: Column, path: Column, rules: list[tuple[str, str, str]] = RULE
 
 def host_edges(pages: DataFrame, host: str = "host", html: str = "html") -> DataFrame:
     """(src, dst, pages): links between different hosts; a page counts once for each target host."""
-    links = F.array_distinct(F.transform(F.regexp_extract_all(F.coalesce(F.col(html), F.lit("")), F.lit(r"""(?i)<a\s[^>]{0,2000}?href\s*=\s*["']?(?:[a-z][a-z0-9+.-]*:)?//([^/?#"'\s>]+)"""), 1), lambda h: F.translate(h, _UPPER, _LOWER)))
+    links = F.array_distinct(F.transform(F.regexp_extract_all(F.coalesce(F.col(html), F.lit("")), F.lit(LINK), 1), lambda h: F.translate(h, _UPPER, _LOWER)))
     return pages.select(F.col(host).alias("src"), F.explode(links).alias("dst")).where("src <> '' AND dst <> src").groupBy("src", "dst").agg(F.count("*").alias("pages"))
 
 
-def propagate(edges: DataFrame, seeds: DataFrame, steps: int | None = None, damping: float = DAMPING, label: str = "rank", tolerance: float = TOLERANCE) -> DataFrame:
+def propagate(edges: DataFrame, seeds: DataFrame, damping: float = DAMPING, label: str = "rank", tolerance: float = TOLERANCE) -> DataFrame:
     """Personalised PageRank: (host, score). seeds: (host, seed), with seed summing to 1; edges: (src, dst, weight).
 
-    Mass of hosts without links goes back to the seeds (it leaves the walk and the scores are scaled at the end by
-    comparing shares only). steps: so many; None: until every score changes by at most `tolerance` of itself. One join and one
-    aggregation a step; the scores are written to cut lineage, every few steps or, to be compared, after each."""
+    One join and one aggregation a step; the scores are written after each, to cut lineage and to be compared."""
     out = edges.groupBy("src").agg(F.sum("weight").alias("total"))
     shares = materialise(edges.join(out, "src").select("src", "dst", (F.col("weight") / F.col("total")).alias("share")), f"{label}-edges", narrow=True)
     score = seeds.select("host", F.col("seed").alias("score"))
     if shares.isEmpty():  # no edge: every step leaves the seeds' share as it is
         return score
-    step = 0
-    while steps is None or step < steps:
+    while True:
         moved = shares.join(score, shares.src == score.host).select(F.col("dst").alias("host"), (F.col("share") * F.col("score") * damping).alias("x"))
         kept = seeds.select("host", (F.col("seed") * (1 - damping)).alias("x"))
-        before, score = score, moved.unionByName(kept).groupBy("host").agg(F.sum("x").alias("score"))
-        step += 1
-        if steps is None:
-            score = materialise(score, label, narrow=True)
-            both = score.join(before.select("host", F.col("score").alias("before")), "host", "left")
-            if both.where(F.abs(F.col("score") - F.coalesce("before", F.lit(0.0))) > F.col("score") * tolerance).isEmpty():
-                break
-        elif step % 3 == 0 or step == steps:
-            score = materialise(score, label, narrow=True)
-    return score
+        before, score = score, materialise(moved.unionByName(kept).groupBy("host").agg(F.sum("x").alias("score")), label, narrow=True)
+        both = score.join(before.select("host", F.col("score").alias("before")), "host", "left")
+        if both.where(F.abs(F.col("score") - F.coalesce("before", F.lit(0.0))) > F.col("score") * tolerance).isEmpty():
+            break
+    total = score.agg(F.sum("score")).first()[0]
+    return score.select("host", (F.col("score") / F.lit(total or 1.0)).alias("score"))
 
 
 def host_scores(pages: DataFrame) -> DataFrame:

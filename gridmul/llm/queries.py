@@ -76,26 +76,27 @@ def _line_sql() -> str:
         SELECT doc_id, n_lines, n_removed, text FROM kept"""
 
 
-def _url_sql() -> str:
-    """Rules, then the walks of trust and distrust, a common table expression a step."""
+def _url_sql(steps: int = 100) -> str:
+    """Rules, then the walks of trust and distrust, a common table expression a step; so many steps change a score by 1e-7 of all mass."""
     lower = "translate({}, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
     case = {"rule": "", "verdict": ""}
     for what, h, path in sorted(op4_urls.RULES, key=lambda r: -len(r[1] + r[2])):
         fits = f"(host = '{h}' OR suffix(host, '.{h}')) AND prefix(path, '{path}')"
         case["rule"] += f" WHEN {fits} THEN '{h}{path}'"
         case["verdict"] += f" WHEN {fits} THEN '{what}'"
-    steps = ""
+    link = op4_urls.LINK.replace("'", "''")
+    walks = ""
     for kind, src, dst in (("good", "src", "dst"), ("bad", "dst", "src")):
-        steps += f", seed_{kind} AS (SELECT host, {kind} / (SELECT sum({kind}) FROM hosts)::DOUBLE AS x FROM hosts WHERE {kind} > 0), share_{kind} AS (SELECT {src} AS s, {dst} AS d, n / sum(n) OVER (PARTITION BY {src})::DOUBLE AS w FROM edges), {kind}_0 AS (SELECT * FROM seed_{kind})"
-        for k in range(op4_urls.STEPS):
-            steps += f", {kind}_{k + 1} AS (SELECT host, sum(x) AS x FROM (SELECT d AS host, w * x * {op4_urls.DAMPING} AS x FROM share_{kind} JOIN {kind}_{k} ON s = host UNION ALL SELECT host, x * (1 - {op4_urls.DAMPING}) FROM seed_{kind}) GROUP BY 1)"
-    last = op4_urls.STEPS
+        walks += f", seed_{kind} AS MATERIALIZED (SELECT host, {kind} / (SELECT sum({kind}) FROM hosts)::DOUBLE AS x FROM hosts WHERE {kind} > 0), share_{kind} AS MATERIALIZED (SELECT {src} AS s, {dst} AS d, n / sum(n) OVER (PARTITION BY {src})::DOUBLE AS w FROM edges), {kind}_0 AS MATERIALIZED (SELECT * FROM seed_{kind})"
+        for k in range(steps):
+            walks += f", {kind}_{k + 1} AS MATERIALIZED (SELECT host, sum(x) AS x FROM (SELECT d AS host, w * x * {op4_urls.DAMPING} AS x FROM share_{kind} JOIN {kind}_{k} ON s = host UNION ALL SELECT host, x * (1 - {op4_urls.DAMPING}) FROM seed_{kind}) GROUP BY 1)"
+        walks += f", {kind} AS (SELECT host, x / sum(x) OVER () AS x FROM {kind}_{steps})"
     return f"""WITH u AS (SELECT page_id, html, {lower.format("regexp_extract(coalesce(url, ''), '(?s)^.*?://([^/?#]*)', 1)")} AS host, regexp_extract(coalesce(url, ''), '(?s)^.*?://[^/?#]*([^?#]*)', 1) AS path FROM pages),
         j AS (SELECT *, CASE{case["rule"]} END AS rule, CASE{case["verdict"]} END AS ruled FROM u),
         hosts AS (SELECT host, count(*) FILTER (WHERE ruled = 'allow') AS good, count(*) FILTER (WHERE ruled = 'block') AS bad FROM j GROUP BY 1),
-        edges AS (SELECT src, dst, count(*) AS n FROM (SELECT DISTINCT page_id, host AS src, {lower.format("unnest(regexp_extract_all(coalesce(html, ''), '<[aA][^>]*[hH][rR][eE][fF]=.?(?:[a-z]+:)?//([^/?#>]+)', 1))")} AS dst FROM j) WHERE src <> '' AND src <> dst GROUP BY 1, 2){steps}
-        SELECT page_id, j.host, path, rule, coalesce(ruled, CASE WHEN coalesce(b.x, 0) > coalesce(g.x, 0) AND coalesce(b.x, 0) >= {op4_urls.MIN_DISTRUST} THEN 'block' ELSE 'allow' END) AS verdict
-        FROM j LEFT JOIN good_{last} g ON g.host = j.host LEFT JOIN bad_{last} b ON b.host = j.host"""
+        edges AS (SELECT src, dst, count(*) AS n FROM (SELECT DISTINCT page_id, host AS src, {lower.format(f"unnest(regexp_extract_all(coalesce(html, ''), '{link}', 1))")} AS dst FROM j) WHERE src <> '' AND src <> dst GROUP BY 1, 2){walks}
+        SELECT page_id, j.host, path, rule, coalesce(ruled, CASE WHEN coalesce(b.x, 0) > coalesce(g.x, 0) THEN 'block' ELSE 'allow' END) AS verdict
+        FROM j LEFT JOIN good g ON g.host = j.host LEFT JOIN bad b ON b.host = j.host"""
 
 
 def oracle_sql() -> dict[str, str]:
