@@ -1,16 +1,18 @@
 """Licence scans: normalised text against licence templates by the Dice coefficient over word bigrams.
 
-Units are every line, every run of lines between blank lines, every run of neighbouring ones of these, and the whole text. A
+Units are every line, every run of lines between blank lines, every run of neighbouring ones of these, the whole text, and, where
+none of these matches, every window of as many words as a template has, so that a notice within a longer line is found. A
 unit is compared with a template only when their sizes allow the threshold (the smaller at least t / (2 - t) of the larger)
 and when the text shares as large a part of the template's bigrams; both conditions are necessary for a match, so nothing is
 lost. One pass without a shuffle.
 
 Of overlapping spans of one template the best stays. A span inside that of another template goes only where its template is a
-part of the other's (the conditions within a whole licence).
+part of the other's (the conditions within a whole licence); a window goes where a span of such a template fits better.
 
-Defined cases: null or empty text has no units; a unit of one word has the single pseudo-bigram (word,); a tie between
-templates goes to the first name; equal spans found as line and as paragraph count once, and of equal scores the shortest and
-then the first span stays; extra columns are ignored.
+Defined cases: null or empty text has no units; very long texts are read whole; a unit of one word has the single pseudo-bigram
+(word,); a tie between templates goes to the first name; equal spans found as line and as paragraph count once, and of equal scores
+the shortest and then the first span stays; repeated rows are judged alike; an empty table gives an empty result; extra columns,
+whatever their names, are ignored.
 """
 
 from __future__ import annotations
@@ -140,6 +142,26 @@ class Scanner:
                         found[first, last] = (name, score)
         return found
 
+    def windows(self, text: str, names: Collection[str]) -> dict[tuple[int, int, str], float]:
+        """{(start, end, template): score} of the windows with as many words as the template has, that match."""
+        places = [(m.start(), m.end(), m[0].lower()) for m in WORD.finditer(text)]
+        grams = [(a[2], b[2]) for a, b in zip(places, places[1:])]
+        found: dict[tuple[int, int, str], float] = {}
+        for name in sorted(names):
+            shape, total = self.shapes[name], self.sizes[name]
+            have: dict[tuple, int] = defaultdict(int)
+            common = 0
+            for i, g in enumerate(grams):
+                if g in shape:
+                    have[g] += 1
+                    common += have[g] <= shape[g]
+                if i >= total and (gone := grams[i - total]) in shape:
+                    common -= have[gone] <= shape[gone]
+                    have[gone] -= 1
+                if i >= total - 1 and common >= self.threshold * total:
+                    found[places[i - total + 1][0], places[i + 1][1], name] = common / total
+        return found
+
     def scan(self, text: str) -> list[tuple[int, int, str, float]]:
         """(start, end, template, score) in code points, by start and end."""
         words = WORD.findall(text.lower())
@@ -166,19 +188,38 @@ class Scanner:
         for (first, last), hit in self.runs([WORD.findall(text[a:b].lower()) for a, b in paragraphs], names).items():
             found.setdefault((paragraphs[first][0], paragraphs[last][1]), hit)
         kept: dict[str, list[tuple[int, int]]] = defaultdict(list)
-        for a, b in sorted(found, key=lambda s: (-found[s][1], s[1] - s[0], s)):
-            same = kept[found[a, b][0]]
+        scores: dict[tuple[int, int, str], float] = {}
+
+        def keep(a: int, b: int, name: str, score: float) -> None:
+            same = kept[name]
             # the kept ones do not overlap, so only the neighbours of the place can
             k = bisect_left(same, (a, b))
             if (k == 0 or same[k - 1][1] <= a) and (k == len(same) or b <= same[k][0]):
                 same.insert(k, (a, b))
+                scores[a, b, name] = score
+
+        for a, b in sorted(found, key=lambda s: (-found[s][1], s[1] - s[0], s)):
+            keep(a, b, *found[a, b])
+
+        def better(a: int, b: int, name: str, score: float) -> bool:
+            """Whether a span of a part of the template, or of one that it is a part of, overlaps and fits better."""
+            for other in (o for o in kept if o in self.part_of[name] or name in self.part_of[o]):
+                k = bisect_left(kept[other], (a, a))
+                if any(x < b and a < y and scores[x, y, other] > score for x, y in kept[other][max(k - 1, 0) : bisect_left(kept[other], (b, b))]):
+                    return True
+            return False
+
+        inside = self.windows(text, names)
+        for a, b, name in sorted(inside, key=lambda s: (-inside[s], s[1] - s[0], s)):
+            if not better(a, b, name, inside[a, b, name]):
+                keep(a, b, name, inside[a, b, name])
 
         def within(a: int, b: int, larger: str) -> bool:
             k = bisect_right(kept[larger], (a, len(text)))
             return k > 0 and kept[larger][k - 1][0] <= a and b <= kept[larger][k - 1][1]
 
         spans = sorted((a, b, n) for n, some in kept.items() for a, b in some)
-        return [(a, b, *found[a, b]) for a, b, n in spans if not any(within(a, b, o) for o in self.part_of[n] if o in kept)]
+        return [(a, b, n, scores[a, b, n]) for a, b, n in spans if not any(within(a, b, o) for o in self.part_of[n] if o in kept)]
 
 
 def scan_licences(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", templates: dict[str, str] = TEMPLATES, threshold: float = THRESHOLD) -> DataFrame:

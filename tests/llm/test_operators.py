@@ -275,6 +275,49 @@ def test_media_walk_and_damage(spark):
     assert next(op3_media.walk(b"\0\0\0\0free123"))[2] == 11
 
 
+def fragmented(first: bytes, second: bytes) -> bytes:
+    """Two tracks in one movie; the samples of the first (8 bytes each) lie in two fragments, the second track has none."""
+    box, full, u4 = op3_media._box, op3_media._full, lambda *x: b"".join(v.to_bytes(4, "big") for v in x)
+    table = lambda codec: box(b"stbl", full(b"stsd", u4(1), box(codec, bytes(28))), full(b"stts", u4(0)), full(b"stsc", u4(0)), full(b"stsz", u4(0, 0)), full(b"stco", u4(0)))
+    trak = lambda i, kind, codec: box(b"trak", full(b"tkhd", u4(0, 0, i, 0, 0), bytes(60)), box(b"mdia", full(b"mdhd", u4(0, 0, 10, 0), bytes(4)), full(b"hdlr", bytes(4), kind, bytes(12), b"\0"), box(b"minf", table(codec))))
+    moov = box(b"moov", full(b"mvhd", bytes(96)), trak(1, b"soun", b"mp4a"), trak(2, b"vide", b"avc1"), box(b"mvex", full(b"trex", u4(1, 1, 5, 0, 0)), full(b"trex", u4(2, 1, 5, 8, 0x10000))))
+    out = box(b"ftyp", b"iso5", bytes(4)) + moov
+    for payload in (first, second):
+        head = lambda offset: box(b"moof", full(b"mfhd", u4(1)), box(b"traf", full(b"tfhd", u4(2), flags=0x20000), full(b"trun", u4(len(payload) // 8, offset, 0), flags=5)))  # noqa: B023, E731
+        out += head(len(head(0)) + 8) + box(b"mdat", payload)
+    return out
+
+
+def test_media_fragments_and_tracks(spark):
+    first, second = bytes(range(32)), bytes(range(100, 148))
+    media = fragmented(first, second)
+    d = op3_media.describe(media)
+    assert (d["codec"], d["handler"], d["duration"], d["keys"].tolist()) == ("avc1", "vide", 10 * 5 / 10, [0, 4])
+    assert op3_media.read_back(media, d["samples"]) == first + second
+    rows = op3_media.describe_media(spark.createDataFrame([(1, media), (1, media)], "id long, media binary"), "id", "media").collect()
+    assert rows[0] == rows[1] and [(t.codec, t.n_samples) for t in rows[0].tracks] == [("mp4a", 0), ("avc1", 10)]
+    assert [media[k.offset : k.offset + k.length] for k in rows[0].keyframes] == [first[:8], second[:8]]
+
+
+def test_media_false_counts_are_errors_of_their_row(spark):
+    media = bytearray(op3_media.pack(bytes(range(64)) * 40))
+    good = bytes(media)
+    at = media.index(b"stsc") + 12
+    media[at + 4 : at + 8] = (1 << 31).to_bytes(4, "big")
+    many = bytes(media)
+    sizes = bytearray(good)
+    at = sizes.index(b"stsz") + 8
+    sizes[at : at + 8] = (0).to_bytes(4, "big") + (1 << 31).to_bytes(4, "big")
+    run = bytearray(fragmented(bytes(16), bytes(16)))
+    at = run.index(b"trun") + 8
+    run[at : at + 4] = (0xFFFFFFFF).to_bytes(4, "big")
+    df = spark.createDataFrame([(1, many), (2, bytes(sizes)), (3, bytes(run)), (4, good)], "id long, media binary")
+    got = {r.id: r for r in op3_media.describe_media(df, "id", "media").collect()}
+    assert got[4].error is None and got[2].error and got[3].error
+    # all samples claimed by the first chunk: no more than there are, and they leave the file's bytes or not
+    assert got[1].error or got[1].n_samples == 40
+
+
 # ---------------------------------------------------------------- 4
 
 
@@ -313,19 +356,45 @@ def test_distrust_reaches_far_and_weakly_linked_hosts(spark):
 
 def test_rank_equals_power_iteration(spark):
     rng = np.random.default_rng(3)
-    links = {(int(a), int(b)) for a, b in rng.integers(0, 12, (40, 2)) if a != b}
+    links = {(int(a), int(b)) for a, b in rng.integers(0, 12, (20, 2)) if a != b and a not in (4, 7)}  # 4 and 7 have no links
     edges = spark.createDataFrame([(f"h{a}", f"h{b}", 1.0) for a, b in links], "src string, dst string, weight double")
     seeds = spark.createDataFrame([("h0", 0.5), ("h3", 0.5)], "host string, seed double")
-    got = {r.host: r.score for r in op4_urls.propagate(edges, seeds, 10).collect()}
-    m = np.zeros((12, 12))
-    for a, b in links:
-        m[b, a] = 1 / sum(x == a for x, _ in links)
-    s = np.zeros(12)
+    got = {r.host: r.score for r in op4_urls.propagate(edges, seeds, tolerance=1e-9).collect()}
+    m, s = np.zeros((12, 12)), np.zeros(12)
     s[[0, 3]] = 0.5
+    for a in range(12):
+        out = [b for x, b in links if x == a]
+        m[out, a] = 1 / len(out) if out else 0
+        if not out:
+            m[:, a] = s
     x = s.copy()
-    for _ in range(10):
+    for _ in range(400):
         x = 0.85 * m @ x + 0.15 * s
-    assert all(abs(got.get(f"h{i}", 0) - x[i]) < 1e-12 for i in range(12))
+    assert all(abs(got.get(f"h{i}", 0) - x[i]) < 1e-7 for i in range(12)) and sum(got.values()) == pytest.approx(1)
+
+
+def test_long_tags_keep_their_links(spark):
+    link = "<a " + "data-x='" + "y" * 2500 + "' href='https://bad.net/1'>z</a>"
+    long_url = "http://a.org/" + "p" * 100_000
+    pages = [(1, "http://bad.net/", ""), (2, "http://far.org/x", link), (3, long_url, "<p>" + "w " * 200_000 + '<A\nHREF = //BAD.net/2>'), (4, "http://b.org/", "<a data-href='//bad.net/'>")]
+    df = spark.createDataFrame(pages, "page_id long, url string, html string")
+    assert {r.page_id: r.verdict for r in op4_urls.filter_urls(df).collect()} == {1: "block", 2: "block", 3: "block", 4: "allow"}
+
+
+def test_walks_equal_the_sql(spark):
+    import duckdb
+
+    from gridmul.llm.queries import _url_sql
+
+    rng = random.Random(5)
+    hosts = [f"h{i}.{rng.choice(['net', 'org', 'com', 'info'])}" for i in range(25)] + ["example.net"]
+    pages = [(i, f"http://{rng.choice(hosts)}/{rng.choice(['fr/', 'en/', 'de/', ''])}{i}", "".join(f"<a class=k href='http://{rng.choice(hosts)}/'>x</a>" for _ in range(rng.randrange(4)))) for i in range(150)]
+    df = spark.createDataFrame(pages, "page_id long, url string, html string")
+    got = sorted((r.page_id, r.host, r.path, r.rule or "", r.verdict) for r in op4_urls.filter_urls(df).collect())
+    con = duckdb.connect()
+    con.register("pages", df.toPandas())
+    want = sorted((a, b, c, d or "", e) for a, b, c, d, e in con.execute(_url_sql()).fetchall())
+    assert got == want and {x[4] for x in got if not x[3]} == {"allow", "block"}
 
 
 # ---------------------------------------------------------------- 5
@@ -349,11 +418,54 @@ def test_quality_counts(spark, docs, odd, none):
     assert op5_quality.quality(none).count() == 0
 
 
+def test_quality_verdict_equals_brute_force(spark):
+    df = table(spark, "/root/testdata/sf0.01", "documents")
+    rows = [(r.doc_id, r.lang, r.text or "") for r in df.select("doc_id", "lang", "text").collect()] + [(-1, None, words(200, 4)), (-2, "xx", words(200, 5))]
+    bucket = lambda w: zlib.crc32(w.lower().rstrip(".,;:!?").encode()) % op5_quality.WORD_BUCKETS
+    kind = lambda c: op5_quality._KINDS[ord(c)] if ord(c) < 0x250 else op5_quality.CLASSES.index("other_letter")
+    facts, weights, sizes = [], defaultdict(Counter), Counter()
+    for key, lang, text in rows:
+        n, _, _, _, repeat = brute_quality(text)
+        w = Counter(bucket(x) for x in re.findall(r"[^\x20\x09-\x0D]+", text))
+        failed = n < 50 or 100 * repeat > 50 * n
+        facts.append((key, lang, n, failed, Counter(map(kind, text)), w))
+        if lang and not failed:
+            weights[lang] += w
+            sizes[lang] += 1
+    common = {x: [b for b, _ in sorted(c.items(), key=lambda i: (-i[1], i[0]))[:24]] for x, c in weights.items() if sizes[x] >= 20}
+
+    def share(hist, bins):
+        total = sum(hist.values())
+        out = [hist[b] / total for b in bins]
+        return out + [1 - sum(out)]
+
+    refs = {}
+    for x in common:
+        own = [f for f in facts if f[1] == x and not f[3]]
+        refs[x] = [np.mean([share(f[i], bins) for f in own], axis=0) for i, bins in ((4, range(11)), (5, common[x]))]
+
+    def apart(p, q):
+        h = lambda v: -sum(y * np.log2(y) for y in v if y > 0)
+        return max(0, h((np.array(p) + q) / 2) - (h(p) + h(q)) / 2) ** 0.5
+
+    got = {r.doc_id: r for r in op5_quality.quality(spark.createDataFrame([(k, x, t) for k, x, t in rows], "doc_id long, lang string, text string")).collect()}
+    for key, lang, n, failed, classes, w in facts:
+        pick = [x for x in sorted(common) if lang in (x, None)]
+        long_enough = sum(classes.values()) >= 200, n >= 80
+        both = [(apart(share(classes, range(11)), refs[x][0]) if long_enough[0] else 0, apart(share(w, common[x]), refs[x][1]) if long_enough[1] else 0) for x in pick]
+        c, d = min(both, key=sum) if both else (0, 0)
+        assert abs(got[key].class_distance - c) < 1e-3 and abs(got[key].word_distance - d) < 1e-3
+        sure = abs(c - 0.26) > 1e-3 and (n < 80 or abs(d - 0.225 - 1.3 / n**0.5) > 1e-3)
+        if sure:
+            assert got[key].kept == (not failed and c <= 0.26 and (n < 80 or d <= 0.225 + 1.3 / n**0.5))
+    assert got[-2].class_distance == got[-2].word_distance == 0 and got[-2].kept
+
+
 def test_quality_keeps_sound_and_rejects_junk(spark):
     big = "/root/testdata/sf0.1"
     got = op5_quality.quality(table(spark, big, "documents")).where("NOT base_failed").join(table(spark, big, "labels"), "doc_id").groupBy("quality").agg(F.avg(F.col("kept").cast("int")).alias("kept")).collect()
     kept = {r.quality: r.kept for r in got}
-    assert kept[1] > 0.995 and kept[0] < 0.2
+    assert kept[1] > 0.995 and kept[0] < 0.1
 
 
 def test_distance():
@@ -654,7 +766,7 @@ def test_licences_equal_comparison_with_all_templates(spark, docs, odd, none):
         assert scanner.best(u) == want
     found = {r.doc_id: r for r in op9_licences.scan_licences(docs).collect()}
     for key, text in texts_of(docs):
-        want = sum(line.strip() in ("All rights reserved.", "Licensed under CC BY-NC 4.0.", "Licensed under the Apache License, Version 2.0.", "This work is licensed under the GNU General Public License, version 3.") for line in text.split("\n"))
+        want = sum(line.strip() in ("All rights reserved.", "Licensed under CC BY-NC 4.0.", "Licensed under the Apache License, Version 2.0.", "This work is licensed under the GNU General Public License, version 3.", "Released under the MIT License.") for line in text.split("\n"))
         assert found[key].n_spans == want
     rows = op9_licences.scan_licences(odd).collect()
     assert len(rows) == odd.count() and all(r.n_spans == 0 and r.licence is None for r in rows)
@@ -663,6 +775,14 @@ def test_licences_equal_comparison_with_all_templates(spark, docs, odd, none):
     assert [s[2] for s in spans] == ["MIT"]
 
 
+def test_licences_within_a_longer_line():
+    scanner = op9_licences.Scanner()
+    for notice, name in (("Licensed under the MIT License", "MIT (notice)"), ("All rights reserved", "Proprietary"), (op9_licences.TEMPLATES["ISC"].rstrip("."), "ISC")):
+        text = f"Some words of the text before. {notice}. And more words of it after the notice, {words(40, 6)}"
+        assert [(a, b, n) for a, b, n, _ in scanner.scan(text)] == [(text.index(notice), text.index(notice) + len(notice), name)]
+        assert [n for *_, n, _ in scanner.scan(f"{text}\n{notice}.")] == [name, name]
+
+
 def test_licences_find_the_short_mit_line_and_whole_texts(spark, docs):
     found = {r.doc_id: r for r in op9_licences.scan_licences(docs).collect()}
     lines = {key: sum(line.strip() == "Released under the MIT License." for line in text.split("\n")) for key, text in texts_of(docs)}
