@@ -15,10 +15,11 @@ from gridmul.session import shared_folder
 #: Rows of one Arrow batch; bounds what a Python worker holds at once.
 BATCH_ROWS = 512
 
-#: Files a core of a narrow table (ids, hashes, counts): some hundred MB a task where texts take 100 TB on some thousand cores.
+#: Files a core, at most, of a narrow table (ids, hashes, counts), and of a table with texts, as long as each is smaller than FILE_BYTES.
 NARROW_FILES = 4
-#: Files a core of a table with texts: a GB or two each at that size.
 TEXT_FILES = 16
+#: Bytes of input for which a written table has one file more.
+FILE_BYTES = 256 << 20
 
 
 _written: list[str] = []
@@ -33,9 +34,24 @@ def release(spark: SparkSession) -> int:
     return len(paths)
 
 
+def input_bytes(df: DataFrame) -> int:
+    """Bytes of all tables that df reads, as its optimised plan tells."""
+    leaves = df._jdf.queryExecution().optimizedPlan().collectLeaves()
+    return sum(int(str(leaves.apply(i).stats().sizeInBytes())) for i in range(leaves.size()))
+
+
 def few_files(df: DataFrame, per_core: int = TEXT_FILES) -> DataFrame:
-    """df in at most so many partitions a core, so that small shuffle partitions do not become small files."""
-    return df.coalesce(per_core * max(1, df.sparkSession.sparkContext.defaultParallelism))
+    """df in few partitions, so that small shuffle partitions do not become small files: so many a core, more with the bytes read."""
+    cores = max(1, df.sparkSession.sparkContext.defaultParallelism)
+    return df.coalesce(min(max(per_core * cores, input_bytes(df) // FILE_BYTES), 1 << 30))
+
+
+def fresh(df: DataFrame, name: str) -> str:
+    """name, or with underscores after it, so that no column of df has it (in any case of letters)."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
 
 
 def materialise(df: DataFrame, label: str, narrow: bool = False) -> DataFrame:

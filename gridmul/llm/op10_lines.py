@@ -19,8 +19,8 @@ Defined cases: null text stays null and empty text stays empty, both without rep
 documents of their own, the first read row being the first copy; a null doc_id sorts first; lines are equal only when all of
 their characters are, and among equal runs the least (doc_id, row, line) is the first; a run may overlap its earlier copy
 in the same text; a document whose lines are all later copies keeps an empty text; very long texts need their lines, not their
-windows, in one task; an empty table gives an empty result; extra columns are kept as they are. Columns named `_gm_...` are
-reserved.
+windows, in one task; an empty table gives an empty result; extra columns are kept as they are, whatever their names (the two that
+are added can be named otherwise).
 """
 
 from __future__ import annotations
@@ -29,7 +29,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-from gridmul.llm.common import materialise
+from gridmul.llm.common import fresh, materialise
 
 MIN_WORDS = 50
 UID = "_gm_uid"
@@ -46,9 +46,9 @@ def _ranked(windows: DataFrame, keys: list[str]) -> DataFrame:
     return classes.repartitionByRange(*keys).sortWithinPartitions(*keys).withColumn("rank", F.monotonically_increasing_id())
 
 
-def repeated_lines(docs: DataFrame, id_col: str, text_col: str, min_words: int) -> DataFrame:
+def repeated_lines(docs: DataFrame, id_col: str, text_col: str, min_words: int, uid: str) -> DataFrame:
     """(doc, uid, pos, rank, words): repeated lines in stretches of min_words words or more."""
-    lines = docs.where(F.col(text_col).isNotNull()).select(F.col(id_col).alias("doc"), F.col(UID).alias("uid"), F.posexplode(F.split(F.col(text_col).cast("string"), "\n", -1)).alias("pos", "line"))
+    lines = docs.where(F.col(text_col).isNotNull()).select(F.col(id_col).alias("doc"), F.col(uid).alias("uid"), F.posexplode(F.split(F.col(text_col).cast("string"), "\n", -1)).alias("pos", "line"))
     words = F.expr(r"CAST(regexp_count(line, r'\S+') AS int)")
     # two hashes with different starts make a line's ID; the empty line has none
     filled = F.col("line") != ""
@@ -61,9 +61,9 @@ def repeated_lines(docs: DataFrame, id_col: str, text_col: str, min_words: int)
     return materialise(heavy.drop("stretch", "all_words"), "lines-windows", narrow=True)
 
 
-def ranks(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_words: int = MIN_WORDS, levels: int | None = None) -> list[DataFrame]:
+def ranks(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_words: int = MIN_WORDS, levels: int | None = None, uid: str = UID) -> list[DataFrame]:
     """(doc, uid, pos, rank, words) of the repeated windows of 1, 2, 4, ... lines, until none repeats (or so many levels)."""
-    out = [repeated_lines(docs, id_col, text_col, min_words)]
+    out = [repeated_lines(docs, id_col, text_col, min_words, uid)]
     while not out[-1].isEmpty() and (levels is None or len(out) < levels):
         step = 1 << len(out) - 1
         after = Window.partitionBy("uid").orderBy("pos").rangeBetween(step, step)
@@ -98,11 +98,11 @@ def longest_earlier(levels: list[DataFrame]) -> DataFrame:
     return state.where("uid <> a_uid OR pos <> a_pos").select("uid", "pos", "length", "words")
 
 
-def repeated_ranges(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_words: int = MIN_WORDS, levels: int | None = None) -> DataFrame:
-    """(uid, start, end): line ranges covered by later copies of runs of at least min_words words. docs must hold UID."""
-    windows = ranks(docs, id_col, text_col, min_words, levels)
+def repeated_ranges(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_words: int = MIN_WORDS, levels: int | None = None, uid: str = UID) -> DataFrame:
+    """(uid, start, end): line ranges covered by later copies of runs of at least min_words words. docs must hold uid."""
+    windows = ranks(docs, id_col, text_col, min_words, levels, uid)
     if not windows:
-        return docs.select(F.col(UID).alias("uid"), F.lit(0).alias("start"), F.lit(0).alias("end")).where("false")
+        return docs.select(F.col(uid).alias("uid"), F.lit(0).alias("start"), F.lit(0).alias("end")).where("false")
     runs = longest_earlier(windows).where(F.col("words") >= min_words).select("uid", F.col("pos").alias("start"), (F.col("pos") + F.col("length")).alias("end"))
     in_order = Window.partitionBy("uid").orderBy("start")
     fresh = (F.col("start") > F.coalesce(F.max("end").over(in_order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(-1))).cast("int")
@@ -110,23 +110,30 @@ def repeated_ranges(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     return islands.groupBy("uid", "island").agg(F.min("start").alias("start"), F.max("end").alias("end")).select("uid", "start", "end")
 
 
-def with_uid(docs: DataFrame) -> DataFrame:
+def with_uid(docs: DataFrame, uid: str = UID) -> DataFrame:
     """docs with a number for each row, written so that it stays the same."""
-    return materialise(docs.withColumn(UID, F.monotonically_increasing_id()), "lines-docs")
-
-
-def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_words: int = MIN_WORDS, levels: int | None = None) -> DataFrame:
-    """All columns of docs, the text without later copies, and `_gm_lines`, `_gm_removed`. levels: of prefix doubling; None: all."""
-    numbered = with_uid(docs)
-    ranges = repeated_ranges(numbered, id_col, text_col, min_words, levels)
-    per_row = ranges.groupBy("uid").agg(F.collect_set(F.struct("start", "end")).alias("_gm_ranges")).withColumnRenamed("uid", UID)
-    joined = numbered.join(per_row, UID, "left")
-    lines = F.split(F.col(text_col).cast("string"), "\n", -1)
-    kept = F.when(F.col("_gm_ranges").isNull(), lines).otherwise(F.filter(lines, lambda line, i: ~F.exists("_gm_ranges", lambda r: (r["start"] <= i) & (i < r["end"]))))
-    out = joined.withColumn("_gm_kept", kept)
-    n = F.coalesce(F.size(lines), F.lit(0))
-    return out.select(
-        *[F.when(F.col("_gm_ranges").isNull(), F.col(text_col)).otherwise(F.array_join("_gm_kept", "\n")).alias(c) if c == text_col else F.col(f"`{c}`") for c in docs.columns],
-        F.when(F.col(text_col).isNull(), 0).otherwise(n).cast("long").alias("_gm_lines"),
-        F.when(F.col(text_col).isNull(), 0).otherwise(n - F.size("_gm_kept")).cast("long").alias("_gm_removed"),
+    return materialise(docs.withColumn(uid, F.monotonically_increasing_id()), "lines-docs")
+
+
+def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_words: int = MIN_WORDS, levels: int | None = None, lines_col: str = "_gm_lines", removed_col: str = "_gm_removed") -> DataFrame:
+    """All columns of docs, the text without later copies, and two counts of lines: all and removed ones. levels: of prefix
+    doubling; None: all."""
+    if taken := {lines_col, removed_col} & set(docs.columns):
+        raise ValueError(f"name the counts otherwise: {sorted(taken)}")
+    uid = fresh(docs, UID)
+    numbered = with_uid(docs, uid)
+    found = fresh(docs, "_gm_ranges")
+    ranges = repeated_ranges(numbered, id_col, text_col, min_words, levels, uid)
+    per_row = ranges.groupBy("uid").agg(F.collect_set(F.struct("start", "end")).alias(found)).withColumnRenamed("uid", uid)
+    joined = numbered.join(per_row, uid, "left")
+    whole = F.col(f"`{text_col}`")
+    lines = F.split(whole.cast("string"), "\n", -1)
+    clean = F.col(found).isNull()
+    left = F.when(clean, lines).otherwise(F.filter(lines, lambda line, i: ~F.exists(F.col(found), lambda r: (r["start"] <= i) & (i < r["end"]))))
+    n = F.when(whole.isNull(), 0).otherwise(F.size(lines))
+    gone = F.when(clean | whole.isNull(), 0).otherwise(n - F.size(left))
+    return joined.select(
+        *[F.when(clean, whole).otherwise(F.array_join(left, "\n")).alias(c) if c == text_col else F.col(f"`{c}`") for c in docs.columns],
+        n.cast("long").alias(lines_col),
+        gone.cast("long").alias(removed_col),
     )

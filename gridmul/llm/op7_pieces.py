@@ -13,15 +13,16 @@ the texts it holds, and shuffles nothing.
 Words longer than MAX_FOLD code points, or with characters that no piece has (byte fallback), are encoded by the same merges on
 a heap, exactly.
 
-Defined cases: null or empty text has no tokens; the text's own space signs count as blanks and decode to blanks; repeated rows
-are encoded alike; an empty table gives an empty result; extra columns are ignored.
+Defined cases: null or empty text has no tokens; very long texts are encoded whole; pieces of one score go by their ids; the text's own space signs count as blanks and decode to blanks; repeated rows
+are encoded alike; an empty table gives an empty result; extra columns, whatever their names,
+are ignored.
 """
 
 from __future__ import annotations
 
 import heapq
 import re
-from dataclasses import dataclass
+from dataclasses import dataclass, fields
 from pathlib import Path
 
 import numpy as np
@@ -54,6 +55,10 @@ class Model:
     by_id: tuple[str, ...]
     longest: int
 
+    def values(self) -> tuple:
+        """Plain values for a broadcast: workers need no class of this package to read it."""
+        return tuple(getattr(self, f.name) for f in fields(self))
+
     @property
     def score_of(self) -> dict[int, float]:
         return {i: s for _, s, i in self.pieces}
@@ -267,12 +272,11 @@ def encode_by_lexicon(docs: DataFrame, model_path: str = MODEL, id_col: str = "d
     packed = exploded.join(known.hint("shuffle_hash"), ["bucket", "word"]).groupBy("bucket", "chunk").agg(F.array_join(F.collect_list(entry), _ENTRY).alias("entries"))
     rows_in = packed.select("chunk", F.lit(0).alias("kind"), F.lit(None).cast("long").alias("doc_id"), F.col("entries").alias("text")).unionByName(texts.select("chunk", F.lit(1).alias("kind"), "doc_id", "text"))
     together = rows_in.repartition("chunk").sortWithinPartitions("chunk", "kind")
-    shared = docs.sparkSession.sparkContext.broadcast(model)  # of the model's size
+    shared = docs.sparkSession.sparkContext.broadcast(model.values())  # of the model's size
 
     def rows(source):
-        encoder = Encoder(shared.value)
-        decoder = Decoder(shared.value)
-        by_rank = shared.value.by_rank
+        held = Model(*shared.value)
+        encoder, decoder, by_rank = Encoder(held), Decoder(held), held.by_rank
         now, book = None, {}
         for chunk, kind, key, text in source:
             if chunk != now:
@@ -460,11 +464,11 @@ BOOK_WORDS = 600_000
 def encode(docs: DataFrame, model_path: str = MODEL, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, ids, n_tokens, n_words, decoded_equal): token ids of every row's whole text, and whether they decode to it."""
     small_batches(docs.sparkSession)
-    shared = docs.sparkSession.sparkContext.broadcast(load_model(model_path))  # of the model's size
+    shared = docs.sparkSession.sparkContext.broadcast(load_model(model_path).values())  # of the model's size
     schema = pa.schema([("doc_id", pa.int64()), ("ids", pa.list_(pa.int32())), ("n_tokens", pa.int64()), ("n_words", pa.int64()), ("decoded_equal", pa.bool_())])
 
     def run(batches):
-        lattice = Lattice(shared.value)
+        lattice = Lattice(Model(*shared.value))
         book: dict[str, bytes] = {}
         odd: set[str] = set()  # words that decode to something else: with the space sign or broken code points in the text
 
@@ -517,10 +521,10 @@ class Decoder:
 
 def decode(tokens: DataFrame, model_path: str = MODEL, id_col: str = "doc_id", ids_col: str = "ids") -> DataFrame:
     """(doc_id, text) from token ids; null ids give null."""
-    shared = tokens.sparkSession.sparkContext.broadcast(load_model(model_path))
+    shared = tokens.sparkSession.sparkContext.broadcast(load_model(model_path).values())
 
     def rows(source):
-        decoder = Decoder(shared.value)
+        decoder = Decoder(Model(*shared.value))
         for key, ids in source:
             yield key, None if ids is None else decoder.decode(ids)
 
