@@ -1,4 +1,12 @@
-"""A corpus pipeline of five stages over `documents`; each stage's result is written as Parquet and reread by the next."""
+"""A corpus pipeline of five stages over `documents`; each stage's result is written as Parquet and reread by the next.
+
+Defined cases, for every stage: an empty table gives an empty one; extra columns pass through, whatever their names; texts of
+any length are judged whole. Rows are chosen by their doc_id, null being a value like any other, so what holds for a row holds
+for all rows of its id. Quality rules reject null and empty texts (and all with fewer than 50 words). Line dedup counts repeated
+rows as later copies, which leave no word and go. Of near copies the least doc_id stays (a tie is an id of several rows, of
+which equal texts become one), null only where no copy has an id. Mixing takes a row as often as its rate says, the same for
+every row of an id. Piece encoding gives a row a row.
+"""
 
 from __future__ import annotations
 
@@ -8,7 +16,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gridmul.llm import op1_mixing, op2_neardup, op5_quality, op7_pieces, op10_lines
-from gridmul.llm.common import few_files, materialise, table
+from gridmul.llm.common import few_files, fresh, materialise, table
 
 #: Not expressible in SQL (divergence from references, hashing forest, fitted rates, piece encoding): tested by brute force.
 ORACLE_SQL = None
@@ -16,8 +24,9 @@ ORACLE_SQL = None
 
 def _chosen(docs: DataFrame, ids: DataFrame) -> DataFrame:
     """Rows of docs whose doc_id (null is a value) is among ids."""
-    few = ids.select(F.col("doc_id").alias("_gm_id")).distinct()
-    return docs.join(few, docs.doc_id.eqNullSafe(few["_gm_id"]), "left_semi")
+    name = fresh(docs, "_gm_id")
+    few = ids.select(F.col("doc_id").alias(name)).distinct()
+    return docs.join(few, docs.doc_id.eqNullSafe(few[name]), "left_semi")
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -27,9 +36,11 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Later copies of repeated line runs are deleted; a document of which no word is left goes. n_chars follows the text."""
-    found = op10_lines.dedup_lines(docs)
-    kept = found.where((F.col("_gm_removed") == 0) | F.col("text").rlike(r"\S"))
-    return few_files(kept.select(*[F.when(F.col("_gm_removed") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars")).alias("n_chars") if c == "n_chars" else F.col(f"`{c}`") for c in docs.columns]))
+    removed, lines = fresh(docs, "_gm_removed"), fresh(docs, "_gm_lines")
+    found = op10_lines.dedup_lines(docs, lines_col=lines, removed_col=removed)
+    kept = found.where((F.col(removed) == 0) | F.col("text").rlike(r"\S"))
+    length = F.when(F.col(removed) > 0, F.length("text").cast("long")).otherwise(F.col("n_chars")) if "n_chars" in docs.columns else None
+    return few_files(kept.select(*[length.alias("n_chars") if c == "n_chars" else F.col(f"`{c}`") for c in docs.columns]))
 
 
 def ngram_jaccard_join(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -44,10 +55,11 @@ def ngram_jaccard_join(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 def source_mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Each document is taken as often as its fitted rate says; the fraction is settled by a fixed hash of its id."""
     mixed = op1_mixing.mix(docs, op1_mixing.label_domains(table(spark, sf_dir, "labels")))
-    rates = mixed.groupBy(F.col("doc_id").alias("_gm_id")).agg(F.max("rate").alias("_gm_rate"))
-    joined = docs.join(rates, docs.doc_id.eqNullSafe(rates["_gm_id"]))
-    taken = joined.withColumn("_gm_copies", op1_mixing.copies(F.col("_gm_rate"), F.col("doc_id"))).where("_gm_copies > 0")
-    return few_files(taken.withColumn("_gm_copy", F.explode(F.sequence(F.lit(1), F.col("_gm_copies")))).select(*[F.col(f"`{c}`") for c in docs.columns]))
+    key, rate, times, copy = (fresh(docs, n) for n in ("_gm_id", "_gm_rate", "_gm_copies", "_gm_copy"))
+    rates = mixed.groupBy(F.col("doc_id").alias(key)).agg(F.max("rate").alias(rate))
+    joined = docs.join(rates, docs.doc_id.eqNullSafe(rates[key]))
+    taken = joined.withColumn(times, op1_mixing.copies(F.col(rate), F.col("doc_id"))).where(F.col(times) > 0)
+    return few_files(taken.withColumn(copy, F.explode(F.sequence(F.lit(1), F.col(times)))).select(*[F.col(f"`{c}`") for c in docs.columns]))
 
 
 def sentencepiece(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
