@@ -2,9 +2,10 @@
 
 A multinomial logistic classifier, trained on labelled rows, gives every document a posterior over domains (here the
 classes of the `labels` table: good, poor, toxic). Document rates r >= 0 are fitted so that the expected tokens of each
-domain, sum of rate * tokens * posterior, match the target totals: projected gradient steps on the squared error of each
-domain relative to its target, starting at rate 1, with a slight pull (PULL) towards 1 that settles which of the many exact
-fits is taken and bounds the rates where none is exact.
+domain, sum of rate * tokens * posterior, match the target totals: projected gradient steps on the squared errors of the
+domains' shares, starting at rate 1, with a slight pull (PULL) towards 1. The pull settles which of the many exact fits is taken;
+where a target is out of reach, as for a domain of which next to nothing is left, it keeps the rates of the other documents near 1
+instead of following traces of that domain.
 
 The gradient with regard to a document's rate is its posterior times the domains' errors, so all gradients so far are a vector
 of one number a domain, and the projected rate is max(0, 1 - posterior . vector): nothing is kept or replayed by document. A step
@@ -41,10 +42,11 @@ BUCKETS = 1 << 18
 #: A word counts where the share of one domain's documents that hold it exceeds that of the others by so many standard errors.
 MIN_EVIDENCE = 6.0
 MIN_DOCUMENTS = 8
-#: Relative error of each domain's gradient at which the fit ends.
-TOLERANCE = 1e-7
-#: Weight of the pull towards rate 1 against the squared relative errors.
-PULL = 1e-6
+#: Gradient of each domain, as a share of the budget, at which the fit ends.
+TOLERANCE = 1e-9
+#: Weight of the pull towards rate 1 (mean over tokens) against the squared errors of shares. Where targets are easily reached, a
+#: pull of x leaves errors of about x; a strong one keeps rates near 1 where they can be reached only by few telling documents.
+PULL = 1e-7
 #: Parts of a step that are tried at once.
 LENGTHS = (1.0, 0.5, 0.2, 0.05, 0.005)
 #: The default budget keeps the domain of the largest target whole, with this margin.
@@ -206,7 +208,7 @@ def _sums(members: DataFrame, pushes: list[np.ndarray], d: int) -> list[tuple[np
     return [(x[:d], x[d:-1].reshape(d, d), x[-1]) for x in out.reshape(len(pushes), size)]
 
 
-def fit_rates(members: DataFrame, targets: list[float], budget: float | None = None, tolerance: float = TOLERANCE) -> Fit:
+def fit_rates(members: DataFrame, targets: list[float], budget: float | None = None, tolerance: float = TOLERANCE, pull: float = PULL) -> Fit:
     """The fit to `targets` (shares that sum to 1) of the members (n_tokens, p)."""
     d = len(targets)
     want = np.array(targets, float) / sum(targets)
@@ -216,18 +218,17 @@ def fit_rates(members: DataFrame, targets: list[float], budget: float | None = N
         return Fit(push, np.zeros(d), np.zeros(d), 0)
     main = int(want.argmax())
     total = budget or MARGIN * x[main] / want[main]
-    pull = PULL * np.maximum(want, 1e-3) ** 2
     steps = 0
     while True:
         # all as shares of the budget
         gradient = x / total - want - pull * push
-        value = square / total / 2 + want @ push + (pull * push**2).sum() / 2
-        if (np.abs(gradient) <= tolerance * np.maximum(want, 1e-3)).all():
+        value = square / total / 2 + want @ push + pull * (push @ push) / 2
+        if np.abs(gradient).max() <= tolerance:
             break
-        move = np.linalg.solve(second / total + np.diag(pull), gradient)
+        move = np.linalg.solve(second / total + pull * np.eye(d), gradient)
         tried = [push + k * move for k in LENGTHS]
         found = _sums(members, tried, d)
-        values = [s / total / 2 + want @ at + (pull * at**2).sum() / 2 for at, (_, _, s) in zip(tried, found)]
+        values = [s / total / 2 + want @ at + pull * (at @ at) / 2 for at, (_, _, s) in zip(tried, found)]
         k = int(np.argmin(values))
         if values[k] >= value:  # no step length lessens it: the numbers have no more digits
             break
@@ -247,12 +248,12 @@ def rates(members: DataFrame, fit: Fit) -> DataFrame:
     return members.select("doc_id", "n_tokens", "p").mapInArrow(run, "doc_id long, n_tokens long, p array<double>, rate double")
 
 
-def mix(docs: DataFrame, labels: DataFrame, targets: dict[str, float] = TARGETS, id_col: str = "doc_id", text_col: str = "text", budget: float | None = None) -> DataFrame:
+def mix(docs: DataFrame, labels: DataFrame, targets: dict[str, float] = TARGETS, id_col: str = "doc_id", text_col: str = "text", budget: float | None = None, pull: float = PULL) -> DataFrame:
     """(doc_id, n_tokens, p, rate, share_error) for every row of docs; labels: (doc_id, domain). share_error, the same in all rows:
     the largest difference between a domain's share of the budget and its target."""
     names = tuple(targets)
     members = materialise(memberships(docs, train(docs, labels, id_col, text_col, domains=names), id_col, text_col), "members")
-    fit = fit_rates(members, [targets[n] for n in names], budget)
+    fit = fit_rates(members, [targets[n] for n in names], budget, pull=pull)
     return rates(members, fit).withColumn("share_error", F.lit(float(np.abs(fit.error).max())))
 
 

@@ -65,23 +65,25 @@ def test_mixing_fits_as_the_plain_descent(spark):
     fit = op1_mixing.fit_rates(members, goal, budget=float(t.sum()))
     got = np.array([r.rate for r in op1_mixing.rates(members, fit).orderBy("doc_id").collect()])
     plain = projected_gradient(t, p, np.array(goal) * t.sum())
-    assert np.abs(fit.error).max() < 1e-6 and got.min() >= 0 and fit.steps < 30
+    assert np.abs(fit.error).max() < 1e-3 and got.min() >= 0 and fit.steps < 30
     assert np.abs((t * got) @ p - (t * plain) @ p).max() < 1e-3 * t.sum()
 
 
 def test_mixing_out_of_reach_is_the_least_squared_error(spark):
-    """No rates give a domain that no document has a third of; the plain descent on relative errors says what is nearest."""
+    """No rates give a domain of which every document has a trace: the plain descent on the same squares says what is nearest."""
     rng = np.random.default_rng(1)
     t = rng.integers(5, 50, 60)
-    p = np.stack([a := rng.uniform(0.3, 0.7, 60), 0.9 - a, np.full(60, 0.1)], axis=1)
+    p = np.stack([a := rng.uniform(0.3, 0.7, 60), 0.99 - a, np.full(60, 0.01)], axis=1)
     members = spark.createDataFrame([(i, int(t[i]), p[i].tolist()) for i in range(60)], "doc_id long, n_tokens long, p array<double>")
     goal, total = np.array([0.4, 0.3, 0.3]), float(t.sum())
-    fit = op1_mixing.fit_rates(members, goal.tolist(), budget=total)
-    a = p.T * t / total / goal[:, None]
-    r = np.ones(60)
+    pull = 1e-3
+    fit = op1_mixing.fit_rates(members, goal.tolist(), budget=total, pull=pull)
+    a, r = p.T * t / total, np.ones(60)
+    square = lambda r: ((a @ r - goal) ** 2).sum() + pull * (t * (r - 1) ** 2).sum() / total
     for _ in range(100_000):
-        r = np.maximum(0, r - a.T @ (a @ r - 1) / np.linalg.eigvalsh(a @ a.T).max())
-    assert ((fit.error / goal) ** 2).sum() == pytest.approx(((a @ r - 1) ** 2).sum(), rel=1e-3)
+        r = np.maximum(0, r - 0.9 / np.linalg.eigvalsh(a @ a.T + pull * np.eye(3)).max() / 2 * (a.T @ (a @ r - goal) + pull * t / total * (r - 1)))
+    got = np.array([x.rate for x in op1_mixing.rates(members, fit).orderBy("doc_id").collect()])
+    assert square(got) <= square(r) * (1 + 1e-9) and square(r) == pytest.approx(square(got), rel=1e-2)
 
 
 @pytest.mark.parametrize("sf", ["sf0.01", "sf0.1"])
@@ -89,10 +91,10 @@ def test_mixing_query_reaches_its_targets(spark, sf):
     from gridmul.llm.queries import op1_source_mixing
 
     got = op1_source_mixing(spark, f"/root/testdata/{sf}").cache()
-    assert 0 <= got.agg(F.max("share_error")).first()[0] < 1e-4
+    assert 0 <= got.agg(F.max("share_error")).first()[0] < 1e-3
     tokens = got.select([F.sum(F.col("rate") * F.col("n_tokens") * F.col(f"p_{n}")).alias(n) for n in op1_mixing.TARGETS]).first().asDict()
     for name, share in op1_mixing.TARGETS.items():
-        assert abs(tokens[name] / sum(tokens.values()) - share) < 1e-4
+        assert abs(tokens[name] / sum(tokens.values()) - share) < 1e-3
     assert got.agg(F.min("rate")).first()[0] >= 0
     got.unpersist()
 

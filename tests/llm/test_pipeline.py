@@ -32,6 +32,17 @@ def test_stages_take_effect(spark):
     assert last.count() == mixed.count() and last.where("NOT decoded_equal").count() == 0
 
 
+def test_clashing_columns(spark):
+    rng = random.Random(2)
+    text = " ".join(str(rng.randrange(10_000)) for _ in range(120))
+    names = ["_gm_id", "_gm_rate", "_gm_copies", "_gm_copy", "_gm_removed", "_gm_lines", "_gm_uid", "_gm_ranges", "class_id", "kept", "uid", "rate"]
+    df = spark.createDataFrame([(k, t, "en", "s", 9, *range(len(names))) for k, t in ((1, text), (2, text + "\n" + text), (3, None))], "doc_id long, text string, lang string, source string, n_chars long, " + ", ".join(f"{n} int" for n in names))
+    for _, stage in corpus_pipeline.STAGES[:-1]:
+        out = stage(spark, df, SF)
+        assert out.columns == df.columns and all(r["_gm_uid"] == 6 and r["rate"] == 11 for r in out.collect())
+    assert corpus_pipeline.sentencepiece(spark, df, SF).count() == 3
+
+
 def test_repeated_rows_and_nulls(spark):
     rng = random.Random(1)
     text = " ".join(str(rng.randrange(10_000)) for _ in range(120))
