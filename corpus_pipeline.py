@@ -18,6 +18,9 @@ from pyspark.sql import functions as F
 from gridmul.llm import op1_mixing, op2_neardup, op5_quality, op7_pieces, op10_lines
 from gridmul.llm.common import few_files, fresh, materialise, table
 
+#: Pull of the rates towards 1: the quality rules have left few poor documents, and sound ones shall not make up for them.
+PULL = 0.005
+
 #: Not expressible in SQL (divergence from references, hashing forest, fitted rates, piece encoding): tested by brute force.
 ORACLE_SQL = None
 
@@ -54,7 +57,7 @@ def ngram_jaccard_join(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 def source_mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Each document is taken as often as its fitted rate says; the fraction is settled by a fixed hash of its id."""
-    mixed = op1_mixing.mix(docs, op1_mixing.label_domains(table(spark, sf_dir, "labels")))
+    mixed = op1_mixing.mix(docs, op1_mixing.label_domains(table(spark, sf_dir, "labels")), pull=PULL)
     key, rate, times, copy = (fresh(docs, n) for n in ("_gm_id", "_gm_rate", "_gm_copies", "_gm_copy"))
     rates = mixed.groupBy(F.col("doc_id").alias(key)).agg(F.max("rate").alias(rate))
     joined = docs.join(rates, docs.doc_id.eqNullSafe(rates[key]))
