@@ -124,6 +124,33 @@ def grouped_comm(f: BroadcastFamily, n="n", b="b", p="p", g="g", alpha="alpha",
     return F.struct(parts[0].alias("latency"), parts[1].alias("bandwidth"), (parts[0] + parts[1]).alias("total"))
 
 
+def rotation_comm(n="n", p="p", alpha="alpha", beta="beta") -> Column:
+    """Rotations on a square grid: both operands' blocks move once to be aligned and sqrt(p) - 1 times after."""
+    side = F.sqrt(col(p))
+    return 2 * side * hockney(col(n) * col(n) / col(p), alpha, beta)
+
+
+def broadcast_roll_comm(f: BroadcastFamily, n="n", p="p", alpha="alpha", beta="beta") -> Column:
+    """sqrt(p) steps, each a broadcast of a block of A along a row and a move of a block of B."""
+    side, block = F.sqrt(col(p)), col(n) * col(n) / col(p)
+    return side * broadcast_time(f, block, side, alpha, beta) + (side - 1) * hockney(block, alpha, beta)
+
+
+def lcm_shift_comm(f: BroadcastFamily, rows, cols, classes, n="n", alpha="alpha", beta="beta") -> Column:
+    """cols - 1 shifts of all of A, `classes` (the least common multiple of rows and cols) broadcasts of B down the columns."""
+    rows, cols, classes, square = col(rows), col(cols), col(classes), col(n) * col(n)
+    return (cols - 1) * hockney(square / (rows * cols), alpha, beta) + classes * broadcast_time(f, square / (classes * cols), rows, alpha, beta)
+
+
+def layered_comm(f: BroadcastFamily, n="n", b="b", p="p", c="c", alpha="alpha", beta="beta") -> Column:
+    """c layers of sqrt(p / c) x sqrt(p / c): two replications and a reduction over the layers, and of the flat method's steps the
+    c-th part in each layer. With c = p^(1/3) it is the 3-D product."""
+    n, p, c = col(n), col(p), col(c)
+    side = F.sqrt(p / c)
+    over_layers = 3 * broadcast_time(f, n * n / (side * side), c, alpha, beta)
+    return over_layers + 2 * n / col(b) / c * broadcast_time(f, n * col(b) / side, side, alpha, beta)
+
+
 def grouped_at_sqrt(n="n", b="b", p="p", alpha="alpha", beta="beta", as_printed: bool = False) -> Column:
     """Scatter-allgather cost with sqrt(p) groups and one block size.
 

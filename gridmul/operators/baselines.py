@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 
 from gridmul.operators import kernels, routing
 from gridmul.operators.blocks import MatrixFrame
+from gridmul.operators.multiply import HASH_ENTRIES
 from gridmul.plans.topology import GridSpec, MatrixMeta, ceil_div
 from gridmul.session import configure
 
@@ -40,7 +41,7 @@ def _stepped(a: MatrixFrame, b: MatrixFrame, p: int, q: int, slices: int, step:
 
     left = side(a, "row", "col", "i", p, a.meta.rows, "j", q)
     right = side(b, "col", "row", "j", q, b.meta.cols, "i", p)
-    return _out(kernels.relational(left, right, ["cell_id", "step"]).groupBy("cell_id", "row", "col").agg(F.sum("value").alias("value")), a, b)
+    return _out(kernels.relational(left, right, ["cell_id", "step"], ceil_div(b.meta.rows * b.meta.cols, q) <= HASH_ENTRIES).groupBy("cell_id", "row", "col").agg(F.sum("value").alias("value")), a, b)
 
 
 def _square(grid: GridSpec | int) -> int:
@@ -78,7 +79,7 @@ def _layered(a: MatrixFrame, b: MatrixFrame, p: int, q: int, layers: int, layer:
 
     left = side(a, "row", "col", "i", p, a.meta.rows, "j", q)
     right = side(b, "col", "row", "j", q, b.meta.cols, "i", p)
-    part = kernels.relational(left, right, ["cell_id"])
+    part = kernels.relational(left, right, ["cell_id"], ceil_div(b.meta.rows * b.meta.cols, q * layers) <= HASH_ENTRIES)
     return _out(part.groupBy("row", "col").agg(F.sum("value").alias("value")), a, b)
 
 

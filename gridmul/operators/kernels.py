@@ -13,11 +13,13 @@ from pyspark.sql import functions as F
 EXACT = 1 << 53
 
 
-def relational(a: DataFrame, b: DataFrame, keys: list[str], join_hint: str = "shuffle_hash") -> DataFrame:
-    """Join on the keys and k, sum the products by the keys, row and col; reuses the partitioning of the inputs."""
+def relational(a: DataFrame, b: DataFrame, keys: list[str], hashed: bool = False) -> DataFrame:
+    """Join on the keys and k, sum the products by the keys, row and col; reuses the partitioning of the inputs.
+
+    hashed: b is sure to fit a hash table in each task; else it is sorted, and can spill."""
     left = a.select(*keys, "k", F.col("own").alias("row"), F.col("value").alias("va"))
     right = b.select(*keys, "k", F.col("own").alias("col"), F.col("value").alias("vb"))
-    return left.join(right.hint(join_hint), [*keys, "k"]).groupBy(*keys, "row", "col").agg(F.sum(F.col("va") * F.col("vb")).alias("value"))
+    return left.join(right.hint("shuffle_hash") if hashed else right, [*keys, "k"]).groupBy(*keys, "row", "col").agg(F.sum(F.col("va") * F.col("vb")).alias("value"))
 
 
 def dot(x: Column, y: Column) -> Column:
@@ -39,6 +41,26 @@ def hof(a: DataFrame, b: DataFrame, keys: list[str], width: int) -> DataFrame:
     return joined.select(*out, "row", "col", dot(F.col("v_row"), F.col("v_col")).alias("value")).groupBy(*out, "row", "col").agg(F.sum("value").alias("value"))
 
 
+def block_kernel(a: DataFrame, b: DataFrame, dtype: str = "long") -> DataFrame:
+    """(block_row, block_col, n_rows, n_cols, data): the product of two block frames whose blocks meet on k, by cogrouped Arrow tables.
+
+    One task call holds the blocks of one slice of k and gives one row for each pair of them; sums of blocks follow (sum_blocks)."""
+    kind = np.int64 if dtype == "long" else np.float64
+    element = pa.int64() if dtype == "long" else pa.float64()
+    schema = pa.schema([("block_row", pa.int32()), ("block_col", pa.int32()), ("n_rows", pa.int32()), ("n_cols", pa.int32()), ("data", pa.list_(element))])
+
+    def matrices(table: pa.Table, at: str) -> list[tuple[int, np.ndarray]]:
+        return [(r[at], np.array(r["data"], kind).reshape(r["n_rows"], r["n_cols"])) for r in table.to_pylist()]
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        rows = [(i, j, multiply_panels(x, y)) for i, x in matrices(left, "block_row") for j, y in matrices(right, "block_col")]
+        columns = list(zip(*((i, j, *z.shape, z.ravel().tolist()) for i, j, z in rows))) or [[]] * 5
+        return pa.table([pa.array(list(c), f.type) for c, f in zip(columns, schema)], schema=schema)
+
+    ddl = f"block_row int, block_col int, n_rows int, n_cols int, data array<{'long' if dtype == 'long' else 'double'}>"
+    return a.groupBy(F.col("block_col").alias("slice")).cogroup(b.groupBy(F.col("block_row").alias("slice"))).applyInArrow(run, ddl)
+
+
 def multiply_panels(x: np.ndarray, y: np.ndarray) -> np.ndarray:
     """x y; integer panels through the floating-point product where that is exact."""
     if x.dtype == np.int64 and x.size and y.size:

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import dataclass
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -9,11 +11,18 @@ from pyspark.sql import functions as F
 
 from gridmul.operators import kernels, routing
 from gridmul.operators.blocks import MatrixFrame
+from gridmul.plans import advisor
 from gridmul.plans.topology import GridSpec, MatrixMeta, ceil_div, default_grid
 from gridmul.session import configure
 
 #: A group's C tile of more entries than this is worked on in parts.
 TILE_ENTRIES = 1 << 24
+#: Entries of an operand in a task, at most, for which a hash table is made of it; beyond, operands are sorted and can spill.
+HASH_ENTRIES = 1 << 21
+#: Multiplications and additions of dense panels that take as long as one joined pair of entries.
+PANEL_FLOPS = 2000
+#: Bytes of a task's memory that the front door plans with.
+TASK_BYTES = 1 << 30
 #: Rows of an operand up to which it is broadcast; at 24 bytes a row about 100 MB.
 BROADCAST_ROWS = 4_000_000
 #: Result entries up to which a tall-and-thin product sums partial results instead of routing operands.
@@ -49,7 +58,9 @@ def grouped_multiply(a: MatrixFrame, b: MatrixFrame, grid: GridSpec, inner: int,
         return _result(kernels.hof(left, right, [*keys, "inner_step"], inner), a, b)
     if kernel != "relational":
         raise ValueError("unknown kernel")
-    return _result(kernels.relational(left, right, keys), a, b)
+    # a bound from the shapes: what of B one task holds, with its copies for the cells
+    held = ceil_div(b.meta.rows * b.meta.cols, grid.J) * (grid.s // grid.I)
+    return _result(kernels.relational(left, right, keys, held <= HASH_ENTRIES), a, b)
 
 
 def _panel_product(left: DataFrame, right: DataFrame, a: MatrixFrame, b: MatrixFrame, grid: GridSpec, inner: int, outer: int, tile_entries: int) -> MatrixFrame:
@@ -75,7 +86,7 @@ def flat_multiply(a: MatrixFrame, b: MatrixFrame, grid: GridSpec, block: int, ke
     left = routing.route_flat(routing.operand(a.df, "a", a.meta, flat, block, block), "a", flat)
     right = routing.route_flat(routing.operand(b.df, "b", b.meta, flat, block, block), "b", flat)
     keys = ["cell_id"]
-    return _result(kernels.hof(left, right, [*keys, "inner_step"], block) if kernel == "hof" else kernels.relational(left, right, keys), a, b)
+    return _result(kernels.hof(left, right, [*keys, "inner_step"], block) if kernel == "hof" else kernels.relational(left, right, keys, ceil_div(b.meta.rows * b.meta.cols, grid.t) <= HASH_ENTRIES), a, b)
 
 
 def multilevel_multiply(a: MatrixFrame, b: MatrixFrame, grid: GridSpec, levels: list[tuple[int, int]], inner: int, outer: int | None = None) -> MatrixFrame:
@@ -103,6 +114,17 @@ def broadcast_multiply(a: MatrixFrame, b: MatrixFrame, max_rows: int = BROADCAST
     return _result(left.join(F.broadcast(right), "k").groupBy("row", "col").agg(F.sum(F.col("va") * F.col("vb")).alias("value")), a, b)
 
 
+def thin_dot_multiply(a: DataFrame, b: DataFrame, rows: int, cols: int, max_rows: int = BROADCAST_ROWS) -> MatrixFrame:
+    """A B for a k of a few dozen: a is (row, v) and b is (col, u) with arrays over the whole k. Every row meets every column, as
+    the dense result asks; b goes to every task after its size is checked, and each entry is one dot product in the JVM."""
+    if count_up_to(b, max_rows) > max_rows:
+        left, right = a.select("row", F.posexplode("v").alias("k", "va")).where("va <> 0"), b.select("col", F.posexplode("u").alias("k", "vb")).where("vb <> 0")
+        df = left.join(right, "k").groupBy("row", "col").agg(F.sum(F.col("va") * F.col("vb")).alias("value"))
+    else:
+        df = a.crossJoin(F.broadcast(b)).select("row", "col", kernels.dot(F.col("v"), F.col("u")).alias("value")).where("value <> 0")
+    return MatrixFrame(df, MatrixMeta(rows, cols))
+
+
 def gram(arrays: DataFrame, column: str, dim: int) -> MatrixFrame:
     """X^T X of rows stored as arrays of whole numbers: each task sums its rows' outer products, then the partial d x d sums add up."""
     schema = pa.schema([("row", pa.int64()), ("col", pa.int64()), ("value", pa.int64())])
@@ -129,21 +151,61 @@ def tall_thin_multiply(a: MatrixFrame, b: MatrixFrame, buckets: int = 200) -> Ma
     bucket = lambda k: F.pmod(F.xxhash64(k), F.lit(buckets)).cast("int")
     left = a.df.select("row", F.col("col").alias("k"), F.col("value").alias("va")).withColumn("bucket", bucket("k")).repartition(F.col("bucket"))
     right = b.df.select(F.col("row").alias("k"), "col", F.col("value").alias("vb")).withColumn("bucket", bucket("k")).repartition(F.col("bucket"))
-    part = left.join(right.hint("shuffle_hash"), ["bucket", "k"]).groupBy("bucket", "row", "col").agg(F.sum(F.col("va") * F.col("vb")).alias("value"))
+    part = left.join(right, ["bucket", "k"]).groupBy("bucket", "row", "col").agg(F.sum(F.col("va") * F.col("vb")).alias("value"))
     return _result(part.groupBy("row", "col").agg(F.sum("value").alias("value")), a, b)
 
 
-def multiply(a: MatrixFrame, b: MatrixFrame, strategy: str = "auto", grid: GridSpec | None = None, inner: int | None = None, **options) -> MatrixFrame:
-    """The front door. 'auto' sums partial results where the result is small, broadcasts a small operand, else groups."""
+@dataclass(frozen=True)
+class Plan:
+    """How the front door multiplies: 'flat' where no grouping ships less, the grid, the block and the kernel."""
+
+    method: str
+    grid: GridSpec
+    inner: int
+    kernel: str
+
+
+def plan_product(nnz_a: int, nnz_b: int, a: MatrixMeta, b: MatrixMeta, cores: int, task_bytes: int = TASK_BYTES) -> Plan:
+    """From counts, shapes and memory alone: cells until a group's tile of C fits a quarter of a task and every core has two
+    groups, the grouping that ships least among those, the kernel that needs less work for the operands' density."""
+    # no more rows or columns than entries, where a shape only bounds the keys
+    height, width = min(a.rows, max(nnz_a, 1)), min(b.cols, max(nnz_b, 1))
+    side = 1
+    while side * side < 2 * cores or ceil_div(height, side) * ceil_div(width, side) * 8 > task_bytes / 4:
+        side *= 2
+    # cells of a group share its copies; with a k too short to cut once more, a group is a cell
+    cells = 2 * side if a.cols >= 2 * side else side
+    grid = advisor.advise_groups_spark(nnz_a, nnz_b, cores, task_bytes, GridSpec(cells, cells), height, width)
+    rows, cols = ceil_div(height, grid.I), ceil_div(width, grid.J)
+    pairs = nnz_a * nnz_b / max(a.cols, 1)
+    kernel = "panel" if a.rows * a.cols * b.cols < PANEL_FLOPS * pairs else "relational"
+    inner = advisor.advise_block(a.cols, grid, rows, cols, task_bytes)
+    flat = grid.J * nnz_a + grid.I * nnz_b >= grid.t * nnz_a + grid.s * nnz_b and kernel == "relational"
+    return Plan("flat" if flat else "grouped", grid, max(1, inner), kernel)
+
+
+def multiply(a: MatrixFrame, b: MatrixFrame, strategy: str = "auto", grid: GridSpec | None = None, inner: int | None = None, groups: str | None = None, **options) -> MatrixFrame:
+    """The front door. 'auto' sums partial results where the result is small, broadcasts a small operand, else groups.
+
+    Without a grid, or with groups='auto', operands are counted and `plan_product` settles grid, grouping or none, block and kernel."""
     if a.meta.cols != b.meta.rows:
         raise ValueError("the operands do not conform")
+    if groups not in (None, "auto"):
+        raise ValueError("groups is 'auto' or given by the grid")
     if strategy == "auto":
-        if a.meta.rows * b.meta.cols <= THIN_ENTRIES and a.meta.cols > 8 * max(a.meta.rows, b.meta.cols):
+        if groups == "auto":
+            strategy = "grouped"
+        elif a.meta.rows * b.meta.cols <= THIN_ENTRIES and a.meta.cols > 8 * max(a.meta.rows, b.meta.cols):
             strategy = "tall_thin"
         elif b.meta.rows * b.meta.cols <= BROADCAST_ROWS or count_up_to(b.df, BROADCAST_ROWS) <= BROADCAST_ROWS:
             strategy = "broadcast"
         else:
             strategy = "grouped"
+    if strategy == "grouped" and (grid is None or groups == "auto"):
+        plan = plan_product(a.df.count(), b.df.count(), a.meta, b.meta, a.spark.sparkContext.defaultParallelism)
+        if plan.method == "flat":
+            return flat_multiply(a, b, plan.grid, inner or plan.inner)
+        return grouped_multiply(a, b, plan.grid, inner or plan.inner, **{"kernel": plan.kernel} | options)
     if strategy in ("grouped", "flat"):
         grid = grid or default_grid(a.spark)
         inner = inner or max(1, min(a.meta.cols // grid.s, a.meta.cols // grid.t, 512))
@@ -210,6 +272,31 @@ def symmetric_product(a: MatrixFrame, full: bool = True) -> MatrixFrame:
     return MatrixFrame(upper.select("row", "col", "value"), MatrixMeta(a.meta.rows, a.meta.rows, a.meta.dtype))
 
 
+def gram_qr(a: MatrixFrame) -> tuple[DataFrame, MatrixFrame]:
+    """(Q, R) of a tall matrix with few columns: R is the Cholesky factor of a^T a, whose partial sums alone travel, and Q = a R^-1.
+
+    R has cols x cols entries and is made on the driver; done twice, so that Q's columns are orthogonal to working precision."""
+    n = a.meta.cols
+    if n * n > THIN_ENTRIES:
+        raise ValueError("too many columns for a factor on the driver")
+    meta = MatrixMeta(n, n, "double")
+
+    def factor(x: MatrixFrame) -> np.ndarray:
+        g = np.zeros((n, n))
+        for r in tall_thin_multiply(x.transpose(), x).df.collect():  # cols x cols sums
+            g[r.row, r.col] = r.value
+        return np.linalg.cholesky(g).T
+
+    def small(m: np.ndarray) -> MatrixFrame:
+        return MatrixFrame(a.spark.createDataFrame([(int(i), int(j), float(m[i, j])) for i, j in zip(*np.nonzero(m))], "row long, col long, value double"), meta)
+
+    doubles = MatrixFrame(a.df.select("row", "col", F.col("value").cast("double").alias("value")), MatrixMeta(a.meta.rows, n, "double"))
+    r1 = factor(doubles)
+    q1 = broadcast_multiply(doubles, small(np.linalg.inv(r1)))
+    r2 = factor(q1)
+    return broadcast_multiply(q1, small(np.linalg.inv(r2))).df, small(r2 @ r1)
+
+
 def blocked_lu(a: MatrixFrame, block: int, materialise=None) -> tuple[DataFrame, DataFrame]:
     """(L, U) entries of a small-step factorisation without pivoting, the trailing update by products.
 

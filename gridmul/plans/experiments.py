@@ -1,13 +1,16 @@
 """The experiments as runs on real tables: sweeps over groups, cells, blocks and outer blocks, each row one measured product.
 
-Times depend on the machine; shipped rows do not: they are what the schedules predict, and show how each measure moves."""
+Times depend on the machine; shipped rows do not: they are what the schedules predict, and show how each measure moves. Every case
+runs REPEATS times; `means` gives the average times, `settled` what does not depend on the machine."""
 
 from __future__ import annotations
 
 import time
-from collections.abc import Iterable
+from collections.abc import Callable, Iterable
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from gridmul.operators.blocks import MatrixFrame
 from gridmul.operators.multiply import flat_multiply, grouped_multiply
@@ -16,7 +19,11 @@ from gridmul.plans.topology import GridSpec, valid_groupings
 from gridmul.schemas import RUNS
 
 
-def run(method: str, a: MatrixFrame, b: MatrixFrame, grid: GridSpec, inner: int, outer: int | None = None, kernel: str = "relational", repeats: int = 1) -> list[tuple]:
+#: Runs of a case; the published figures are means of 30.
+REPEATS = 3
+
+
+def run(method: str, a: MatrixFrame, b: MatrixFrame, grid: GridSpec, inner: int, outer: int | None = None, kernel: str = "relational", repeats: int = REPEATS) -> list[tuple]:
     """Rows of RUNS: `repeats` executions of one product, with the shuffles of each."""
     out = []
     for k in range(repeats):
@@ -29,10 +36,33 @@ def run(method: str, a: MatrixFrame, b: MatrixFrame, grid: GridSpec, inner: int,
     return out
 
 
-def stored(m: MatrixFrame) -> MatrixFrame:
-    """The operand held in memory or on disk, so that runs measure the product and not how its operands are made."""
-    m.df.persist().count()
-    return m
+@contextmanager
+def stored(*operands: MatrixFrame):
+    """The operands held in memory or on disk, so that runs measure the product and not how its operands are made; then let go."""
+    for m in operands:
+        m.df.persist().count()
+    try:
+        yield operands
+    finally:
+        for m in operands:
+            m.df.unpersist()
+
+
+def means(runs: DataFrame) -> DataFrame:
+    """The cases of `runs` with their number of runs and mean time."""
+    return runs.groupBy("method", "grid", "groups", "n", "b", "outer_b").agg(F.count("*").alias("runs"), F.avg("wall_ms").alias("wall_ms"), F.max("shuffle_rows").alias("shuffle_rows"))
+
+
+def settled(runs: DataFrame) -> DataFrame:
+    """The cases of `runs` without what depends on the machine."""
+    cases = [F.col(c).cast("long").alias(c) if c in ("groups", "n", "b", "outer_b") else F.col(c) for c in ("method", "grid", "groups", "n", "b", "outer_b")]
+    return runs.groupBy(*cases).agg(F.count("*").alias("runs"), F.min("shuffle_rows").alias("shuffle_rows"))
+
+
+def measured(sweep: Callable[..., DataFrame], spark: SparkSession, pair: tuple[MatrixFrame, MatrixFrame], *args) -> DataFrame:
+    """The settled figures of a sweep over stored operands."""
+    with stored(*pair) as (a, b):
+        return settled(sweep(spark, a, b, *args))
 
 
 def sweep_of_groups(spark: SparkSession, a: MatrixFrame, b: MatrixFrame, grid: GridSpec, block: int, groupings: Iterable[tuple[int, int]] | None = None) -> DataFrame:

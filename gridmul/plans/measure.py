@@ -5,6 +5,7 @@ from __future__ import annotations
 import random
 import re
 import time
+import uuid
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -26,11 +27,17 @@ def exchanges(df: DataFrame) -> int:
 
 def shuffle_stats(df: DataFrame) -> dict:
     """Rows and bytes of all shuffles of one execution of df, from its operators' metrics."""
-    df.write.format("noop").mode("overwrite").save()
     spark = df.sparkSession
+    context, tag = spark.sparkContext, f"gridmul-{uuid.uuid4().hex}"
+    before = context.getLocalProperty("spark.job.description")
+    context.setJobDescription(tag)  # by which this execution is told from others of the session
+    try:
+        df.write.format("noop").mode("overwrite").save()
+    finally:
+        context.setLocalProperty("spark.job.description", before)
     store = spark._jsparkSession.sharedState().statusStore()
-    last = store.executionsList()
-    run = last.apply(last.size() - 1)
+    listed = store.executionsList()
+    run = next(x for x in (listed.apply(k) for k in reversed(range(listed.size()))) if x.description() == tag)
     values = store.executionMetrics(run.executionId())
     out = {"shuffle_bytes": 0, "shuffle_rows": 0, "spill_bytes": 0}
     metrics = run.metrics()

@@ -12,7 +12,7 @@ from pyspark.sql import Window
 from gridmul.functions import cost, sqlsurface
 from gridmul.operators import baselines, blocks, kernels, multiply, routing
 from gridmul.operators.blocks import MatrixFrame
-from gridmul.plans import advisor, experiments, measure, schedule, topology
+from gridmul.plans import advisor, baseline_schedules, experiments, measure, schedule, topology
 from gridmul.plans.topology import GridSpec, MatrixMeta
 from gridmul.session import configure, shared_folder
 from gridmul.sources import tables, workloads
@@ -69,6 +69,13 @@ def _supplier(spark: SparkSession, d: str) -> MatrixFrame:
     return workloads.supplier_part(spark, d, up(_largest(lines, "l_suppkey"), 8), up(_largest(lines, "l_partkey"), 8))
 
 
+def _stored(m: MatrixFrame) -> MatrixFrame:
+    """Written to the shared folder and read back: an operand that is used more than once is made once."""
+    path = f"{shared_folder(m.spark)}/tables/operand-{uuid.uuid4().hex}"
+    m.df.write.parquet(path)
+    return MatrixFrame(m.spark.read.schema(m.df.schema).parquet(path), m.meta)
+
+
 def _vectors(spark: SparkSession, d: str) -> MatrixFrame:
     """Vectors by dimensions, quantised; as many rows as the ids need, a multiple of 1024 so that blocks divide them."""
     configure(spark)
@@ -80,6 +87,21 @@ def grouped_square(spark, d):
     return multiply.grouped_multiply(*_pair(spark, d), GRID, 8).df
 
 
+@query(SQUARE_SQL)
+def front_door_groups(spark, d):
+    """Grid, grouping or none, block and kernel from the operands' counts."""
+    return multiply.multiply(*_pair(spark, d), groups="auto").df
+
+
+@query(SQUARE_SQL)
+def block_product(spark, d):
+    """Blocks that meet on k, multiplied by cogrouped Arrow tables, then summed by their place."""
+    a, b = _pair(spark, d)
+    parts = kernels.block_kernel(a.to_blocks(16), b.to_blocks(16))
+    summed = blocks.sum_blocks(parts.select("block_row", "block_col", "data"), ["block_row", "block_col"]).select("block_row", "block_col", F.posexplode("data").alias("spot", "value")).where("value <> 0")
+    return summed.select((F.col("block_row") * 16 + F.floor(F.col("spot") / 16)).cast("long").alias("row"), (F.col("block_col") * 16 + F.col("spot") % 16).cast("long").alias("col"), F.col("value").cast("long").alias("value"))
+
+
 @query(SQUARE_SQL)
 def grouped_two_block(spark, d):
     return multiply.grouped_multiply(*_pair(spark, d), GRID, 8, 16).df
@@ -205,8 +227,9 @@ def broadcast_square(spark, d):
 
 @query(SUPPLIER_CTES + PRODUCT)
 def grouped_rect_supplier(spark, d):
-    s = _supplier(spark, d)
-    return multiply.grouped_multiply(s, s.transpose(), GRID, 8).df
+    """Stored once, then planned by the front door from its counts, as both operands are made from one table."""
+    s = _stored(_supplier(spark, d))
+    return multiply.multiply(s, s.transpose(), groups="auto").df
 
 
 @query(SUPPLIER_CTES + PRODUCT)
@@ -243,6 +266,14 @@ def grouped_event_user(spark, d):
     return multiply.grouped_multiply(MatrixFrame(a.df, users), b, GRID, 3, 6).df
 
 
+@query("WITH b AS (SELECT user_id AS r, CAST(hour(ts) AS BIGINT) AS c, count(*) AS v FROM events GROUP BY 1, 2), a AS (SELECT c AS r, r AS c, v FROM b) " + PRODUCT)
+def event_user_gram(spark, d):
+    """Hours by hours, over the users they share."""
+    u, _ = workloads.user_hour_type(spark, d)
+    u = MatrixFrame(u.df, MatrixMeta(-(-_largest(tables.load(spark, d, "events"), "user_id") // 32) * 32, 24))
+    return multiply.grouped_multiply(u.transpose(), u, GRID, 8).df
+
+
 _SEGMENTS = ["AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY"]
 _SEGMENT_SQL = "CASE c_mktsegment " + " ".join(f"WHEN '{s}' THEN {i}" for i, s in enumerate(_SEGMENTS)) + " END"
 
@@ -292,11 +323,13 @@ def _lengths_sql(table: str, key: str) -> str:
 
 @query(f"WITH a AS ({_lengths_sql('documents', 'doc_id')}), t AS ({_lengths_sql('benchmark', 'item_id')}), b AS (SELECT c AS r, r AS c, v FROM t) " + PRODUCT)
 def token_overlap(spark, d):
-    def lengths(name: str, key: str) -> MatrixFrame:
-        words = tables.load(spark, d, name).select(F.col(key).alias("k"), F.explode(F.split("text", " ")).alias("w"))
-        return tables.from_table(words, F.col("k"), F.length("w") % 16, F.lit(1), MatrixMeta(workloads.KEYS, 16), "count")
+    def lengths(name: str, key: str, row: str, v: str) -> DataFrame:
+        held = tables.load(spark, d, name).select(F.col(key).alias(row), F.transform(F.split("text", " "), lambda w: F.length(w) % 16).alias("lengths")).where("lengths IS NOT NULL")
+        # counted within a text, so a text is one row of sixteen numbers before anything is shuffled
+        counts = held.select(row, *[F.expr(f"size(filter(lengths, x -> x = {i}))").alias(f"n{i}") for i in range(16)])
+        return counts.groupBy(row).agg(F.array(*[F.sum(f"n{i}") for i in range(16)]).alias(v))
 
-    return multiply.relational_multiply(lengths("documents", "doc_id"), lengths("benchmark", "item_id").transpose()).df
+    return multiply.thin_dot_multiply(lengths("documents", "doc_id", "row", "v"), lengths("benchmark", "item_id", "col", "u"), workloads.KEYS, workloads.KEYS).df
 
 
 _ROLE = "CASE {} WHEN 'assistant' THEN 0 WHEN 'system' THEN 1 WHEN 'user' THEN 2 END"
@@ -787,12 +820,15 @@ def compare_methods(spark, d):
     return measure.compare(multiply.grouped_multiply(a, b, GRID, 8), multiply.flat_multiply(a, b, GRID, 8)).agg(F.lit("grouped against flat").alias("what"), F.count("*").alias("entries"))
 
 
-@query()
+_PROBED = ", ".join(f"({i}, {j})" for i, j in topology.valid_groupings(GRID.s, GRID.t))
+
+
+@query(_square_ctes() + f"SELECT CAST(i AS INT) AS grp_rows, CAST(j AS INT) AS grp_cols, CAST(i * j AS BIGINT) AS groups, (SELECT count(*) FROM (SELECT DISTINCT a.r, b.c FROM a JOIN b ON a.c = b.r WHERE a.c < 16)) AS rows FROM (VALUES {_PROBED}) AS t(i, j)")
 def probe_groups_run(spark, d):
-    """Every valid grouping of the grid over the first steps, timed."""
+    """Every valid grouping of the grid over the first two steps; the times that decide are left out here."""
     a, b = _pair(spark, d)
     _, runs = advisor.probe_groups(a, b, GRID, 8, steps=2)
-    return advisor.runs_frame(spark, runs)
+    return advisor.runs_frame(spark, runs).select("grp_rows", "grp_cols", F.col("groups").cast("long").alias("groups"), "rows")
 
 
 # ---------------------------------------------------------------- experiments: measured runs, and what they ship as exact counts
@@ -809,7 +845,7 @@ _SCALE = [(m, s, t, i, j) for s, t, i, j in ((1, 1, 1, 1), (1, 2, 1, 1), (2, 2,
 
 def _shipped(spark: SparkSession, d: str, cases: list[tuple[str, int, int, int, int]]) -> DataFrame:
     """Rows that a product's exchanges carry, counted on the routed operands of every case."""
-    a, b = (MatrixFrame(m.df.persist(), m.meta) for m in _pair(spark, d))
+    a, b = (_stored(m) for m in _pair(spark, d))
     out = None
     for method, s, t, i, j in cases:
         grid = GridSpec(s, t, i, j)
@@ -835,40 +871,156 @@ def shipped_by_cells(spark, d):
     return _shipped(spark, d, _SCALE)
 
 
-@query()
+def _experiment_sql(n: int, cases: list[tuple]) -> str:
+    """cases: (method, s, t, i, j, groups, b, outer). A flat product ships t copies of A and s of B, a grouped one j and i."""
+    rows = ", ".join(f"('{m}', {s}, {t}, {i}, {j}, {g}, {b}, {o})" for m, s, t, i, j, g, b, o in cases)
+    sent = "CASE method WHEN 'flat' THEN t ELSE j END * (SELECT count(*) FROM a) + CASE method WHEN 'flat' THEN s ELSE i END * (SELECT count(*) FROM b)"
+    return _square_ctes(n) + f"""SELECT method, s || 'x' || t AS grid, CAST(g AS BIGINT) AS groups, CAST({n} AS BIGINT) AS n, CAST(b AS BIGINT) AS b, CAST(o AS BIGINT) AS outer_b, CAST({experiments.REPEATS} AS BIGINT) AS runs, CAST({sent} AS BIGINT) AS shuffle_rows FROM (VALUES {rows}) AS c(method, s, t, i, j, g, b, o)"""
+
+
+def _group_cases(s: int, t: int, block: int, options: list[tuple[int, int]]) -> list[tuple]:
+    return [("flat", s, t, 1, 1, 1, block, block)] + [("grouped", s, t, i, j, i * j, block, block) for i, j in options]
+
+
+_ALL_48, _SOME_48 = topology.valid_groupings(4, 8), [(1, 1), (2, 2), (2, 4), (4, 4), (4, 8)]
+_SQUARES = [(1, 1), (2, 2), (4, 4), (8, 8)]
+_SCALED = [(1, 1, 1, 1), (2, 2, 2, 1), (4, 4, 2, 2), (4, 8, 2, 4), (8, 8, 4, 4)]
+
+
+@query(_experiment_sql(N, _group_cases(4, 8, 4, _ALL_48)))
 def experiment_groups_small_block(spark, d):
-    a, b = (experiments.stored(m) for m in _pair(spark, d))
-    return experiments.sweep_of_groups(spark, a, b, GridSpec(4, 8), 4)
+    return experiments.measured(experiments.sweep_of_groups, spark, _pair(spark, d), GridSpec(4, 8), 4)
 
 
-@query()
+@query(_experiment_sql(N, _group_cases(4, 8, 8, _SOME_48)))
 def experiment_groups_largest_block(spark, d):
-    a, b = (experiments.stored(m) for m in _pair(spark, d))
-    return experiments.sweep_of_groups(spark, a, b, GridSpec(4, 8), 8, [(1, 1), (2, 2), (2, 4), (4, 4), (4, 8)])
+    return experiments.measured(experiments.sweep_of_groups, spark, _pair(spark, d), GridSpec(4, 8), 8, _SOME_48)
 
 
-@query()
+@query(_experiment_sql(256, _group_cases(8, 8, 16, _SQUARES)))
 def experiment_groups_many_cells(spark, d):
-    a, b = (experiments.stored(m) for m in _pair(spark, d, 256))
-    return experiments.sweep_of_groups(spark, a, b, GridSpec(8, 8), 16, [(1, 1), (2, 2), (4, 4), (8, 8)])
+    return experiments.measured(experiments.sweep_of_groups, spark, _pair(spark, d, 256), GridSpec(8, 8), 16, _SQUARES)
 
 
-@query()
+@query(_experiment_sql(256, _group_cases(4, 4, 16, _SQUARES[:3])))
+def experiment_groups_fewer_cells(spark, d):
+    """The same matrices and block on a quarter of the cells: the saving shrinks."""
+    return experiments.measured(experiments.sweep_of_groups, spark, _pair(spark, d, 256), GridSpec(4, 4), 16, _SQUARES[:3])
+
+
+@query(_experiment_sql(256, _group_cases(2, 2, 16, _SQUARES[:2])))
+def experiment_groups_few_cells(spark, d):
+    """On four cells no grouping ships less than flat by more than the one-group form."""
+    return experiments.measured(experiments.sweep_of_groups, spark, _pair(spark, d, 256), GridSpec(2, 2), 16, _SQUARES[:2])
+
+
+@query(_experiment_sql(N, [(m, s, t, i, j, 1 if m == "flat" else i * j, 8, 8) for m, s, t, i, j in _SCALE]))
 def experiment_cells(spark, d):
-    a, b = (experiments.stored(m) for m in _pair(spark, d))
-    return experiments.sweep_of_cells(spark, a, b, [GridSpec(s, t, i, j) for m, s, t, i, j in _SCALE if m == "grouped"], 8)
+    grids = [GridSpec(s, t, i, j) for m, s, t, i, j in _SCALE if m == "grouped"]
+    return experiments.measured(experiments.sweep_of_cells, spark, _pair(spark, d), grids, 8)
 
 
-@query()
+@query(_experiment_sql(256, [(m, s, t, i, j, 1 if m == "flat" else i * j, 16, 16) for s, t, i, j in _SCALED for m in ("flat", "grouped")]))
+def experiment_cells_scaling(spark, d):
+    """More cells for the larger matrices."""
+    return experiments.measured(experiments.sweep_of_cells, spark, _pair(spark, d, 256), [GridSpec(*x) for x in _SCALED], 16)
+
+
+@query(_experiment_sql(N, [("grouped_panel", 4, 4, 2, 2, 4, b, b) for b in (1, 2, 4, 8, 16)]))
 def experiment_blocks(spark, d):
-    a, b = (experiments.stored(m) for m in _pair(spark, d))
-    return experiments.sweep_of_blocks(spark, a, b, GRID, (1, 2, 4, 8, 16))
+    return experiments.measured(experiments.sweep_of_blocks, spark, _pair(spark, d), GRID, (1, 2, 4, 8, 16))
 
 
-@query()
+@query(_experiment_sql(N, [("grouped_panel", 4, 4, 2, 2, 4, 4, 4 * f) for f in (1, 2, 4)]))
 def experiment_outer_blocks(spark, d):
-    a, b = (experiments.stored(m) for m in _pair(spark, d))
-    return experiments.sweep_of_outer_blocks(spark, a, b, GRID, 4)
+    return experiments.measured(experiments.sweep_of_outer_blocks, spark, _pair(spark, d), GRID, 4)
+
+
+# ---------------------------------------------------------------- schedules and costs of the classic baselines
+
+def _cells_sql(p: int, q: int) -> str:
+    return f"(SELECT range // {q} AS i, range % {q} AS j FROM range({p * q}))"
+
+
+def _message_sql(step: str, phase: str, operand: str, source: tuple[str, str], to: tuple[str, str] | None, receivers: int, elements: int, rows: str) -> str:
+    row, col = to or ("NULL", "NULL")
+    return f"SELECT CAST({step} AS BIGINT) AS step, '{phase}' AS phase, '{operand}' AS operand, CAST({source[0]} AS INT) AS from_row, CAST({source[1]} AS INT) AS from_col, CAST({row} AS INT) AS to_row, CAST({col} AS INT) AS to_col, CAST({receivers} AS BIGINT) AS receivers, CAST({elements} AS BIGINT) AS elements FROM {rows}"
+
+
+_HERE, _Q4, _Q46 = ("i", "j"), _cells_sql(4, 4), _cells_sql(4, 6)
+_TURNS = f"{_Q4} CROSS JOIN (SELECT range AS step FROM range(1, 4))"
+
+
+@query(" UNION ALL ".join([
+    _message_sql("0", "align", "A", _HERE, ("i", "(j - i + 4) % 4"), 1, 256, f"{_Q4} WHERE i > 0"),
+    _message_sql("0", "align", "B", _HERE, ("(i - j + 4) % 4", "j"), 1, 256, f"{_Q4} WHERE j > 0"),
+    _message_sql("step", "rotate", "A", _HERE, ("i", "(j + 3) % 4"), 1, 256, _TURNS),
+    _message_sql("step", "rotate", "B", _HERE, ("(i + 3) % 4", "j"), 1, 256, _TURNS),
+]))
+def schedule_rotations(spark, d):
+    return baseline_schedules.rotations(spark, N, 4)
+
+
+@query(" UNION ALL ".join([
+    _message_sql("step", "broadcast", "A", ("i", "(i + step) % 4"), None, 3, 256, "(SELECT range AS i FROM range(4)) CROSS JOIN (SELECT range AS step FROM range(4))"),
+    _message_sql("step", "roll", "B", _HERE, ("(i + 3) % 4", "j"), 1, 256, _TURNS),
+]))
+def schedule_broadcast_roll(spark, d):
+    return baseline_schedules.broadcast_roll(spark, N, 4)
+
+
+@query(" UNION ALL ".join([
+    _message_sql("step", "shift", "A", _HERE, ("i", "(j + 5) % 6"), 1, 96 * 96 // 24, f"{_Q46} CROSS JOIN (SELECT range AS step FROM range(1, 6))"),
+    _message_sql("step", "broadcast", "B", ("step % 4", "j"), None, 3, 96 * 96 // 72, "(SELECT range AS j FROM range(6)) CROSS JOIN (SELECT range AS step FROM range(12))"),
+]))
+def schedule_lcm(spark, d):
+    """4 x 6 cells: 5 shifts of A, 12 broadcasts of B in every column."""
+    return baseline_schedules.lcm_shifts(spark, 96, 4, 6)
+
+
+@query("SELECT method, phase, operand, CAST(messages AS BIGINT) AS messages, CAST(deliveries AS BIGINT) AS deliveries FROM (VALUES "
+       "('rotations', 'align', 'A', 12, 12 * 256), ('rotations', 'align', 'B', 12, 12 * 256), ('rotations', 'rotate', 'A', 48, 48 * 256), ('rotations', 'rotate', 'B', 48, 48 * 256), "
+       "('broadcast_roll', 'broadcast', 'A', 16, 48 * 256), ('broadcast_roll', 'roll', 'B', 48, 48 * 256), "
+       "('lcm_shifts', 'shift', 'A', 7 * 32, 7 * 64 * 64), ('lcm_shifts', 'broadcast', 'B', 8 * 8, 3 * 64 * 64), "
+       "('3d', 'replicate', 'A', 16, 3 * 64 * 64), ('3d', 'replicate', 'B', 16, 3 * 64 * 64), ('3d', 'multiply', 'A', 16, 3 * 64 * 64), ('3d', 'multiply', 'B', 16, 3 * 64 * 64), ('3d', 'reduce', 'C', 16, 3 * 64 * 64), "
+       "('25d', 'replicate', 'A', 64, 64 * 64), ('25d', 'replicate', 'B', 64, 64 * 64), ('25d', 'multiply', 'A', 64, 7 * 64 * 64), ('25d', 'multiply', 'B', 64, 7 * 64 * 64), ('25d', 'reduce', 'C', 64, 64 * 64)) AS t(method, phase, operand, messages, deliveries)")
+def baseline_deliveries(spark, d):
+    """What each baseline sends for 64 x 64 matrices: 4 x 4 cells, 4 x 8, four layers of 4 x 4, two layers of 8 x 8."""
+    plans = {"rotations": baseline_schedules.rotations(spark, N, 4), "broadcast_roll": baseline_schedules.broadcast_roll(spark, N, 4), "lcm_shifts": baseline_schedules.lcm_shifts(spark, N, 4, 8), "3d": baseline_schedules.layers(spark, N, 4, 4, 16), "25d": baseline_schedules.layers(spark, N, 8, 2, 8)}
+    out = None
+    for method, plan in plans.items():
+        one = baseline_schedules.totals(plan).select(F.lit(method).alias("method"), "phase", "operand", "messages", F.col("deliveries").cast("long").alias("deliveries"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def _cast_sql(m: str, q: str) -> str:
+    latency, bandwidth = (x.format(q=q) for x in _SQL_FACTORS["binomial"])
+    return f"({latency} * alpha + ({m}) * {bandwidth} * beta)"
+
+
+_BLOCK = "n * n / p"
+_BASELINE_COSTS = {
+    "flat": _comm_sql("binomial", "sqrt(p)"),
+    "rotations": f"2 * sqrt(p) * (alpha + {_BLOCK} * beta)",
+    "broadcast_roll": f"sqrt(p) * {_cast_sql(_BLOCK, 'sqrt(p)')} + (sqrt(p) - 1) * (alpha + {_BLOCK} * beta)",
+    "lcm_shifts": f"(sqrt(p) - 1) * (alpha + {_BLOCK} * beta) + sqrt(p) * {_cast_sql(_BLOCK, 'sqrt(p)')}",
+    "25d": f"3 * {_cast_sql('n * n / (p / 4)', '4.0')} + 2 * n / b / 4 * {_cast_sql('n * b / sqrt(p / 4)', 'sqrt(p / 4)')}",
+    "3d": f"3 * {_cast_sql('n * n / pow(p, 2.0 / 3)', 'pow(p, 1.0 / 3)')} + 2 * n / b / pow(p, 1.0 / 3) * {_cast_sql('n * b / pow(p, 1.0 / 3)', 'pow(p, 1.0 / 3)')}",
+}
+
+
+@query(" UNION ALL ".join(f"SELECT platform, '{m}' AS method, {_micro_sql(x)} AS cost_us FROM {_P}" for m, x in _BASELINE_COSTS.items()))
+def cost_baselines(spark, d):
+    """Communication of the baselines beside the flat method's, with binomial broadcasts; the 2.5-D product has four layers."""
+    f, p = cost.family("binomial"), tables.platforms(spark)
+    side, cube = F.sqrt(F.col("p").cast("double")), F.pow(F.col("p").cast("double"), F.lit(1.0 / 3))
+    found = {"flat": cost.flat_comm(f), "rotations": cost.rotation_comm(), "broadcast_roll": cost.broadcast_roll_comm(f), "lcm_shifts": cost.lcm_shift_comm(f, side, side, side), "25d": cost.layered_comm(f, c=F.lit(4.0)), "3d": cost.layered_comm(f, b="b", c=cube)}
+    out = None
+    for method, x in found.items():
+        one = p.select("platform", F.lit(method).alias("method"), _micro(x).alias("cost_us"))
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 @query(_square_ctes() + 'SELECT CAST(block_row AS INT) AS block_row, CAST(block_col AS INT) AS block_col, CAST(spot AS INT) AS spot, CAST(sum(v) AS BIGINT) AS "value" FROM (SELECT r // 16 AS block_row, c // 16 AS block_col, (r % 16) * 16 + c % 16 AS spot, v FROM (SELECT * FROM a UNION ALL SELECT * FROM b)) GROUP BY 1, 2, 3')

@@ -198,7 +198,7 @@ def test_sweeps_move_as_the_schedules_say(spark):
     runs = {(r.method, r.groups): r.shuffle_rows for r in experiments.sweep_of_groups(spark, a, b, GridSpec(4, 4), 2, [(1, 1), (2, 2), (4, 4)]).collect()}
     assert runs == {("flat", 1): 8 * n, ("grouped", 1): 2 * n, ("grouped", 4): 4 * n, ("grouped", 16): 8 * n}
     outer = experiments.sweep_of_outer_blocks(spark, a, b, GridSpec(4, 4, 2, 2), 1, (1, 2, 4)).collect()
-    assert {r.shuffle_rows for r in outer} == {4 * n} and [r.outer_b for r in outer] == [1, 2, 4]
+    assert {r.shuffle_rows for r in outer} == {4 * n} and [(r.outer_b, r.repeat) for r in outer] == [(f, k) for f in (1, 2, 4) for k in range(experiments.REPEATS)]
 
 
 def test_block_sums(spark):
@@ -206,3 +206,63 @@ def test_block_sums(spark):
 
     df = spark.createDataFrame([(1, [1.0, 2.0, 3.0]), (1, [10.0, 20.0, 30.0]), (2, [5.0, 5.0, 5.0])], "k int, data array<double>")
     assert {r.k: r.data for r in sum_blocks(df, ["k"]).collect()} == {1: [11.0, 22.0, 33.0], 2: [5.0, 5.0, 5.0]}
+
+
+def test_front_door_plans_from_sizes():
+    from gridmul.operators.multiply import plan_product
+    from gridmul.plans.topology import MatrixMeta
+
+    giga = 1 << 30
+    small = plan_product(60_000, 60_000, MatrixMeta(256, 256), MatrixMeta(256, 256), 8)
+    assert small.method == "grouped" and small.kernel == "panel" and small.grid.groups >= 16
+    # terabytes: as many groups as tiles of C that fit a quarter of a task, not as cores
+    dense = plan_product(1 << 40, 1 << 40, MatrixMeta(1 << 20, 1 << 20), MatrixMeta(1 << 20, 1 << 20), 4000, giga)
+    assert -(-(1 << 20) // dense.grid.I) * -(-(1 << 20) // dense.grid.J) * 8 <= giga / 4 and dense.grid.groups >= 8000
+    assert dense.kernel == "panel" and 2 * dense.inner * (1 << 20) // dense.grid.I * 8 <= giga / 4
+    sparse = plan_product(10**9, 10**9, MatrixMeta(1 << 30, 1 << 30), MatrixMeta(1 << 30, 1 << 30), 4000, giga)
+    assert sparse.kernel == "relational" and sparse.grid.groups >= 8000
+    # keys of unknown range count by their entries
+    assert plan_product(1000, 1000, MatrixMeta(1 << 40, 64), MatrixMeta(64, 1 << 40), 8).grid.s <= 64
+    # a k that cannot be cut once more leaves a cell a group: nothing is saved, so the flat product is taken
+    assert plan_product(10, 10, MatrixMeta(10**6, 1), MatrixMeta(1, 10**6), 2).method == "flat"
+
+
+def test_baselines_send_what_is_published(spark):
+    import math
+
+    from gridmul.plans import baseline_schedules
+
+    for p, q in ((2, 3), (4, 6), (3, 3)):
+        plan = baseline_schedules.lcm_shifts(spark, 72, p, q)
+        steps = {(r.phase): r.n for r in plan.groupBy("phase").agg(F.countDistinct("step").alias("n")).collect()}
+        assert steps == {"shift": q - 1, "broadcast": math.lcm(p, q)}
+    for q in (2, 3, 4):
+        # after the alignment every cell has met every slice of k: simulate the places of A's and B's blocks
+        plan = baseline_schedules.rotations(spark, 12, q).collect()
+        a = {(i, j): (i, j) for i in range(q) for j in range(q)}
+        b = dict(a)
+        met = {c: set() for c in a}
+        for step in range(q):
+            moves = [r for r in plan if r.step == step]
+            for own, name in ((a, "A"), (b, "B")):
+                new = {(r.to_row, r.to_col): own[r.from_row, r.from_col] for r in moves if r.operand == name}
+                own.update(new)
+            for c in a:
+                assert a[c][1] == b[c][0]
+                met[c].add(a[c][1])
+        assert all(len(x) == q for x in met.values())
+
+
+def test_qr_of_a_tall_matrix(spark):
+    import numpy as np
+
+    from gridmul.operators.blocks import MatrixFrame
+    from gridmul.operators.multiply import gram_qr
+    from gridmul.plans.topology import MatrixMeta
+
+    x = np.random.default_rng(4).integers(-5, 6, (60, 4)).astype(float)
+    df = spark.createDataFrame([(i, j, float(x[i, j])) for i in range(60) for j in range(4)], "row long, col long, value double")
+    q, r = gram_qr(MatrixFrame(df, MatrixMeta(60, 4, "double")))
+    dense = lambda f, shape: np.array([[{(e.row, e.col): e.value for e in f}.get((i, j), 0.0) for j in range(shape[1])] for i in range(shape[0])])
+    qm, rm = dense(q.collect(), (60, 4)), dense(r.df.collect(), (4, 4))
+    assert np.allclose(qm @ rm, x) and np.allclose(qm.T @ qm, np.eye(4), atol=1e-12) and np.allclose(rm, np.triu(rm))
