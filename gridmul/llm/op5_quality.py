@@ -7,8 +7,8 @@ References are the mean histograms of each language over the same texts; a text
 comparison has a minimum length under which it does not speak. Simple counts (length, repeated three-word windows) come first.
 
 Defined cases: null text is empty text and fails the base rule; very long texts are read whole; a null language is compared with
-every reference and the nearest one counts, the first of the alphabet on a tie; a language with fewer than MIN_DOCUMENTS texts that
-pass the base rules has no reference, and its texts are judged by the base rules alone; buckets of one weight are taken by number;
+every reference and the nearest one counts, the first of the alphabet on a tie; a language with fewer than MIN_DOCUMENTS texts (or
+MIN_SHARE of all) that pass the base rules has no reference, and its texts are judged by the base rules alone; buckets of one weight are taken by number;
 repeated rows are judged alike; an empty table gives an empty result and needs no reference; extra columns, whatever their names,
 are ignored.
 """
@@ -32,8 +32,9 @@ SYMBOLS = "#*$%&|<>"
 #: Hash buckets of words, and how many of the heaviest are a language's common words.
 WORD_BUCKETS = 1 << 14
 COMMON = 24
-#: Texts that a language's reference takes at least.
+#: Texts that a language's reference takes at least, and the share of all texts, which bounds the number of references.
 MIN_DOCUMENTS = 20
+MIN_SHARE = 1e-4
 
 #: Names of the character classes, in histogram order.
 CLASSES = "lower upper accented_lower accented_upper other_letter digit blank newline stop bracket symbol other".split()
@@ -192,14 +193,14 @@ def common_words(docs: DataFrame, text_col: str = "text", lang_col: str = "lang"
                 yield lang, bucket, int(at[bucket])
 
     sums = map_rows(docs, [text_of(text_col), F.col(lang_col).cast("string")], "lang string, bucket int, n long", rows).groupBy("lang", "bucket").agg(F.sum("n").alias("n"))
-    place = F.row_number().over(Window.partitionBy("lang").orderBy(F.col("bucket") >= 0, F.desc("n"), "bucket"))
+    sums = materialise(sums, "common-words", narrow=True)
+    texts = sums.where("bucket < 0")
+    least = max(MIN_DOCUMENTS, MIN_SHARE * (texts.agg(F.sum("n")).first()[0] or 0))
+    place = F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("n"), "bucket"))
+    ranked = sums.where("bucket >= 0").join(texts.where(F.col("n") >= least).select("lang"), "lang", "left_semi").withColumn("place", place)
     out: dict[str, list[int]] = {}
-    few = set()
-    for r in sums.withColumn("place", place).where(F.col("place") <= common + 1).orderBy("lang", "place").collect():
-        if r.bucket < 0 and r.n < MIN_DOCUMENTS:
-            few.add(r.lang)
-        elif r.bucket >= 0 and r.lang not in few:
-            out.setdefault(r.lang, []).append(r.bucket)
+    for r in ranked.where(F.col("place") <= common).orderBy("lang", "place").collect():  # at most `common` / MIN_SHARE rows
+        out.setdefault(r.lang, []).append(r.bucket)
     return out
 
 
