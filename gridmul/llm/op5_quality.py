@@ -186,7 +186,7 @@ def common_words(docs: DataFrame, text_col: str = "text", lang_col: str = "lang"
             if lang is not None and not fails(len(words), repeated_words(words)):
                 held[lang] += 1
                 at = sums.setdefault(lang, np.zeros(WORD_BUCKETS, np.int64))
-                np.add.at(at, np.fromiter(map(buckets.__getitem__, words), np.int64, len(words)), 1)
+                at += np.bincount(np.fromiter(map(buckets.__getitem__, words), np.int64, len(words)), minlength=WORD_BUCKETS)
         for lang, at in sums.items():
             yield lang, -1, held[lang]
             for bucket in np.flatnonzero(at).tolist():
