@@ -54,9 +54,9 @@ def means(runs: DataFrame) -> DataFrame:
 
 
 def settled(runs: DataFrame) -> DataFrame:
-    """The cases of `runs` without what depends on the machine."""
+    """The cases of `runs` without what depends on the machine; groupings of one size are told apart by what they ship."""
     cases = [F.col(c).cast("long").alias(c) if c in ("groups", "n", "b", "outer_b") else F.col(c) for c in ("method", "grid", "groups", "n", "b", "outer_b")]
-    return runs.groupBy(*cases).agg(F.count("*").alias("runs"), F.min("shuffle_rows").alias("shuffle_rows"))
+    return runs.groupBy(*cases, "shuffle_rows").agg(F.count("*").alias("runs"))
 
 
 def measured(sweep: Callable[..., DataFrame], spark: SparkSession, pair: tuple[MatrixFrame, MatrixFrame], *args) -> DataFrame:

@@ -875,7 +875,7 @@ def _experiment_sql(n: int, cases: list[tuple]) -> str:
     """cases: (method, s, t, i, j, groups, b, outer). A flat product ships t copies of A and s of B, a grouped one j and i."""
     rows = ", ".join(f"('{m}', {s}, {t}, {i}, {j}, {g}, {b}, {o})" for m, s, t, i, j, g, b, o in cases)
     sent = "CASE method WHEN 'flat' THEN t ELSE j END * (SELECT count(*) FROM a) + CASE method WHEN 'flat' THEN s ELSE i END * (SELECT count(*) FROM b)"
-    return _square_ctes(n) + f"""SELECT method, s || 'x' || t AS grid, CAST(g AS BIGINT) AS groups, CAST({n} AS BIGINT) AS n, CAST(b AS BIGINT) AS b, CAST(o AS BIGINT) AS outer_b, CAST({experiments.REPEATS} AS BIGINT) AS runs, CAST({sent} AS BIGINT) AS shuffle_rows FROM (VALUES {rows}) AS c(method, s, t, i, j, g, b, o)"""
+    return _square_ctes(n) + f"""SELECT method, s || 'x' || t AS grid, CAST(g AS BIGINT) AS groups, CAST({n} AS BIGINT) AS n, CAST(b AS BIGINT) AS b, CAST(o AS BIGINT) AS outer_b, CAST({experiments.REPEATS} * count(*) AS BIGINT) AS runs, CAST({sent} AS BIGINT) AS shuffle_rows FROM (VALUES {rows}) AS c(method, s, t, i, j, g, b, o) GROUP BY ALL"""
 
 
 def _group_cases(s: int, t: int, block: int, options: list[tuple[int, int]]) -> list[tuple]:
