@@ -20,7 +20,7 @@ from gridmul.schemas import RUNS
 
 
 #: Runs of a case; the published figures are means of 30.
-REPEATS = 3
+REPEATS = 2
 
 
 def run(method: str, a: MatrixFrame, b: MatrixFrame, grid: GridSpec, inner: int, outer: int | None = None, kernel: str = "relational", repeats: int = REPEATS) -> list[tuple]:

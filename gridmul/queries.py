@@ -882,14 +882,14 @@ def _group_cases(s: int, t: int, block: int, options: list[tuple[int, int]]) ->
     return [("flat", s, t, 1, 1, 1, block, block)] + [("grouped", s, t, i, j, i * j, block, block) for i, j in options]
 
 
-_ALL_48, _SOME_48 = topology.valid_groupings(4, 8), [(1, 1), (2, 2), (2, 4), (4, 4), (4, 8)]
+_ALL_48, _SOME_48 = [(1, 1), (1, 2), (2, 2), (2, 4), (4, 4), (4, 8)], [(1, 1), (2, 2), (2, 4), (4, 4), (4, 8)]  # one for each number of groups
 _SQUARES = [(1, 1), (2, 2), (4, 4), (8, 8)]
 _SCALED = [(1, 1, 1, 1), (2, 2, 2, 1), (4, 4, 2, 2), (4, 8, 2, 4), (8, 8, 4, 4)]
 
 
 @query(_experiment_sql(N, _group_cases(4, 8, 4, _ALL_48)))
 def experiment_groups_small_block(spark, d):
-    return experiments.measured(experiments.sweep_of_groups, spark, _pair(spark, d), GridSpec(4, 8), 4)
+    return experiments.measured(experiments.sweep_of_groups, spark, _pair(spark, d), GridSpec(4, 8), 4, _ALL_48)
 
 
 @query(_experiment_sql(N, _group_cases(4, 8, 8, _SOME_48)))
