@@ -861,9 +861,9 @@ def test_runs_from_several_places_are_not_put_together(spark):
 
 def test_lines_equal_brute_force_on_small_alphabets(spark):
     rng = random.Random(11)
-    for alphabet, least in ((2, 12), (3, 6), (5, 4)):
-        pool = ["", "one", "two words", "three of them", "and four more words"][:alphabet]
-        rows = [(i // 2, "\n".join(rng.choice(pool) for _ in range(rng.randrange(1, 40)))) for i in range(30)]
+    for alphabet, least in ((2, 12), (4, 5)):
+        pool = ["", "one", "two words", "three of them"][:alphabet]
+        rows = [(i // 2, "\n".join(rng.choice(pool) for _ in range(rng.randrange(1, 16)))) for i in range(30)]
         rows += [(99, rows[3][1]), (100, rows[3][1] + "\n" + rows[4][1])]
         got = sorted((r.doc_id, r.text) for r in op10_lines.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string").coalesce(1), min_words=least).collect())
         assert got == sorted((k, t) for (k, _), t in zip(rows, brute_lines(rows, least)))
