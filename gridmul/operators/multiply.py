@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -114,14 +115,15 @@ def broadcast_multiply(a: MatrixFrame, b: MatrixFrame, max_rows: int = BROADCAST
     return _result(left.join(F.broadcast(right), "k").groupBy("row", "col").agg(F.sum(F.col("va") * F.col("vb")).alias("value")), a, b)
 
 
-def thin_dot_multiply(a: DataFrame, b: DataFrame, rows: int, cols: int, max_rows: int = BROADCAST_ROWS) -> MatrixFrame:
-    """A B for a k of a few dozen: a is (row, v) and b is (col, u) with arrays over the whole k. Every row meets every column, as
+def thin_dot_multiply(a: DataFrame, b: DataFrame, rows: int, k: int, cols: int, max_rows: int = BROADCAST_ROWS) -> MatrixFrame:
+    """A B for a k of a few dozen: a is (row, v) and b is (col, u) with arrays of k numbers. Every row meets every column, as
     the dense result asks; b goes to every task after its size is checked, and each entry is one dot product in the JVM."""
     if count_up_to(b, max_rows) > max_rows:
         left, right = a.select("row", F.posexplode("v").alias("k", "va")).where("va <> 0"), b.select("col", F.posexplode("u").alias("k", "vb")).where("vb <> 0")
         df = left.join(right, "k").groupBy("row", "col").agg(F.sum(F.col("va") * F.col("vb")).alias("value"))
     else:
-        df = a.crossJoin(F.broadcast(b)).select("row", "col", kernels.dot(F.col("v"), F.col("u")).alias("value")).where("value <> 0")
+        dot = reduce(lambda x, y: x + y, [F.col("v")[i] * F.col("u")[i] for i in range(k)])  # written out, so that it is compiled
+        df = a.crossJoin(F.broadcast(b)).select("row", "col", dot.alias("value")).where("value <> 0")
     return MatrixFrame(df, MatrixMeta(rows, cols))
 
 

@@ -324,12 +324,11 @@ def _lengths_sql(table: str, key: str) -> str:
 @query(f"WITH a AS ({_lengths_sql('documents', 'doc_id')}), t AS ({_lengths_sql('benchmark', 'item_id')}), b AS (SELECT c AS r, r AS c, v FROM t) " + PRODUCT)
 def token_overlap(spark, d):
     def lengths(name: str, key: str, row: str, v: str) -> DataFrame:
-        held = tables.load(spark, d, name).select(F.col(key).alias(row), F.transform(F.split("text", " "), lambda w: F.length(w) % 16).alias("lengths")).where("lengths IS NOT NULL")
-        # counted within a text, so a text is one row of sixteen numbers before anything is shuffled
-        counts = held.select(row, *[F.expr(f"size(filter(lengths, x -> x = {i}))").alias(f"n{i}") for i in range(16)])
-        return counts.groupBy(row).agg(F.array(*[F.sum(f"n{i}") for i in range(16)]).alias(v))
+        words = tables.load(spark, d, name).select(F.col(key).alias(row), F.explode(F.split("text", " ")).alias("w")).select(row, (F.length("w") % 16).alias("n"))
+        # sixteen counts a text, summed before anything is shuffled
+        return words.groupBy(row).agg(F.array(*[F.count_if(F.col("n") == i) for i in range(16)]).alias(v))
 
-    return multiply.thin_dot_multiply(lengths("documents", "doc_id", "row", "v"), lengths("benchmark", "item_id", "col", "u"), workloads.KEYS, workloads.KEYS).df
+    return multiply.thin_dot_multiply(lengths("documents", "doc_id", "row", "v"), lengths("benchmark", "item_id", "col", "u"), workloads.KEYS, 16, workloads.KEYS).df
 
 
 _ROLE = "CASE {} WHEN 'assistant' THEN 0 WHEN 'system' THEN 1 WHEN 'user' THEN 2 END"
