@@ -173,3 +173,17 @@ def test_bad_inputs(pair, spark):
 def test_chain_order():
     assert multiply.chain_order([10, 100, 5, 50]) == [(0, 1), (0, 2)]
     assert multiply.chain_order([5, 25, 1000, 2]) == [(1, 2), (0, 1)]
+
+
+@pytest.mark.parametrize("tile_entries", [8, 64, 200])
+def test_stripes_ship_nothing_twice(pair, tile_entries):
+    x, y, a, b = pair
+    grid = GridSpec(4, 4, 2, 2)
+    shipped = [measure.shuffle_stats(multiply.grouped_multiply(a, b, grid, 2, kernel="panel", tile_entries=t).df)["shuffle_rows"] for t in (tile_entries, 1 << 24)]
+    assert shipped[0] == shipped[1] == 2 * (a.df.count() + b.df.count())
+    # a step that only one operand has, a whole stripe without entries, and a k of more steps than are multiplied at once
+    u, v = x.copy(), y.copy()
+    u[:, 4:6], v[8:10], u[2:4] = 0, 0, 0
+    for dtype, kind in (("long", np.int64), ("double", float)):
+        c = multiply.grouped_multiply(frame(a.spark, u.astype(kind), dtype), frame(a.spark, v.astype(kind), dtype), grid, 2, 4, kernel="panel", tile_entries=tile_entries)
+        assert (dense(c) == u @ v).all()
