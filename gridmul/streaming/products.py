@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -45,10 +47,18 @@ def run_to_table(stream: DataFrame, name: str, checkpoint: str, mode: str = "com
 def accumulate(spark: SparkSession, stream: DataFrame, b: MatrixFrame, path: str, checkpoint: str) -> None:
     """C += (new part of A) B by micro-batch: each batch's product is a file set named by the batch, so a batch that runs twice
     overwrites its own and counts once. `product_of` sums them."""
+    _by_batch(stream, lambda batch: batch.join(b.df.select(F.col("row").alias("col"), F.col("col").alias("out"), F.col("value").alias("vb")), "col").groupBy("row", "out").agg(F.sum(F.col("value") * F.col("vb")).alias("value")).select("row", F.col("out").alias("col"), "value"), path, checkpoint)
+
+
+def accumulate_windows(stream: DataFrame, b: MatrixFrame, path: str, checkpoint: str, window: str = "1 day", slide: str | None = None) -> None:
+    """As accumulate, for the products of each window; `window_product_of` sums them. No sum is kept between batches, so neither an
+    executor's state nor the driver's memory bounds how many windows and rows there are."""
+    _by_batch(stream, lambda batch: stream_product(batch, b, window, slide), path, checkpoint)
 
+
+def _by_batch(stream: DataFrame, product: Callable[[DataFrame], DataFrame], path: str, checkpoint: str) -> None:
     def fold(batch: DataFrame, number: int) -> None:
-        part = batch.join(b.df.select(F.col("row").alias("col"), F.col("col").alias("out"), F.col("value").alias("vb")), "col").groupBy("row", "out").agg(F.sum(F.col("value") * F.col("vb")).alias("value"))
-        part.select("row", F.col("out").alias("col"), "value").write.mode("overwrite").parquet(f"{path}/batch={number}")
+        product(batch).write.mode("overwrite").parquet(f"{path}/batch={number}")
 
     stream.writeStream.foreachBatch(fold).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
 
@@ -57,6 +67,10 @@ def product_of(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.parquet(path).groupBy("row", "col").agg(F.sum("value").alias("value"))
 
 
+def window_product_of(spark: SparkSession, path: str) -> DataFrame:
+    return spark.read.schema("start timestamp, row long, col long, value long").parquet(path).groupBy("start", "row", "col").agg(F.sum("value").alias("value"))
+
+
 def change_of_both(a: MatrixFrame, b: MatrixFrame, da: MatrixFrame, db: MatrixFrame) -> MatrixFrame:
     """What the product gains when both operands change: dA B + A dB + dA dB."""
     from gridmul.operators.multiply import relational_multiply

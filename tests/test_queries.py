@@ -59,6 +59,30 @@ def test_windows_sessions_and_late_rows(spark, tmp_path):
     assert products.deduplicated(entries).isStreaming is False
 
 
+def test_windows_are_summed_over_batches_without_state(spark, tmp_path):
+    events = load(spark, SF, "events")
+    events.repartition(3).write.parquet(str(tmp_path / "in"))
+    weights = synthetic(spark, 6, 6)
+    stream = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
+    path, check = str(tmp_path / "parts"), str(tmp_path / "check")
+    products.accumulate_windows(products.event_entries(stream), weights, path, check)
+    assert len(glob.glob(f"{path}/batch=*")) == 3 and not os.path.exists(f"{check}/state")
+    got, want = products.window_product_of(spark, path), products.stream_product(products.event_entries(events), weights)
+    assert got.count() == want.count() and got.exceptAll(want).count() == 0
+    # what has arrived since is added; what has not is not read again
+    more = events.limit(100)
+    more.write.mode("append").parquet(str(tmp_path / "in"))
+    products.accumulate_windows(products.event_entries(stream), weights, path, check)
+    want = products.stream_product(products.event_entries(events.unionByName(more)), weights)
+    assert products.window_product_of(spark, path).exceptAll(want).count() == 0
+
+
+def test_stream_product_keeps_no_table_on_the_driver(spark):
+    before = {t.name for t in spark.catalog.listTables()}
+    assert core.QUERIES["stream_product"](spark, SF).count() > 0
+    assert {t.name for t in spark.catalog.listTables()} == before
+
+
 def test_change_of_both_operands(spark):
     a, b = synthetic(spark, 8, 8), synthetic(spark, 8, 8).transpose()
     da, db = synthetic(spark, 8, 8, F.col("row") - F.col("col")), synthetic(spark, 8, 8, F.col("row") % 3)
