@@ -43,6 +43,20 @@ def test_entry_module(spark):
     assert set(e.oracle_sql()) <= set(e.queries())
 
 
+#: Schedules and costs of matrices whose sides are counted in a table.
+OF_A_TABLE = [
+    "baseline_deliveries",
+]
+
+
+@pytest.mark.parametrize("name", OF_A_TABLE)
+def test_schedules_and_costs_read_their_sizes_from_a_table(spark, name):
+    df = core.QUERIES[name](spark, SF)
+    assert [os.path.basename(f) for f in df.inputFiles()] == ["lineitem.parquet"]
+    shipped = load(spark, SF, "lineitem").select((F.year("l_shipdate") * 100 + F.month("l_shipdate")).cast("long").alias("month")).distinct()
+    assert {r.month for r in df.select("month").distinct().collect()} == {r.month for r in shipped.collect()}
+
+
 def test_windows_sessions_and_late_rows(spark, tmp_path):
     events = load(spark, SF, "events")
     entries = products.event_entries(events)
