@@ -46,6 +46,7 @@ def test_entry_module(spark):
 #: Schedules and costs of matrices whose sides are counted in a table.
 OF_A_TABLE = [
     "baseline_deliveries",
+    "best_groups",
 ]
 
 
