@@ -47,6 +47,7 @@ def test_entry_module(spark):
 OF_A_TABLE = [
     "baseline_deliveries",
     "best_groups",
+    "break_even",
 ]
 
 
