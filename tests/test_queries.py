@@ -48,6 +48,7 @@ OF_A_TABLE = [
     "baseline_deliveries",
     "best_groups",
     "break_even",
+    "copies_by_method",
 ]
 
 
