@@ -49,6 +49,7 @@ OF_A_TABLE = [
     "best_groups",
     "break_even",
     "copies_by_method",
+    "cost_baselines",
 ]
 
 
