@@ -50,6 +50,7 @@ OF_A_TABLE = [
     "break_even",
     "copies_by_method",
     "cost_baselines",
+    "cost_binary",
 ]
 
 
