@@ -51,6 +51,7 @@ OF_A_TABLE = [
     "copies_by_method",
     "cost_baselines",
     "cost_binary",
+    "cost_binomial",
 ]
 
 
