@@ -52,6 +52,7 @@ OF_A_TABLE = [
     "cost_baselines",
     "cost_binary",
     "cost_binomial",
+    "cost_chain_pipelined",
 ]
 
 
