@@ -53,6 +53,7 @@ OF_A_TABLE = [
     "cost_binary",
     "cost_binomial",
     "cost_chain_pipelined",
+    "cost_flat_tree",
 ]
 
 
