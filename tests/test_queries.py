@@ -54,6 +54,7 @@ OF_A_TABLE = [
     "cost_binomial",
     "cost_chain_pipelined",
     "cost_flat_tree",
+    "cost_scatter_allgather",
 ]
 
 
