@@ -55,6 +55,7 @@ OF_A_TABLE = [
     "cost_chain_pipelined",
     "cost_flat_tree",
     "cost_scatter_allgather",
+    "cost_sqrt_corrected",
 ]
 
 
