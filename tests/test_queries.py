@@ -56,6 +56,7 @@ OF_A_TABLE = [
     "cost_flat_tree",
     "cost_scatter_allgather",
     "cost_sqrt_corrected",
+    "cost_sqrt_printed",
 ]
 
 
