@@ -1,9 +1,10 @@
 """Products against NumPy, and against each other for every grouping."""
 
 import numpy as np
+import pyarrow.parquet as pq
 import pytest
 
-from gridmul.operators import baselines, blocks, multiply
+from gridmul.operators import baselines, blocks, kernels, multiply
 from gridmul.operators.blocks import MatrixFrame
 from gridmul.plans import measure
 from gridmul.plans.topology import GridSpec, MatrixMeta, valid_groupings
@@ -187,3 +188,36 @@ def test_stripes_ship_nothing_twice(pair, tile_entries):
     for dtype, kind in (("long", np.int64), ("double", float)):
         c = multiply.grouped_multiply(frame(a.spark, u.astype(kind), dtype), frame(a.spark, v.astype(kind), dtype), grid, 2, 4, kernel="panel", tile_entries=tile_entries)
         assert (dense(c) == u @ v).all()
+
+
+def test_large_product_is_written_in_few_bytes(spark, tmp_path):
+    """Many values that all repeat: the files of C are much smaller than those of the same rows by row and column, and whole."""
+    rng = np.random.default_rng(5)
+    x, y = rng.integers(-300, 300, (2048, 16)), rng.integers(-300, 300, (16, 2048))
+    for tile_entries in ((1 << 22) - 1, 1 << 24):
+        c = multiply.grouped_multiply(frame(spark, x), frame(spark, y), GridSpec(1, 1), 8, kernel="panel", tile_entries=tile_entries).df
+        c.write.mode("overwrite").parquet(f"{tmp_path}/c")
+        spark.read.parquet(f"{tmp_path}/c").repartition(1).sortWithinPartitions("row", "col").write.mode("overwrite").parquet(f"{tmp_path}/by_place")
+        size = {n: sum(p.stat().st_size for p in (tmp_path / n).glob("*.parquet")) for n in ("c", "by_place")}
+        assert size["c"] < 0.85 * size["by_place"], size
+        t = pq.read_table(tmp_path / "c")
+        row, col, value = (t[n].to_numpy() for n in ("row", "col", "value"))
+        assert len(np.unique(row * 2048 + col)) == len(row) == np.count_nonzero(x @ y)
+        z = np.zeros((2048, 2048), np.int64)
+        z[row, col] = value
+        assert (z == x @ y).all()
+
+
+@pytest.mark.parametrize("tile", [np.zeros((3, 4), np.int64), np.arange(-5, 7).reshape(3, 4), np.array([[2**63 - 1, 0], [-(2**63), 5]]), np.array([[0.5, np.nan], [np.inf, -0.0]]), np.tile(np.array([[7, -7, 0, 9, 2**62]]), (40, 1)), np.tile(np.array([[0.25, -1e300, 0]]), (9, 1))])
+@pytest.mark.parametrize("dictionary", [0, 1 << 17])
+@pytest.mark.parametrize("batch", [3, 1 << 16])
+def test_file_order_keeps_every_entry(tile, dictionary, batch, monkeypatch):
+    monkeypatch.setattr(kernels, "DICTIONARY", dictionary)
+    monkeypatch.setattr(kernels, "BATCH", batch)
+    parts = list(kernels.in_file_order(tile))
+    assert all(0 < len(p) == len(v) <= batch for p, v in parts)
+    got = np.zeros_like(tile)
+    for p, v in parts:
+        got.ravel()[p] = v
+    np.testing.assert_array_equal(got, tile)
+    assert sum(len(p) for p, _ in parts) == np.count_nonzero(tile)
